@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
-from codetrees.llm import chat_format, decontaminate, exact_dedup, sharding
+from codetrees.llm import chat_format, decontaminate, exact_dedup, html_extract, langid, packing, quality, sharding
 
 QUERIES = {
+    "op2_quality": quality.op2_quality,
     "op3_exact_dedup": exact_dedup.op3_exact_dedup,
     "op4_extendible_shards": sharding.op4_extendible_shards,
+    "op5_best_fit_packing": packing.op5_best_fit_packing,
+    "op6_language_id": langid.op6_language_id,
     "op7_decontaminate": decontaminate.op7_decontaminate,
+    "op9_html_extract": html_extract.op9_html_extract,
     "op10_chat_format": chat_format.op10_chat_format,
 }
 
