@@ -50,14 +50,18 @@ def ascii_lower(c: Column) -> Column:
 
 
 def keyed(df: DataFrame, id_col: str, cols: list[str]) -> DataFrame:
-    """df's cols plus a unique long RID. The id itself serves when it is an integer, never null and never repeated
-    (one aggregation over the id column decides); else rows are numbered and written once, so that the numbers stay."""
+    """df's cols plus a unique long RID. A RID that df has already is taken over; else the id itself serves when it is an
+    integer, never null and never repeated (one aggregation over the id column decides); else rows are numbered and
+    written once, so that the numbers stay."""
     cols = list(dict.fromkeys([id_col, *cols]))
-    kind = df.schema[id_col].dataType.typeName()
-    if kind in ("byte", "short", "integer", "long"):
+    if RID in df.columns:
+        return df.select(RID, *(c for c in cols if c != RID))
+    if df.schema[id_col].dataType.typeName() in ("byte", "short", "integer", "long"):
         ids = df.groupBy(id_col).count().where((F.col("count") > 1) | F.col(id_col).isNull())
         if ids.isEmpty():
-            return df.select(F.col(id_col).cast("long").alias(RID), *cols)
+            out = df.select(F.col(id_col).cast("long").alias(RID), *cols)
+            out._codetrees_rid_is_id = True
+            return out
     return written(df.select(F.monotonically_increasing_id().alias(RID), *cols), "keyed")
 
 

@@ -178,8 +178,8 @@ def exact_dedup(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", k
         bad = bad.select(RID, "id", "digest", "text_sha256", F.min(o).over(w)[RID].alias("keep_rid"), F.count("*").over(w).alias("group_size"))
         found = found.join(wrong, "digest", "left_anti").unionByName(bad)
     found = found.withColumn("kept", F.col("keep_rid") == F.col(RID))
-    if docs.schema[RID].dataType == df.schema[id_col].dataType and not hasattr(docs, "_codetrees_path"):
-        out = found.withColumn("keep_id", F.col("keep_rid"))
+    if getattr(docs, "_codetrees_rid_is_id", False):
+        out = found.withColumn("keep_id", F.col("keep_rid").cast(df.schema[id_col].dataType))
     else:
         names = found.where("kept").select(F.col("keep_rid"), F.col("id").alias("keep_id"))
         out = found.join(names, "keep_rid", "left")
