@@ -73,7 +73,13 @@ def with_hits(docs: DataFrame, benchmark: DataFrame, text_col: str, max_literals
     out = docs.withColumn("__w", words(F.col(text_col)))
     out = out.withColumn("__h", F.expr(hits.replace("size(w)", "size(__w)").replace("slice(w,", "slice(__w,").replace("w[", "__w[")))
     made = F.struct(F.size("__w").cast("long").alias("n_words"), F.expr(_n_hit("__h")).alias("n_hit"), F.expr("array_distinct(transform(__h, h -> h.win))").alias("wins"), F.expr("transform(__h, h -> struct(h.i as i, h.width as width))").alias("spans"))
-    return out.withColumn("__c", made).drop("__w", "__h"), windows
+    return _fixed(out, made).drop("__w", "__h"), windows
+
+
+def _fixed(out: DataFrame, made: Column) -> DataFrame:
+    """Adds made as __c, and a row number __r: a filter that reads __r is not pushed below, where the optimizer would
+    put the whole window scan in place of each use of __c."""
+    return out.select("*", made.alias("__c"), F.monotonically_increasing_id().alias("__r"))
 
 
 def _joined_hits(docs: DataFrame, windows: DataFrame, text_col: str) -> DataFrame:
@@ -90,7 +96,7 @@ def _joined_hits(docs: DataFrame, windows: DataFrame, text_col: str) -> DataFram
     per = hits.groupBy(RID).agg(F.collect_list(F.struct("i", "width", "win")).alias("__h"))
     out = docs.join(per, RID, "left").withColumn("__h", F.coalesce("__h", F.expr("cast(array() as array<struct<i: int, width: int, win: string>>)")))
     made = F.struct(F.size(words(F.col(text_col))).cast("long").alias("n_words"), F.expr(_n_hit("__h")).alias("n_hit"), F.expr("array_distinct(transform(__h, h -> h.win))").alias("wins"), F.expr("transform(__h, h -> struct(h.i as i, h.width as width))").alias("spans"))
-    return out.withColumn("__c", made).drop("__h", RID)
+    return _fixed(out, made).drop("__h", RID)
 
 
 CONTAMINATED = "(__c.n_hit > 0 and 20 * __c.n_hit >= __c.n_words)"
@@ -111,7 +117,7 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, text_col: str = "text",
     (their text becomes the remaining normalised words joined by a space); all other columns pass through."""
     hit, _ = with_hits(docs, benchmark, text_col, max_literals)
     if mode == "document":
-        return hit.where(~F.expr(CONTAMINATED)).select(*docs.columns)
+        return hit.where(F.expr(f"__r >= 0 and not {CONTAMINATED}")).select(*docs.columns)
     kept = F.expr("filter(sequence(1, size(__v)), k -> not exists(__c.spans, s -> k >= s.i and k < s.i + s.width))")
     left = F.expr("array_join(transform(__k, k -> __v[k - 1]), ' ')")
     cut = hit.withColumn("__v", words(F.col(text_col))).withColumn("__k", F.when(F.expr("__c.n_hit > 0"), kept))
