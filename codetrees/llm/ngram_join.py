@@ -1,8 +1,10 @@
 """Exact n-gram Jaccard join over count vectors in R-trees, and the components of its links.
 
-A text's distinct 5-word shingles are hashed to 64 bits; a second hash deals them into 64 groups, whose counts are the
-text's point. For two texts the summed minima of their coordinates bound the overlap from above, and an R-tree node,
-which stores the coordinate maxima and the size range of its points, bounds it for all points below it.
+A text's distinct 5-word shingles are hashed to 64 bits, whose top bits deal them into 256 groups; the groups' counts are
+the text's point. For two texts the summed minima of their coordinates bound the overlap from above, and an R-tree node,
+which stores the coordinate maxima and the size range of its points, bounds it for all points below it. Counts are bytes;
+what goes beyond 255 is summed as the point's excess, whose minimum joins the bound. Pairs that the tree lets through are
+bounded once more by points of about as many groups as the texts have shingles.
 
 1. Leaders. In each task, then once more after a shuffle by the text's least shingle, texts are compared with the leaders
    met so far, best bound first, and verified links are kept. This finds most links of copies without pairing a group's
@@ -28,11 +30,11 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from codetrees.llm.common import RID, dropped, keyed, mix64, written
+from codetrees.llm.common import RID, dropped, keyed, mix64, release, written
 from codetrees.llm.components import label_components
 from codetrees.llm.textbytes import byte_columns, shingles
 
-GROUPS = 64
+GROUPS = 256
 LEADERS, TRIES = 64, 8  # of the first step only, which the second completes
 HELD_SHINGLES = 8_000_000  # of the leaders that a task remembers
 FREQUENT = 500  # a shingle in more than one of so many texts comes last in the order
@@ -48,9 +50,26 @@ def prefix_length(n: int, t: Fraction) -> int:
     return n - -(-t.numerator * n // t.denominator) + 1 if n else 0
 
 
-def count_vector(s: np.ndarray) -> np.ndarray:
-    """The point of a shingle set: counts of its shingles by group."""
-    return np.bincount((s >> np.uint64(58)).astype(np.int64), minlength=GROUPS).astype(np.uint32)
+def count_vector(s: np.ndarray, bits: int = 8) -> tuple[np.ndarray, int]:
+    """The point of a shingle set: counts of its shingles by group, cut at 255, and the sum of what was cut off."""
+    c = np.bincount((s >> np.uint64(64 - bits)).astype(np.int64), minlength=1 << bits)
+    return np.minimum(c, 255).astype(np.uint8), int(np.maximum(c - 255, 0).sum())
+
+
+def fine_vector(s: np.ndarray) -> bytes:
+    """A point of n/2 to n groups, but 256 at least, with its excess in front."""
+    c, excess = count_vector(s, max(8, len(s).bit_length() - 1))
+    return np.int64(excess).tobytes() + c.tobytes()
+
+
+def fine_bound(a: bytes, b: bytes) -> int:
+    """Upper bound of the overlap from two fine points; the finer one is folded to the groups of the other."""
+    x, y = np.frombuffer(a, np.uint8, offset=8), np.frombuffer(b, np.uint8, offset=8)
+    if len(x) > len(y):
+        x = x.reshape(len(y), -1).sum(1)
+    elif len(y) > len(x):
+        y = y.reshape(len(x), -1).sum(1)
+    return int(np.minimum(x, y).sum()) + min(int(np.frombuffer(a, np.int64, 1)[0]), int(np.frombuffer(b, np.int64, 1)[0]))
 
 
 def overlap(a: np.ndarray, b: np.ndarray) -> int:
@@ -67,8 +86,8 @@ def overlap(a: np.ndarray, b: np.ndarray) -> int:
 class CountRTree:
     """Bulk-loaded R-tree over count vectors: nodes hold coordinate maxima and size range; leaves hold up to `leaf` points."""
 
-    def __init__(self, points: np.ndarray, sizes: np.ndarray, leaf: int = 16):
-        self.points, self.sizes = points, sizes
+    def __init__(self, points: np.ndarray, sizes: np.ndarray, excess: np.ndarray, leaf: int = 16):
+        self.points, self.sizes, self.excess = points, sizes, excess
         order, spans = np.arange(len(sizes)), [(0, len(sizes))]
         levels = [spans]
         while max(b - a for a, b in spans) > leaf:
@@ -78,7 +97,7 @@ class CountRTree:
                     nxt.append((a, b))
                     continue
                 own = order[a:b]
-                x = np.column_stack([sizes[own], points[own]]) if a == 0 and b == len(sizes) else points[own]
+                x = points[own]
                 axis = int(np.argmax(x.max(0).astype(np.int64) - x.min(0)))
                 mid = (b - a) // 2
                 order[a:b] = own[np.argpartition(x[:, axis], mid)]
@@ -91,16 +110,16 @@ class CountRTree:
             low = np.array([a for a, _ in spans])
             high = np.array([b for _, b in spans])
             most = np.maximum.reduceat(points[order], low, axis=0)
-            self.levels.append((low, high, most, np.minimum.reduceat(sizes[order], low), np.maximum.reduceat(sizes[order], low)))
+            self.levels.append((low, high, most, np.minimum.reduceat(sizes[order], low), np.maximum.reduceat(sizes[order], low), np.maximum.reduceat(excess[order], low)))
 
-    def search(self, point: np.ndarray, size: int, t: Fraction) -> np.ndarray:
+    def search(self, point: np.ndarray, size: int, excess: int, t: Fraction) -> np.ndarray:
         """Indices of points whose size and bound allow Jaccard >= t with the query."""
         spans = None
-        for low, high, most, least_size, most_size in self.levels:
+        for low, high, most, least_size, most_size, most_excess in self.levels:
             at = np.arange(len(low)) if spans is None else np.flatnonzero(self._inside(low, spans))
             ok = (most_size[at] * t.denominator >= size * t.numerator) & (size * t.denominator >= least_size[at] * t.numerator)
             at = at[ok]
-            bound = np.minimum(most[at], point).sum(1)
+            bound = np.minimum(most[at], point).sum(1).astype(np.int64) + np.minimum(most_excess[at], excess)
             at = at[bound >= needed_overlap(size, np.maximum(least_size[at], -(-size * t.numerator // t.denominator)), t)]
             spans = (low[at], high[at])
             if not len(at):
@@ -109,7 +128,8 @@ class CountRTree:
         m = self.sizes[found]
         ok = (m * t.denominator >= size * t.numerator) & (size * t.denominator >= m * t.numerator)
         found, m = found[ok], m[ok]
-        return found[np.minimum(self.points[found], point).sum(1) >= needed_overlap(size, m, t)]
+        bound = np.minimum(self.points[found], point).sum(1).astype(np.int64) + np.minimum(self.excess[found], excess)
+        return found[bound >= needed_overlap(size, m, t)]
 
     @staticmethod
     def _inside(low: np.ndarray, spans) -> np.ndarray:
@@ -134,9 +154,9 @@ class Leaders:
             for other, kept, _ in own:
                 if len(kept) == n and np.array_equal(kept, s):
                     return other, True
-            v = count_vector(s)
+            v, excess = count_vector(s)
             sizes = np.array([len(o[1]) for o in own])
-            bound = np.minimum(np.stack([o[2] for o in own]), v).sum(1)
+            bound = np.minimum(np.stack([o[2][0] for o in own]), v).sum(1).astype(np.int64) + np.minimum([o[2][1] for o in own], excess)
             spare = bound - needed_overlap(n, sizes, self.t)
             for k in np.argsort(-spare)[:TRIES]:
                 if spare[k] < 0:
@@ -235,7 +255,7 @@ def _describe(t: Fraction, k: int, frequent: np.ndarray, rank: np.ndarray):
                 n = len(s)
                 to, same = leaders.attach(rid, s) if n else (rid, False)
                 if not n or same:
-                    rows.append((n, to, None, None))
+                    rows.append((n, to, None, None, None, None))
                     continue
                 p = prefix_length(n, t)
                 at = np.searchsorted(frequent, s)
@@ -247,8 +267,9 @@ def _describe(t: Fraction, k: int, frequent: np.ndarray, rank: np.ndarray):
                 if len(rare) < p:
                     last = s[common]
                     rare = np.concatenate([rare, last[np.argsort(rank[at[common]], kind="stable")][: p - len(rare)]])
-                rows.append((n, to, rare.tobytes(), count_vector(s).tobytes()))
-            yield pa.RecordBatch.from_arrays([b.column(RID), pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.int64()), pa.array([r[2] for r in rows], pa.binary()), pa.array([r[3] for r in rows], pa.binary())], names=[RID, "n", "leader", "prefix", "point"])
+                point, excess = count_vector(s)
+                rows.append((n, to, rare.tobytes(), point.tobytes(), excess, fine_vector(s)))
+            yield pa.RecordBatch.from_arrays([b.column(RID), pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.int64()), pa.array([r[2] for r in rows], pa.binary()), pa.array([r[3] for r in rows], pa.binary()), pa.array([r[4] for r in rows], pa.int64()), pa.array([r[5] for r in rows], pa.binary())], names=[RID, "n", "leader", "prefix", "point", "excess", "fine"])
 
     return run
 
@@ -311,7 +332,7 @@ def _pairs(t: Fraction):
     """Sorted by group block: pairs of different components whose bound reaches the needed overlap."""
 
     def search(rows):
-        rid, comp, n, point, side = rows
+        rid, comp, n, point, excess, side = rows
         m = len(rid)
         out = []
         if len(set(comp.tolist())) < 2:
@@ -323,18 +344,18 @@ def _pairs(t: Fraction):
             if cross:
                 ok &= side[i] != side[j]
             i, j = i[ok], j[ok]
-            bound = np.minimum(point[i], point[j]).sum(1)
+            bound = np.minimum(point[i], point[j]).sum(1).astype(np.int64) + np.minimum(excess[i], excess[j])
             need = needed_overlap(n[i], n[j], t)
             good = bound >= need
             return list(zip(rid[i[good]], rid[j[good]], comp[i[good]], comp[j[good]], bound[good] - need[good], strict=True))
-        tree = CountRTree(point, n)
+        tree = CountRTree(point, n, excess)
         for i in range(m):
             if cross and side[i]:
                 continue
-            j = tree.search(point[i], int(n[i]), t)
+            j = tree.search(point[i], int(n[i]), int(excess[i]), t)
             j = j[(comp[j] != comp[i]) & ((side[j] != side[i]) if cross else (j > i))]
             if len(j):
-                spare = np.minimum(point[j], point[i]).sum(1) - needed_overlap(n[j], n[i], t)
+                spare = np.minimum(point[j], point[i]).sum(1).astype(np.int64) + np.minimum(excess[j], excess[i]) - needed_overlap(n[j], n[i], t)
                 out += [(rid[i], rid[x], comp[i], comp[x], y) for x, y in zip(j, spare, strict=True)]
         return out
 
@@ -356,8 +377,8 @@ def _pairs(t: Fraction):
             g, p = b.column("g").to_numpy(), b.column("part").to_numpy()
             cut = np.concatenate([[0], np.flatnonzero((np.diff(g) != 0) | (np.diff(p) != 0)) + 1, [len(g)]])
             data, off = byte_columns(b.column("point"))
-            point = np.frombuffer(data[off[0] : off[-1]].tobytes(), np.uint32).reshape(-1, GROUPS)
-            cols = (b.column(RID).to_numpy(), b.column("comp").to_numpy(), b.column("n").to_numpy(), point, b.column("side").to_numpy(zero_copy_only=False))
+            point = np.frombuffer(data[off[0] : off[-1]].tobytes(), np.uint8).reshape(-1, GROUPS)
+            cols = (b.column(RID).to_numpy(), b.column("comp").to_numpy(), b.column("n").to_numpy(), point, b.column("excess").to_numpy(), b.column("side").to_numpy(zero_copy_only=False))
             found = []
             for a, z in zip(cut[:-1], cut[1:], strict=True):
                 if (g[a], p[a]) != name:
@@ -373,6 +394,21 @@ def _pairs(t: Fraction):
     return run
 
 
+def _finer(t: Fraction):
+    """Pairs whose fine points let them through, with that bound's surplus as `spare`."""
+
+    def run(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            cols = [b.column(c).to_pylist() for c in ("na", "nb", "fa", "fb")]
+            spare = np.array([fine_bound(x, y) - needed_overlap(n, m, t) for n, m, x, y in zip(*cols, strict=True)], np.int64)
+            keep = pa.array(spare >= 0)
+            yield pa.RecordBatch.from_arrays([*(b.column(c).filter(keep) for c in ("a", "b", "ca", "cb")), pa.array(spare[spare >= 0])], names=["a", "b", "ca", "cb", "spare"])
+
+    return run
+
+
 def _make_sets(k: int):
     def run(batches):
         import pyarrow as pa
@@ -417,13 +453,14 @@ def similarity_links(docs: DataFrame, t: Fraction, k: int, block: int = 20_000)
     floor = max(20, docs.count() // FREQUENT)
     first = first.repartition("key").sortWithinPartitions("key").mapInArrow(_shared_leaders(t, k, floor), "kind long, a long, b long")
     first = written(first, "leaders")
+    release(spark)
     heavy = first.where("kind = 1").orderBy(F.desc("b"), "a").limit(100_000).select("a", "b").collect()  # order only
     frequent = np.array([r["a"] for r in heavy], np.int64).view(np.uint64)
     counts = np.array([r["b"] for r in heavy], np.int64)
     order = np.argsort(frequent)
     frequent, counts = frequent[order], counts[order]
 
-    texts = written(docs.mapInArrow(_describe(t, k, frequent, counts), f"{RID} long, n long, leader long, prefix binary, point binary"), "texts")
+    texts = written(docs.mapInArrow(_describe(t, k, frequent, counts), f"{RID} long, n long, leader long, prefix binary, point binary, excess long, fine binary"), "texts")
     alias = first.where("kind = 0").select(F.col("a").alias("leader"), F.col("b").alias("further"))
     comps = written(texts.select(RID, "n", "leader").join(alias, "leader", "left").select(RID, "n", F.coalesce("further", "leader").alias("comp")), "comps")
 
@@ -440,12 +477,19 @@ def similarity_links(docs: DataFrame, t: Fraction, k: int, block: int = 20_000)
     member = member.withColumn("own", own).withColumn("o", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)))
     lo, hi = F.least("own", "o"), F.greatest("own", "o")
     member = member.select("g", (lo * F.col("nb") + hi).alias("part"), ((F.col("own") == hi) & (lo != hi)).alias("side"), RID, "comp")
-    full = member.join(texts.where("point is not null").select(RID, "n", "point"), RID)
-    full = full.select("g", "part", RID, "comp", "n", "point", "side").repartition("g", "part").sortWithinPartitions("g", "part")
+    full = member.join(texts.where("point is not null").select(RID, "n", "point", "excess"), RID)
+    full = full.select("g", "part", RID, "comp", "n", "point", "excess", "side").repartition("g", "part").sortWithinPartitions("g", "part")
     pairs = full.mapInArrow(_pairs(t), "a long, b long, ca long, cb long, spare long")
     x, y = F.least("ca", "cb"), F.greatest("ca", "cb")
-    pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), x.alias("ca"), y.alias("cb"), "spare").distinct()
-    pairs = written(pairs, "pairs")
+    pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), x.alias("ca"), y.alias("cb")).distinct()
+    pairs = written(pairs, "coarse")
+    del full, member, mixed, dealt, prefixes
+    release(spark)
+    fine = texts.where("fine is not null").select(RID, "n", "fine")
+    closer = pairs.join(fine.select(F.col(RID).alias("a"), F.col("n").alias("na"), F.col("fine").alias("fa")), "a").join(fine.select(F.col(RID).alias("b"), F.col("n").alias("nb"), F.col("fine").alias("fb")), "b")
+    pairs = written(closer.select("a", "b", "ca", "cb", "na", "nb", "fa", "fb").mapInArrow(_finer(t), "a long, b long, ca long, cb long, spare long"), "pairs")
+    del closer
+    release(spark)
     best = pairs.groupBy("ca", "cb").agg(F.max_by(F.struct("a", "b"), F.struct("spare", "a", "b")).alias("p")).select("p.a", "p.b", "ca", "cb")
     found = _verify(best, docs, t, k)
     # Should a further leader have met another local leader in pass 2 than in pass 1, its own comp is a link too.
