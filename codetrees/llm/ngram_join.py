@@ -12,8 +12,8 @@ bounded once more by points of about as many groups as the texts have shingles.
 2. All other links. Any two texts over the threshold share one of their first n - ceil(t n) + 1 shingles in a common
    order (very frequent shingles last). Shingles met by several representatives become groups; groups inside one component
    are dropped; the rest are searched by R-tree for pairs of different components whose bound reaches the needed
-   overlap. Groups of any size are searched in blocks. Surviving pairs are verified on the shingle sets: first the best
-   pair of every two components, then, among components still apart, every pair.
+   overlap. Groups of any size are searched in blocks. Surviving pairs are verified on the shingle sets: for a few
+   rounds the best pair of every component, then, among components still apart, every pair.
 3. Components of all verified links, by large-star and small-star steps on tables.
 
 Edge rules: null and empty texts, or texts without words, have no shingles and link with nothing; texts shorter than n
@@ -37,6 +37,7 @@ from codetrees.llm.textbytes import byte_columns, shingles
 GROUPS = 256
 LEADERS, TRIES = 64, 8  # of the first step only, which the second completes
 HELD_SHINGLES = 8_000_000  # of the leaders that a task remembers
+ROUNDS = 3  # in which every component tries its best pair only
 FREQUENT = 500  # a shingle in more than one of so many texts comes last in the order
 
 
@@ -395,16 +396,15 @@ def _pairs(t: Fraction):
 
 
 def _finer(t: Fraction):
-    """Pairs whose fine points let them through, with that bound's surplus as `spare`."""
+    """Pairs whose fine points let them through."""
 
     def run(batches):
         import pyarrow as pa
 
         for b in batches:
             cols = [b.column(c).to_pylist() for c in ("na", "nb", "fa", "fb")]
-            spare = np.array([fine_bound(x, y) - needed_overlap(n, m, t) for n, m, x, y in zip(*cols, strict=True)], np.int64)
-            keep = pa.array(spare >= 0)
-            yield pa.RecordBatch.from_arrays([*(b.column(c).filter(keep) for c in ("a", "b", "ca", "cb")), pa.array(spare[spare >= 0])], names=["a", "b", "ca", "cb", "spare"])
+            keep = pa.array([fine_bound(x, y) >= needed_overlap(n, m, t) for n, m, x, y in zip(*cols, strict=True)], pa.bool_())
+            yield pa.RecordBatch.from_arrays([b.column(c).filter(keep) for c in ("a", "b", "ca", "cb")], names=["a", "b", "ca", "cb"])
 
     return run
 
@@ -444,6 +444,18 @@ def _verify(pairs: DataFrame, docs: DataFrame, t: Fraction, k: int) -> DataFrame
     return out
 
 
+def _apart(pairs: DataFrame, labels: DataFrame) -> DataFrame:
+    """Pairs whose components are not joined yet, with their components' labels."""
+    out = pairs.join(labels.select(F.col("node").alias("ca"), F.col("label").alias("la")), "ca", "left").join(labels.select(F.col("node").alias("cb"), F.col("label").alias("lb")), "cb", "left")
+    return out.withColumn("la", F.coalesce("la", "ca")).withColumn("lb", F.coalesce("lb", "cb")).where("la <> lb")
+
+
+def _closer(pairs: DataFrame, fine: DataFrame, t: Fraction) -> DataFrame:
+    """Pairs that the finer points let through."""
+    both = pairs.join(fine.select(F.col(RID).alias("a"), F.col("n").alias("na"), F.col("fine").alias("fa")), "a").join(fine.select(F.col(RID).alias("b"), F.col("n").alias("nb"), F.col("fine").alias("fb")), "b")
+    return written(both.select("a", "b", "ca", "cb", "na", "nb", "fa", "fb").mapInArrow(_finer(t), "a long, b long, ca long, cb long"), "closer")
+
+
 def similarity_links(docs: DataFrame, t: Fraction, k: int, block: int = 20_000) -> tuple[DataFrame, DataFrame]:
     """docs: RID, text -> (one row per text: RID, n, comp), (label of comps: node, label). Texts are connected by links
     of Jaccard >= t exactly when the labels of their comps are equal (a comp without a row is its own label)."""
@@ -481,30 +493,33 @@ def similarity_links(docs: DataFrame, t: Fraction, k: int, block: int = 20_000)
     full = full.select("g", "part", RID, "comp", "n", "point", "excess", "side").repartition("g", "part").sortWithinPartitions("g", "part")
     pairs = full.mapInArrow(_pairs(t), "a long, b long, ca long, cb long, spare long")
     x, y = F.least("ca", "cb"), F.greatest("ca", "cb")
-    pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), x.alias("ca"), y.alias("cb")).distinct()
-    pairs = written(pairs, "coarse")
+    pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), x.alias("ca"), y.alias("cb"), "spare").distinct()
+    pairs = written(pairs, "pairs")
     del full, member, mixed, dealt, prefixes
     release(spark)
-    fine = texts.where("fine is not null").select(RID, "n", "fine")
-    closer = pairs.join(fine.select(F.col(RID).alias("a"), F.col("n").alias("na"), F.col("fine").alias("fa")), "a").join(fine.select(F.col(RID).alias("b"), F.col("n").alias("nb"), F.col("fine").alias("fb")), "b")
-    pairs = written(closer.select("a", "b", "ca", "cb", "na", "nb", "fa", "fb").mapInArrow(_finer(t), "a long, b long, ca long, cb long, spare long"), "pairs")
-    del closer
-    release(spark)
-    best = pairs.groupBy("ca", "cb").agg(F.max_by(F.struct("a", "b"), F.struct("spare", "a", "b")).alias("p")).select("p.a", "p.b", "ca", "cb")
-    found = _verify(best, docs, t, k)
     # Should a further leader have met another local leader in pass 2 than in pass 1, its own comp is a link too.
     moved = alias.select(F.col("further").alias(RID)).distinct().join(comps.select(RID, "comp"), RID).where(F.col(RID) != F.col("comp")).select(F.col(RID).alias("a"), F.col("comp").alias("b"))
-    known = found.select(F.col("ca").alias("a"), F.col("cb").alias("b")).unionByName(moved)
-    labels = label_components(known)
-    rest = pairs.join(best.select("a", "b"), ["a", "b"], "left_anti")
-    rest = rest.join(labels.select(F.col("node").alias("ca"), F.col("label").alias("la")), "ca", "left").join(labels.select(F.col("node").alias("cb"), F.col("label").alias("lb")), "cb", "left")
-    rest = rest.where(F.coalesce("la", "ca") != F.coalesce("lb", "cb")).select("a", "b", "ca", "cb")
-    rest = written(rest, "rest")
-    if not rest.isEmpty():
-        more = _verify(rest, docs, t, k)
-        if not more.isEmpty():
-            labels = label_components(known.unionByName(more.select(F.col("ca").alias("a"), F.col("cb").alias("b"))))
-    dropped(texts, groups, pairs, rest)
+    known, labels = moved, label_components(moved)
+    fine = texts.where("fine is not null").select(RID, "n", "fine")
+    for step in range(ROUNDS + 1):
+        apart = _apart(pairs, labels)
+        if step < ROUNDS:  # the best pair of every component only: a family's parts find each other
+            ends = apart.select(F.col("la").alias("c"), "a", "b", "ca", "cb", "spare").unionByName(apart.select(F.col("lb").alias("c"), "a", "b", "ca", "cb", "spare"))
+            tried = ends.groupBy("c").agg(F.max_by(F.struct("a", "b", "ca", "cb"), F.struct("spare", "a", "b")).alias("p")).select("p.*").distinct()
+        else:  # components still apart: all their pairs
+            tried = apart.select("a", "b", "ca", "cb")
+        tried = written(tried, "tried")
+        if tried.isEmpty():
+            break
+        found = _verify(_closer(tried, fine, t), docs, t, k)
+        known = known.unionByName(found.select(F.col("ca").alias("a"), F.col("cb").alias("b")))
+        labels = label_components(known)
+        if step < ROUNDS:
+            left = written(apart.select("a", "b", "ca", "cb", "spare").join(tried.select("a", "b"), ["a", "b"], "left_anti"), "pairs")
+            dropped(pairs, tried)
+            pairs = left
+        release(spark)
+    dropped(texts, groups, pairs)
     return comps, labels
 
 
