@@ -23,6 +23,8 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from codetrees.llm.common import small_batches, tidy
+
 # Control strings of the template.
 CONTROL = ["<s>", "</s>", "[INST]", "[/INST]", "<<SYS>>", "<</SYS>>", "<|", "|>"]
 
@@ -122,10 +124,11 @@ def _format(batches):
 def format_turns(df: DataFrame, conv_col: str = "conv_id", turn_col: str = "turn", role_col: str = "role", text_col: str = "text") -> DataFrame:
     """One row per turn, in order within its partition: conv, first, formatted (bytes), loss_start and loss_end (byte
     span of the text under the loss mask; empty but for assistants)."""
+    small_batches(df.sparkSession)
     rows = df.select(F.col(conv_col).alias("conv"), F.col(turn_col).alias("turn"), F.col(role_col).cast("string").alias("role"), F.col(text_col).cast("string").alias("text"))
     rows = rows.repartition("conv").sortWithinPartitions("conv", "turn", "text", "role")
     kind = rows.schema["conv"].dataType.simpleString()
-    return rows.mapInArrow(_format, f"conv {kind}, first boolean, formatted binary, loss_start long, loss_end long")
+    return rows.mapInArrow(tidy(_format), f"conv {kind}, first boolean, formatted binary, loss_start long, loss_end long")
 
 
 def chars(b: bytes) -> int:
@@ -170,13 +173,13 @@ def _read_back(batches):
 def conversation_digests(turns: DataFrame) -> DataFrame:
     """Read formatted turns back, streaming: one row per conversation."""
     kind = turns.schema["conv"].dataType.simpleString()
-    return turns.mapInArrow(_read_back, f"conv_id {kind}, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long")
+    return turns.mapInArrow(tidy(_read_back), f"conv_id {kind}, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long")
 
 
 def format_conversations(df: DataFrame, **columns) -> DataFrame:
     """One row per conversation with its whole formatted text (for conversations that fit a row): conv_id, formatted."""
     turns = format_turns(df, **columns)
-    return turns.mapInArrow(_join_turns, f"conv_id {turns.schema['conv'].dataType.simpleString()}, formatted string")
+    return turns.mapInArrow(tidy(_join_turns), f"conv_id {turns.schema['conv'].dataType.simpleString()}, formatted string")
 
 
 def _join_turns(batches):

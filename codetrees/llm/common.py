@@ -28,6 +28,7 @@ def shared_dir(spark: SparkSession) -> str:
 def written(df: DataFrame, name: str) -> DataFrame:
     """Write df as Parquet into the shared folder and read it back: cuts lineage and survives lost executors."""
     spark = df.sparkSession
+    small_batches(spark)
     path = f"{shared_dir(spark)}/codetrees/{uuid.uuid4().hex}-{name}"
     df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
@@ -45,6 +46,37 @@ def dropped(*tables: DataFrame) -> None:
             p.getFileSystem(jsc.hadoopConfiguration()).delete(p, True)
 
 
+def small_batches(spark: SparkSession, most: int = 4 << 20) -> None:
+    """Bound the bytes of the Arrow batches that Python workers get, as texts can be long: a setting of the session that
+    may change at run time, lowered only where it is larger."""
+    name = "spark.sql.execution.arrow.maxBytesPerBatch"
+    now = str(spark.conf.get(name))
+    if not now.rstrip("bB").isdigit() or int(now.rstrip("bB")) > most:
+        spark.conf.set(name, str(most))
+
+
+def tidy(run):
+    """A function for mapInArrow that gives memory back to the system when its task is done: worker processes stay alive
+    for later tasks, and what they keep would add up."""
+
+    def tidied(batches):
+        try:
+            yield from run(batches)
+        finally:
+            import ctypes
+
+            import pyarrow as pa
+
+            gc.collect()
+            pa.default_memory_pool().release_unused()
+            try:
+                ctypes.CDLL("libc.so.6").malloc_trim(0)
+            except (OSError, AttributeError):
+                pass  # another C library
+
+    return tidied
+
+
 def release(spark: SparkSession) -> None:
     """Let Spark's cleaner delete the shuffle files of plans that are no longer referenced, as the driver seldom
     collects its garbage by itself."""
@@ -61,6 +93,7 @@ def keyed(df: DataFrame, id_col: str, cols: list[str]) -> DataFrame:
     """df's cols plus a unique long RID. A RID that df has already is taken over; else the id itself serves when it is an
     integer, never null and never repeated (one aggregation over the id column decides); else rows are numbered and
     written once, so that the numbers stay."""
+    small_batches(df.sparkSession)
     cols = list(dict.fromkeys([id_col, *cols]))
     if RID in df.columns:
         return df.select(RID, *(c for c in cols if c != RID))

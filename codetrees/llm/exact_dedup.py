@@ -17,7 +17,7 @@ import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from codetrees.llm.common import RID, ascii_lower, dropped, keyed, written
+from codetrees.llm.common import RID, ascii_lower, dropped, keyed, small_batches, tidy, written
 
 ENTRY = np.dtype([("d", "S32"), ("order", "<i8"), ("rid", "<i8"), ("n", "<i8")])
 
@@ -140,8 +140,8 @@ def digest_index(digests: DataFrame, memtable_rows: int = 500_000) -> DataFrame:
     """(digest binary(32), order long, RID long) -> one row per digest: digest, keep_rid, group_size."""
     spark = digests.sparkSession
     shards = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    runs = digests.select("digest", "order", RID).mapInArrow(_flush_runs(memtable_rows, shards), "shard int, run binary")
-    return runs.repartition(shards, "shard").mapInArrow(_compact, "digest binary, keep_rid long, group_size long")
+    runs = digests.select("digest", "order", RID).mapInArrow(tidy(_flush_runs(memtable_rows, shards)), "shard int, run binary")
+    return runs.repartition(shards, "shard").mapInArrow(tidy(_compact), "digest binary, keep_rid long, group_size long")
 
 
 def exact_dedup(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "smallest", digest_bytes: int = 32) -> DataFrame:

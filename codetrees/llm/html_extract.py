@@ -20,6 +20,8 @@ import re
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from codetrees.llm.common import small_batches, tidy
+
 # Element kinds of HTML.
 VOID = {"area", "base", "br", "col", "embed", "hr", "img", "input", "link", "meta", "param", "source", "track", "wbr"}
 RAW = {"script", "style", "noscript", "template", "textarea", "title", "iframe", "svg", "math", "object", "canvas", "audio", "video"}
@@ -216,8 +218,9 @@ def _extract(batches):
 
 def extract(df: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
     """One row per page: id, url, text, n_chars."""
+    small_batches(df.sparkSession)
     rows = df.select(F.col(id_col).alias("id"), F.col(url_col).cast("string").alias("url"), F.col(html_col).cast("string").alias("html"))
-    out = rows.mapInArrow(_extract, f"id {df.schema[id_col].dataType.simpleString()}, url string, text string, n_chars long")
+    out = rows.mapInArrow(tidy(_extract), f"id {df.schema[id_col].dataType.simpleString()}, url string, text string, n_chars long")
     return out.withColumnRenamed("id", id_col).withColumnRenamed("url", url_col)
 
 

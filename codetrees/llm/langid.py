@@ -17,7 +17,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from codetrees.llm.common import crc32_mod, mix64
+from codetrees.llm.common import crc32_mod, mix64, small_batches, tidy
 from codetrees.llm.textbytes import byte_columns
 
 BUCKETS = 1 << 15
@@ -171,9 +171,10 @@ def fit(rows: list[tuple[str, np.ndarray, np.ndarray]], dim: int = 16, epochs: i
 def train_language_model(df: DataFrame, text_col: str = "text", lang_col: str = "lang", order_col: str = "doc_id", max_rows: int = 2500, **options) -> Model | None:
     """Fit on at most max_rows labelled rows (the documented bound), taken in hash order of order_col, whole texts."""
     rows = df.where(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull()).orderBy(F.xxhash64(F.col(order_col).cast("string")), order_col)
+    small_batches(df.sparkSession)
     ids = rows.select(order_col).limit(max_rows)
     some = df.where(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull()).join(F.broadcast(ids.distinct()), order_col, "left_semi")
-    got = some.select(F.col(lang_col).cast("string").alias("lang"), F.col(text_col).alias("text"), order_col).drop(order_col).mapInArrow(_features, "lang string, idx binary, cnt binary").collect()
+    got = some.select(F.col(lang_col).cast("string").alias("lang"), F.col(text_col).alias("text"), order_col).drop(order_col).mapInArrow(tidy(_features), "lang string, idx binary, cnt binary").collect()
     data = sorted(((r["lang"], np.frombuffer(r["idx"], "<i4"), np.frombuffer(r["cnt"], "<f4")) for r in got), key=lambda r: (r[0], len(r[1]), r[1].tobytes()[:64]))
     rng = np.random.default_rng(3)
     data = [data[i] for i in rng.permutation(len(data))]
@@ -212,9 +213,10 @@ def _predict(model: Model | None, reject: bool):
 def identify(df: DataFrame, model: Model | None, id_col: str = "doc_id", text_col: str = "text", reject: bool = True) -> DataFrame:
     """One row per document: id, lang_pred, score (calibrated), sure (score at or over the rejection threshold).
     reject: say `und` where not sure."""
+    small_batches(df.sparkSession)
     kind = df.schema[id_col].dataType.simpleString()
     rows = df.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
-    return rows.mapInArrow(_predict(model, reject), f"id {kind}, lang_pred string, score double, sure boolean").withColumnRenamed("id", id_col)
+    return rows.mapInArrow(tidy(_predict(model, reject)), f"id {kind}, lang_pred string, score double, sure boolean").withColumnRenamed("id", id_col)
 
 
 def op6_language_id(spark, sf_dir: str) -> DataFrame:

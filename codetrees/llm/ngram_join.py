@@ -30,13 +30,14 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from codetrees.llm.common import RID, dropped, keyed, mix64, release, written
+from codetrees.llm.common import RID, dropped, keyed, mix64, release, small_batches, tidy, written
 from codetrees.llm.components import label_components
 from codetrees.llm.textbytes import byte_columns, shingles
 
 GROUPS = 256
 LEADERS, TRIES = 64, 8  # of the first step only, which the second completes
 HELD_SHINGLES = 8_000_000  # of the leaders that a task remembers
+COUNTED = 3_000_000  # shingles counted together in a task
 ROUNDS = 3  # in which every component tries its best pair only
 FREQUENT = 500  # a shingle in more than one of so many texts comes last in the order
 
@@ -193,22 +194,28 @@ def _local_leaders(t: Fraction, k: int):
     def run(batches):
         import pyarrow as pa
 
-        leaders = Leaders(t)
+        leaders, held, kind = Leaders(t), [], None
+
+        def frequent():
+            u, c = np.unique(np.concatenate(held), return_counts=True)
+            many = c >= max(3, len(held) // FREQUENT)
+            return pa.RecordBatch.from_arrays([pa.array(u[many].view(np.int64)), pa.array(c[many].astype(np.int64)), pa.nulls(int(many.sum()), kind)], names=["key", "n", "text"])
+
         for b in _parts(batches):
-            rids, keep, keys, sets = b.column(RID).to_pylist(), [], [], []
+            rids, keep, keys, kind = b.column(RID).to_pylist(), [], [], b.schema.field("text").type
             for i, s in enumerate(_sets(b, "text", k)):
-                sets.append(s)
+                held.append(s)
                 if len(s) and leaders.attach(rids[i], s)[0] == rids[i]:
                     keep.append(i)
                     keys.append(int(s[0]))
             if keep:
                 out = b.take(pa.array(keep))
                 yield pa.RecordBatch.from_arrays([pa.array(np.array(keys, np.uint64).view(np.int64)), out.column(RID), out.column("text")], names=["key", "n", "text"])
-            every = np.concatenate(sets) if sets else np.zeros(0, np.uint64)
-            u, c = np.unique(every, return_counts=True)
-            many = c >= max(3, len(sets) // FREQUENT)
-            if many.any():
-                yield pa.RecordBatch.from_arrays([pa.array(u[many].view(np.int64)), pa.array(c[many].astype(np.int64)), pa.nulls(int(many.sum()), b.schema.field("text").type)], names=["key", "n", "text"])
+            if sum(map(len, held)) > COUNTED:
+                yield frequent()
+                held = []
+        if held:
+            yield frequent()
 
     return run
 
@@ -436,10 +443,10 @@ def _verified(t: Fraction):
 
 def _verify(pairs: DataFrame, docs: DataFrame, t: Fraction, k: int) -> DataFrame:
     need = pairs.select(F.col("a").alias(RID)).unionByName(pairs.select(F.col("b").alias(RID))).distinct()
-    sets = docs.join(need, RID, "left_semi").mapInArrow(_make_sets(k), f"{RID} long, s binary")
+    sets = docs.join(need, RID, "left_semi").mapInArrow(tidy(_make_sets(k)), f"{RID} long, s binary")
     sets = written(sets, "sets")
     both = pairs.join(sets.select(F.col(RID).alias("a"), F.col("s").alias("sa")), "a").join(sets.select(F.col(RID).alias("b"), F.col("s").alias("sb")), "b")
-    out = written(both.select("a", "b", "ca", "cb", "sa", "sb").mapInArrow(_verified(t), "a long, b long, ca long, cb long"), "verified")
+    out = written(both.select("a", "b", "ca", "cb", "sa", "sb").mapInArrow(tidy(_verified(t)), "a long, b long, ca long, cb long"), "verified")
     dropped(sets)
     return out
 
@@ -453,7 +460,7 @@ def _apart(pairs: DataFrame, labels: DataFrame) -> DataFrame:
 def _closer(pairs: DataFrame, fine: DataFrame, t: Fraction) -> DataFrame:
     """Pairs that the finer points let through."""
     both = pairs.join(fine.select(F.col(RID).alias("a"), F.col("n").alias("na"), F.col("fine").alias("fa")), "a").join(fine.select(F.col(RID).alias("b"), F.col("n").alias("nb"), F.col("fine").alias("fb")), "b")
-    return written(both.select("a", "b", "ca", "cb", "na", "nb", "fa", "fb").mapInArrow(_finer(t), "a long, b long, ca long, cb long"), "closer")
+    return written(both.select("a", "b", "ca", "cb", "na", "nb", "fa", "fb").mapInArrow(tidy(_finer(t)), "a long, b long, ca long, cb long"), "closer")
 
 
 def similarity_links(docs: DataFrame, t: Fraction, k: int, block: int = 20_000) -> tuple[DataFrame, DataFrame]:
@@ -461,9 +468,9 @@ def similarity_links(docs: DataFrame, t: Fraction, k: int, block: int = 20_000)
     of Jaccard >= t exactly when the labels of their comps are equal (a comp without a row is its own label)."""
     spark = docs.sparkSession
     parts = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    first = docs.mapInArrow(_local_leaders(t, k), f"key long, n long, text {docs.schema['text'].dataType.simpleString()}")
+    first = docs.mapInArrow(tidy(_local_leaders(t, k)), f"key long, n long, text {docs.schema['text'].dataType.simpleString()}")
     floor = max(20, docs.count() // FREQUENT)
-    first = first.repartition("key").sortWithinPartitions("key").mapInArrow(_shared_leaders(t, k, floor), "kind long, a long, b long")
+    first = first.repartition("key").sortWithinPartitions("key").mapInArrow(tidy(_shared_leaders(t, k, floor)), "kind long, a long, b long")
     first = written(first, "leaders")
     release(spark)
     heavy = first.where("kind = 1").orderBy(F.desc("b"), "a").limit(100_000).select("a", "b").collect()  # order only
@@ -472,15 +479,15 @@ def similarity_links(docs: DataFrame, t: Fraction, k: int, block: int = 20_000)
     order = np.argsort(frequent)
     frequent, counts = frequent[order], counts[order]
 
-    texts = written(docs.mapInArrow(_describe(t, k, frequent, counts), f"{RID} long, n long, leader long, prefix binary, point binary, excess long, fine binary"), "texts")
+    texts = written(docs.mapInArrow(tidy(_describe(t, k, frequent, counts)), f"{RID} long, n long, leader long, prefix binary, point binary, excess long, fine binary"), "texts")
     alias = first.where("kind = 0").select(F.col("a").alias("leader"), F.col("b").alias("further"))
     comps = written(texts.select(RID, "n", "leader").join(alias, "leader", "left").select(RID, "n", F.coalesce("further", "leader").alias("comp")), "comps")
 
     prefixes = texts.where("prefix is not null").select(RID, "prefix")
     total = texts.agg(F.sum(F.octet_length("prefix"))).first()[0] or 0
     buckets = max(parts, -(-total // 8 // 4_000_000))
-    dealt = prefixes.mapInArrow(_deal_keys(buckets), "bucket int, keys binary, rids binary").repartition(buckets, "bucket")
-    groups = written(dealt.mapInArrow(_groups, f"g long, {RID} long").distinct(), "groups")
+    dealt = prefixes.mapInArrow(tidy(_deal_keys(buckets)), "bucket int, keys binary, rids binary").repartition(buckets, "bucket")
+    groups = written(dealt.mapInArrow(tidy(_groups), f"g long, {RID} long").distinct(), "groups")
     member = groups.join(comps.select(RID, "comp"), RID)
     mixed = member.groupBy("g").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("m")).where("lo <> hi").select("g", "m")
     member = member.join(mixed, "g").withColumn("nb", F.ceil(F.col("m") / block).cast("int"))
@@ -491,7 +498,7 @@ def similarity_links(docs: DataFrame, t: Fraction, k: int, block: int = 20_000)
     member = member.select("g", (lo * F.col("nb") + hi).alias("part"), ((F.col("own") == hi) & (lo != hi)).alias("side"), RID, "comp")
     full = member.join(texts.where("point is not null").select(RID, "n", "point", "excess"), RID)
     full = full.select("g", "part", RID, "comp", "n", "point", "excess", "side").repartition("g", "part").sortWithinPartitions("g", "part")
-    pairs = full.mapInArrow(_pairs(t), "a long, b long, ca long, cb long, spare long")
+    pairs = full.mapInArrow(tidy(_pairs(t)), "a long, b long, ca long, cb long, spare long")
     x, y = F.least("ca", "cb"), F.greatest("ca", "cb")
     pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), x.alias("ca"), y.alias("cb"), "spare").distinct()
     pairs = written(pairs, "pairs")

@@ -20,7 +20,7 @@ import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from codetrees.llm.common import worker_cache, written
+from codetrees.llm.common import small_batches, tidy, worker_cache, written
 
 END_ID = 2
 SIZE = 1024
@@ -223,7 +223,7 @@ def pack(df: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text_col: s
     kind = df.schema[id_col].dataType.simpleString()
     schema = f"id {kind}, piece int, start long, length long, ids_crc32 long, pid int, rank long" + (", ids array<int>" if with_ids else "")
     rows = df.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
-    pieces = written(rows.mapInArrow(_pieces(tokenizer_path, size, end_id, with_ids, kind), schema), "pieces")
+    pieces = written(rows.mapInArrow(tidy(_pieces(tokenizer_path, size, end_id, with_ids, kind)), schema), "pieces")
     counts = pieces.groupBy("pid", "length").agg(F.count("*").alias("n"))
     before = F.sum("n").over(Window.partitionBy("length").orderBy("pid").rowsBetween(Window.unboundedPreceding, -1))
     counts = written(counts.select("pid", "length", "n", F.coalesce(before, F.lit(0)).alias("base")), "counts")
@@ -232,7 +232,7 @@ def pack(df: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text_col: s
         hist[r["length"]] = r["n"]
     ranked = pieces.join(counts.select("pid", "length", "base"), ["pid", "length"]).withColumn("grank", F.col("base") + F.col("rank"))
     cols = ["id", "piece", "start", "length", "ids_crc32", *(["ids"] if with_ids else [])]
-    out = ranked.select(*cols, "grank").mapInArrow(_assign(slots(plan(hist, size))), f"id {kind}, piece int, start long, length long, ids_crc32 long" + (", ids array<int>" if with_ids else "") + ", sequence_id long, offset long")
+    out = ranked.select(*cols, "grank").mapInArrow(tidy(_assign(slots(plan(hist, size)))), f"id {kind}, piece int, start long, length long, ids_crc32 long" + (", ids array<int>" if with_ids else "") + ", sequence_id long, offset long")
     return out.withColumnRenamed("id", id_col)
 
 

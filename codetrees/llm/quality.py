@@ -17,14 +17,14 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from codetrees.llm.common import crc32_mod
+from codetrees.llm.common import crc32_mod, small_batches, tidy
 from codetrees.llm.textbytes import byte_columns, word_hashes
 
 PASSAGE = 64  # words
 HASHED = 24
 KINDS = 11
 FEATURES = KINDS + 7 + HASHED
-BLOCK = 1 << 20
+BLOCK = 1 << 18
 
 
 def _kinds() -> np.ndarray:
@@ -213,11 +213,12 @@ def _passages(batches):
 
 def train_quality_model(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", max_rows: int = 4000, **options) -> GatedAttention | None:
     """Fit on at most max_rows labelled rows (the documented bound), those with the least hash of their id."""
+    small_batches(docs.sparkSession)
     known = labels.where(F.col(label_col).isNotNull() & F.col(id_col).isNotNull()).groupBy(F.col(id_col).alias("id")).agg(F.max(F.col(label_col).cast("int")).alias("label"))
     some = known.orderBy(F.xxhash64(F.col("id").cast("string")), "id").limit(max_rows)
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text")).join(F.broadcast(some), "id")
     kind = rows.schema["id"].dataType.simpleString()
-    got = rows.select("id", "label", "text").mapInArrow(_passages, f"id {kind}, label int, x binary").collect()
+    got = rows.select("id", "label", "text").mapInArrow(tidy(_passages), f"id {kind}, label int, x binary").collect()
     got = sorted(got, key=lambda r: (r["id"], len(r["x"]), r["x"][:64]))
     if not got:
         return None
@@ -244,13 +245,15 @@ def _scored(model: GatedAttention | None, threshold: float, text_col: str, selec
 
 def score_quality(df: DataFrame, model: GatedAttention | None, id_col: str = "doc_id", text_col: str = "text", threshold: float = 0.3) -> DataFrame:
     """One row per document: id, score (0 to 1), predicted (1 if score >= threshold)."""
+    small_batches(df.sparkSession)
     rows = df.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
-    return rows.mapInArrow(_scored(model, threshold, "text", False), f"id {df.schema[id_col].dataType.simpleString()}, score double, predicted int").withColumnRenamed("id", id_col)
+    return rows.mapInArrow(tidy(_scored(model, threshold, "text", False)), f"id {df.schema[id_col].dataType.simpleString()}, score double, predicted int").withColumnRenamed("id", id_col)
 
 
 def keep_quality(df: DataFrame, model: GatedAttention | None, text_col: str = "text", threshold: float = 0.3) -> DataFrame:
     """The rows of df, all columns, whose score reaches the threshold."""
-    return df.mapInArrow(_scored(model, threshold, text_col, True), df.schema)
+    small_batches(df.sparkSession)
+    return df.mapInArrow(tidy(_scored(model, threshold, text_col, True)), df.schema)
 
 
 def held_out(id_col: str = "doc_id"):

@@ -31,13 +31,14 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from codetrees.llm.common import RID, dropped, keyed, mix64, worker_cache, written
+from codetrees.llm.common import RID, dropped, keyed, mix64, small_batches, tidy, worker_cache, written
 from codetrees.llm.textbytes import byte_columns
 
 ANCHOR = 32
 PIECE_BITS = 20
 PIECE = 1 << PIECE_BITS
 SPLIT = 5000  # contents of a group from which on it is divided
+FILED = 400_000  # segments compared within a task before they are dealt out
 COLLECTION = 20_000  # strings sorted together
 SEGMENT = np.dtype([("mh", "<u8"), ("c1", "<u8"), ("c2", "<u8"), ("rid", "<i8"), ("start", "<i8"), ("anchor", "<i4"), ("nwin", "<i4"), ("seen", "u1")])
 
@@ -142,15 +143,14 @@ def _spans_by_row(s: np.ndarray):
 
 
 def _file(length: int, buckets: int):
-    """Segments of a batch dealt to buckets by group. Copies within the batch are known to be repeated: their spans go
+    """Segments of some batches dealt to buckets by group. Copies among them are known to be repeated: their spans go
     along as such, and one of them stands for all."""
 
     def run(batches):
         import pyarrow as pa
 
-        for b in batches:
-            data, off = byte_columns(b.column("text"))
-            s, again, first, _ = classify(all_segments(data, off, b.column(RID).to_numpy(), length))
+        def deal(held):
+            s, again, first, _ = classify(np.concatenate(held))
             rids, blobs = _spans_by_row(s[again])
             s["seen"][again] = 1
             s = s[first]
@@ -160,7 +160,17 @@ def _file(length: int, buckets: int):
             cut = np.concatenate([[0], np.flatnonzero(np.diff(bucket)) + 1, [len(s)]]) if len(s) else np.zeros(1, np.int64)
             where = [*(int(bucket[a]) for a in cut[:-1]), *(r % buckets for r in rids)]
             spans = [None] * (len(cut) - 1) + rids
-            yield pa.RecordBatch.from_arrays([pa.array(where, pa.int32()), pa.array(spans, pa.int64()), pa.array([*(s[a:z].tobytes() for a, z in zip(cut[:-1], cut[1:], strict=True)), *blobs], pa.binary())], names=["bucket", "rid", "blob"])
+            return pa.RecordBatch.from_arrays([pa.array(where, pa.int32()), pa.array(spans, pa.int64()), pa.array([*(s[a:z].tobytes() for a, z in zip(cut[:-1], cut[1:], strict=True)), *blobs], pa.binary())], names=["bucket", "rid", "blob"])
+
+        held = []
+        for b in batches:
+            data, off = byte_columns(b.column("text"))
+            held.append(all_segments(data, off, b.column(RID).to_numpy(), length))
+            if sum(map(len, held)) > FILED:
+                yield deal(held)
+                held = []
+        if held:
+            yield deal(held)
 
     return run
 
@@ -346,12 +356,12 @@ def repeated_spans(docs: DataFrame, length: int = 200) -> DataFrame:
     """docs: RID, text -> (rid, blob): starts and numbers of repeated windows, as pairs of 64-bit integers."""
     spark = docs.sparkSession
     parts = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    filed = docs.mapInArrow(_file(length, parts), "bucket int, rid long, blob binary").repartition(parts, "bucket")
-    known = written(filed.mapInArrow(_resolve, "rid long, blob binary, mh long, start long, anchor int, nwin int, contents long"), "segments")
+    filed = docs.mapInArrow(tidy(_file(length, parts)), "bucket int, rid long, blob binary").repartition(parts, "bucket")
+    known = written(filed.mapInArrow(tidy(_resolve), "rid long, blob binary, mh long, start long, anchor int, nwin int, contents long"), "segments")
     want = known.where("mh is not null").groupBy(F.col("rid").alias(RID)).agg(F.collect_list(F.struct("mh", "start", "anchor", "nwin", "contents")).alias("want"))
-    contents = docs.join(want, RID).select(RID, "text", "want").mapInArrow(_cut_out(length), "g long, rid long, start long, anchor int, content binary, lo int, hi int")
+    contents = docs.join(want, RID).select(RID, "text", "want").mapInArrow(tidy(_cut_out(length)), "g long, rid long, start long, anchor int, content binary, lo int, hi int")
     ordered = contents.repartition("g").sortWithinPartitions("g")
-    found = written(ordered.mapInArrow(_sort(length), "rid long, blob binary"), "sorted")
+    found = written(ordered.mapInArrow(tidy(_sort(length)), "rid long, blob binary"), "sorted")
     return known.where("mh is null").select("rid", "blob").unionByName(found)
 
 
@@ -361,7 +371,7 @@ def remove_repeats(df: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     spans = repeated_spans(docs.select(RID, "text"), length).groupBy(F.col("rid").alias(RID)).agg(F.collect_list("blob").alias("spans"))
     kind = docs.schema["id"].dataType.simpleString()
     schema = f"{RID} long, id {kind}, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + (", kept binary" if with_text else "")
-    return docs.join(spans, RID, "left").select(RID, "id", "text", "spans").mapInArrow(_strip(length, with_text), schema).withColumnRenamed("id", id_col)
+    return docs.join(spans, RID, "left").select(RID, "id", "text", "spans").mapInArrow(tidy(_strip(length, with_text)), schema).withColumnRenamed("id", id_col)
 
 
 def op8_suffix_dedup(spark, sf_dir: str) -> DataFrame:
