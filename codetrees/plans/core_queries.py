@@ -419,8 +419,8 @@ def close_downward_w6(spark, sf_dir):
     f"l AS (SELECT t, 1 + c + {db('n', 'n1')} AS cost FROM g JOIN z ON mm = n WHERE t = j), "
     f"e AS (SELECT g.t, j, least(l.cost, 1 + log2(4) + 2 + b.c + d.c + {db('nj', 'n1j')} + {db('n - nj', 'n1 - n1j')}) AS cost FROM g JOIN l ON l.t = g.t JOIN z b ON b.mm = nj JOIN z d ON d.mm = n - nj WHERE g.t <> j UNION ALL SELECT t, -1, cost FROM l), "
     "f AS (SELECT a.j AS a, b.j AS b, c.j AS c, d.j AS d, a.cost + b.cost + c.cost + d.cost AS cost FROM e a, e b, e c, e d WHERE a.t = 0 AND b.t = 1 AND c.t = 2 AND d.t = 3), "
-    "u AS (SELECT cost, [a, b, c, d] AS p FROM f), v AS (SELECT cost, list_transform([0, 1, 2, 3], x -> CASE WHEN p[x + 1] < 0 THEN -1 ELSE p[p[x + 1] + 1] END) AS p2, p FROM u), "
-    "w AS (SELECT cost, p, list_transform([1, 2, 3, 4], x -> CASE WHEN p2[x] < 0 THEN -1 ELSE p2[p2[x] + 1] END) AS p4 FROM v) "
+    "u AS (SELECT cost, [a, b, c, d] AS p FROM f), v AS (SELECT cost, list_transform([0, 1, 2, 3], lambda x: CASE WHEN p[x + 1] < 0 THEN -1 ELSE p[p[x + 1] + 1] END) AS p2, p FROM u), "
+    "w AS (SELECT cost, p, list_transform([1, 2, 3, 4], lambda x: CASE WHEN p2[x] < 0 THEN -1 ELSE p2[p2[x] + 1] END) AS p4 FROM v) "
     "SELECT round(min(cost), 4) AS bits FROM w WHERE p4 = [-1, -1, -1, -1]",
 )
 def pair_model_w7_k4(spark, sf_dir):
