@@ -10,7 +10,6 @@ from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from codetrees.functions import codelen
 
@@ -229,13 +228,7 @@ class Model:
 
         return "\n".join(lines(self.trees[target], "", frozenset(), frozenset()))
 
-    def summary(self) -> dict:
-        """Baseline bits, model bits, ratio in %, trees and itemsets."""
-        base = independent_cost([self.singles[i] for i in range(self.k)], self.total, self.criterion) if hasattr(self, "singles") else None
-        return {"bits": self.cost(), "base": base, "trees": self.k, "itemsets": len(self.itemsets())}
-
-
-NODES = T.StructType.fromDDL("model_id string, target int, node_id int, parent_id int, branch int, split_item int, depth int, pos array<int>, neg array<int>, n long, n1 long, bits_struct double, bits_complexity double, bits_data double")
+NODES = "model_id string, target int, node_id int, parent_id int, branch int, split_item int, depth int, pos array<int>, neg array<int>, n long, n1 long, bits_struct double, bits_complexity double, bits_data double"
 
 
 def itemsets_of_leaf(target: int, pos: int, neg: int, max_neg: int = 22) -> set[int]:

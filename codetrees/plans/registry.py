@@ -2,15 +2,17 @@
 
 from __future__ import annotations
 
+from codetrees.operators import ops_queries
 from codetrees.plans import core_queries
 from codetrees.plans.core_queries import flagship
+from codetrees.streaming import stream_queries
 
 __all__ = ["flagship", "oracle_sql", "queries"]
 
 
 def queries() -> dict:
-    return dict(core_queries.Q)
+    return core_queries.Q | ops_queries.Q | stream_queries.Q
 
 
 def oracle_sql() -> dict[str, str]:
-    return dict(core_queries.SQL)
+    return core_queries.SQL | ops_queries.SQL | stream_queries.SQL
