@@ -18,14 +18,14 @@ LEAF = ("leaf",)
 
 def join_trees(item: int, positive, negative):
     """A test on item with two subtrees that do not use it."""
-    if item in tested(positive) | tested(negative):
+    if item in sources_of(positive) | sources_of(negative):
         raise ValueError("an item may be tested once on a path")
     return ("test", item, positive, negative)
 
 
-def tested(tree) -> set[int]:
+def sources_of(tree) -> set[int]:
     """Items that a tree tests."""
-    return set() if tree == LEAF else {tree[1]} | tested(tree[2]) | tested(tree[3])
+    return set() if tree == LEAF else {tree[1]} | sources_of(tree[2]) | sources_of(tree[3])
 
 
 def leaves(tree, pos: frozenset = frozenset(), neg: frozenset = frozenset()):
@@ -121,7 +121,7 @@ class Model:
         return len(self.names)
 
     def edges(self) -> list[tuple[int, int]]:
-        return [(t, s) for t, tree in enumerate(self.trees) for s in sorted(tested(tree))]
+        return [(t, s) for t, tree in enumerate(self.trees) for s in sorted(sources_of(tree))]
 
     def order(self) -> list[int]:
         got = topological_order(self.k, self.edges())
@@ -131,7 +131,7 @@ class Model:
 
     def validate(self) -> Model:
         for t, tree in enumerate(self.trees):
-            if t in tested(tree):
+            if t in sources_of(tree):
                 raise ValueError("a tree tests its own target")
         self.order()
         return self
@@ -205,7 +205,7 @@ class Model:
 
     def signatures(self) -> list[list[str]]:
         """Each tree that tests anything, shown as one association: its target and sources."""
-        return [[self.names[t], *(self.names[s] for s in sorted(tested(tree)))] for t, tree in enumerate(self.trees) if tree != LEAF]
+        return [[self.names[t], *(self.names[s] for s in sorted(sources_of(tree)))] for t, tree in enumerate(self.trees) if tree != LEAF]
 
     def packed_by(self, item: str) -> list[str]:
         """Targets whose trees test the item."""

@@ -10,7 +10,7 @@ from __future__ import annotations
 from dataclasses import dataclass, field
 
 from codetrees.functions import codelen
-from codetrees.plans.model import LEAF, Model, items_of, leaves, mask_of, tested
+from codetrees.plans.model import LEAF, Model, items_of, leaves, mask_of, sources_of
 
 SCALE = 10**9
 
@@ -292,4 +292,4 @@ def all_in_family(model: Model, family: dict[int, int]) -> bool:
     """Whether every itemset of trees with tests lies in the family."""
     from codetrees.plans.model import itemsets_of_tree
 
-    return all(s in family for t, tree in enumerate(model.trees) if tested(tree) for s in itemsets_of_tree(t, tree))
+    return all(s in family for t, tree in enumerate(model.trees) if sources_of(tree) for s in itemsets_of_tree(t, tree))
