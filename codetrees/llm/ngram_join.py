@@ -12,8 +12,10 @@ bounded once more by points of about as many groups as the texts have shingles.
 2. All other links. Any two texts over the threshold share one of their first n - ceil(t n) + 1 shingles in a common
    order (very frequent shingles last). Shingles met by several representatives become groups; groups inside one component
    are dropped; the rest are searched by R-tree for pairs of different components whose bound reaches the needed
-   overlap. Groups of any size are searched in blocks. Surviving pairs are verified on the shingle sets: for a few
-   rounds the best pair of every component, then, among components still apart, every pair.
+   overlap. Groups of any size are searched in blocks. The search
+   has three rounds: the best pair of every component in a group, then the best pair of every member, both linear in the
+   group, then all pairs that a finer bound lets through. After each round the pairs are verified on the shingle sets,
+   linked components become one, and groups inside one component are dropped.
 3. Components of all verified links, by large-star and small-star steps on tables.
 
 Edge rules: null and empty texts, or texts without words, have no shingles and link with nothing; texts shorter than n
@@ -38,7 +40,7 @@ GROUPS = 256
 LEADERS, TRIES = 64, 8  # of the first step only, which the second completes
 HELD_SHINGLES = 8_000_000  # of the leaders that a task remembers
 COUNTED = 3_000_000  # shingles counted together in a task
-ROUNDS = 3  # in which every component tries its best pair only
+ROUNDS = ("component", "member", "all")  # which pairs of a group are tried; later rounds see what is still apart
 FREQUENT = 500  # a shingle in more than one of so many texts comes last in the order
 
 
@@ -336,36 +338,45 @@ def _groups(batches):
             yield pa.RecordBatch.from_arrays([pa.array(np.repeat(g, z).view(np.int64)), pa.array(rid[at])], names=["g", RID])
 
 
-def _pairs(t: Fraction):
-    """Sorted by group block: pairs of different components whose bound reaches the needed overlap."""
+def _pairs(t: Fraction, mode: str):
+    """Sorted by group block: pairs of different components whose bound reaches the needed overlap. mode "component" gives
+    each component's best pair in the group, "member" each member's best, both linear in the group; "all" gives all pairs
+    that the finer points let through too."""
 
-    def search(rows):
-        rid, comp, n, point, excess, side = rows
-        m = len(rid)
-        out = []
-        if len(set(comp.tolist())) < 2:
+    def partners(rows, tree, cross, i: int) -> tuple[np.ndarray, np.ndarray]:
+        """(members of other components that member i may link with, surplus of their bounds)."""
+        rid, comp, n, point, excess, side, _ = rows
+        if tree is None:
+            j = np.flatnonzero(comp != comp[i])
+        else:
+            j = tree.search(point[i], int(n[i]), int(excess[i]), t)
+            j = j[comp[j] != comp[i]]
+        if cross:
+            j = j[side[j] != side[i]]
+        spare = np.minimum(point[j], point[i]).sum(1).astype(np.int64) + np.minimum(excess[j], excess[i]) - needed_overlap(n[j], n[i], t)
+        return j[spare >= 0], spare[spare >= 0]
+
+    def search(rows) -> list[tuple[int, int, int, int]]:
+        rid, comp, n, point, excess, side, fine = rows
+        out: list[tuple[int, int, int, int]] = []
+        if len(np.unique(comp)) < 2:
             return out
-        cross = side.any()
-        if m <= 64:
-            i, j = np.triu_indices(m, 1)
-            ok = comp[i] != comp[j]
-            if cross:
-                ok &= side[i] != side[j]
-            i, j = i[ok], j[ok]
-            bound = np.minimum(point[i], point[j]).sum(1).astype(np.int64) + np.minimum(excess[i], excess[j])
-            need = needed_overlap(n[i], n[j], t)
-            good = bound >= need
-            return list(zip(rid[i[good]], rid[j[good]], comp[i[good]], comp[j[good]], bound[good] - need[good], strict=True))
-        tree = CountRTree(point, n, excess)
-        for i in range(m):
-            if cross and side[i]:
+        cross = bool(side.any())
+        tree = CountRTree(point, n, excess) if len(rid) > 64 else None
+        best: dict[int, tuple[int, int, int]] = {}
+        for i in range(len(rid)):
+            j, spare = partners(rows, tree, cross, i)
+            if not len(j):
                 continue
-            j = tree.search(point[i], int(n[i]), int(excess[i]), t)
-            j = j[(comp[j] != comp[i]) & ((side[j] != side[i]) if cross else (j > i))]
-            if len(j):
-                spare = np.minimum(point[j], point[i]).sum(1).astype(np.int64) + np.minimum(excess[j], excess[i]) - needed_overlap(n[j], n[i], t)
-                out += [(rid[i], rid[x], comp[i], comp[x], y) for x, y in zip(j, spare, strict=True)]
-        return out
+            if mode == "all":
+                out += [(rid[i], rid[x], comp[i], comp[x]) for x in j if x > i and fine_bound(fine[i], fine[x]) >= needed_overlap(int(n[i]), int(n[x]), t)]
+                continue
+            k = int(np.lexsort((rid[j], -spare))[0])
+            if mode == "member":
+                out.append((rid[i], rid[j[k]], comp[i], comp[j[k]]))
+            elif comp[i] not in best or (spare[k], -rid[i]) > (best[comp[i]][0], -rid[best[comp[i]][1]]):
+                best[comp[i]] = (int(spare[k]), i, int(j[k]))
+        return out + [(rid[i], rid[x], comp[i], comp[x]) for _, i, x in best.values()]
 
     def run(batches):
         import pyarrow as pa
@@ -373,11 +384,9 @@ def _pairs(t: Fraction):
         held, name = [], None
 
         def done():
-            cols = [np.concatenate(x) for x in zip(*held, strict=True)]
-            return search(cols)
-
-        def made(found):
-            return pa.RecordBatch.from_arrays([pa.array([int(f[c]) for f in found], pa.int64()) for c in range(5)], names=["a", "b", "ca", "cb", "spare"])
+            cols = [np.concatenate(x) if k < 6 else [f for part in x for f in part] for k, x in enumerate(zip(*held, strict=True))]
+            found = search(cols)
+            return pa.RecordBatch.from_arrays([pa.array([int(f[c]) for f in found], pa.int64()) for c in range(4)], names=["a", "b", "ca", "cb"])
 
         for b in batches:
             if not b.num_rows:
@@ -386,32 +395,16 @@ def _pairs(t: Fraction):
             cut = np.concatenate([[0], np.flatnonzero((np.diff(g) != 0) | (np.diff(p) != 0)) + 1, [len(g)]])
             data, off = byte_columns(b.column("point"))
             point = np.frombuffer(data[off[0] : off[-1]].tobytes(), np.uint8).reshape(-1, GROUPS)
-            cols = (b.column(RID).to_numpy(), b.column("comp").to_numpy(), b.column("n").to_numpy(), point, b.column("excess").to_numpy(), b.column("side").to_numpy(zero_copy_only=False))
-            found = []
+            fine = b.column("fine").to_pylist() if mode == "all" else [None] * b.num_rows
+            cols = (b.column(RID).to_numpy(), b.column("comp").to_numpy(), b.column("n").to_numpy(), point, b.column("excess").to_numpy(), b.column("side").to_numpy(zero_copy_only=False), fine)
             for a, z in zip(cut[:-1], cut[1:], strict=True):
                 if (g[a], p[a]) != name:
                     if held:
-                        found += done()
+                        yield done()
                     held, name = [], (g[a], p[a])
                 held.append([c[a:z] for c in cols])
-            if found:
-                yield made(found)
-        if held and (found := done()):
-            yield made(found)
-
-    return run
-
-
-def _finer(t: Fraction):
-    """Pairs whose fine points let them through."""
-
-    def run(batches):
-        import pyarrow as pa
-
-        for b in batches:
-            cols = [b.column(c).to_pylist() for c in ("na", "nb", "fa", "fb")]
-            keep = pa.array([fine_bound(x, y) >= needed_overlap(n, m, t) for n, m, x, y in zip(*cols, strict=True)], pa.bool_())
-            yield pa.RecordBatch.from_arrays([b.column(c).filter(keep) for c in ("a", "b", "ca", "cb")], names=["a", "b", "ca", "cb"])
+        if held:
+            yield done()
 
     return run
 
@@ -451,16 +444,11 @@ def _verify(pairs: DataFrame, docs: DataFrame, t: Fraction, k: int) -> DataFrame
     return out
 
 
-def _apart(pairs: DataFrame, labels: DataFrame) -> DataFrame:
-    """Pairs whose components are not joined yet, with their components' labels."""
-    out = pairs.join(labels.select(F.col("node").alias("ca"), F.col("label").alias("la")), "ca", "left").join(labels.select(F.col("node").alias("cb"), F.col("label").alias("lb")), "cb", "left")
-    return out.withColumn("la", F.coalesce("la", "ca")).withColumn("lb", F.coalesce("lb", "cb")).where("la <> lb")
-
-
-def _closer(pairs: DataFrame, fine: DataFrame, t: Fraction) -> DataFrame:
-    """Pairs that the finer points let through."""
-    both = pairs.join(fine.select(F.col(RID).alias("a"), F.col("n").alias("na"), F.col("fine").alias("fa")), "a").join(fine.select(F.col(RID).alias("b"), F.col("n").alias("nb"), F.col("fine").alias("fb")), "b")
-    return written(both.select("a", "b", "ca", "cb", "na", "nb", "fa", "fb").mapInArrow(tidy(_finer(t)), "a long, b long, ca long, cb long"), "closer")
+def _mixed(members: DataFrame, labels: DataFrame) -> DataFrame:
+    """Members of group blocks that hold more than one component still, with their components' present labels."""
+    now = members.join(labels.select(F.col("node").alias("comp"), "label"), "comp", "left").withColumn("comp", F.coalesce("label", "comp")).drop("label")
+    several = now.groupBy("g", "part").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("g", "part")
+    return written(now.join(several, ["g", "part"], "left_semi"), "members")
 
 
 def similarity_links(docs: DataFrame, t: Fraction, k: int, block: int = 20_000) -> tuple[DataFrame, DataFrame]:
@@ -496,37 +484,31 @@ def similarity_links(docs: DataFrame, t: Fraction, k: int, block: int = 20_000)
     member = member.withColumn("own", own).withColumn("o", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)))
     lo, hi = F.least("own", "o"), F.greatest("own", "o")
     member = member.select("g", (lo * F.col("nb") + hi).alias("part"), ((F.col("own") == hi) & (lo != hi)).alias("side"), RID, "comp")
-    full = member.join(texts.where("point is not null").select(RID, "n", "point", "excess"), RID)
-    full = full.select("g", "part", RID, "comp", "n", "point", "excess", "side").repartition("g", "part").sortWithinPartitions("g", "part")
-    pairs = full.mapInArrow(tidy(_pairs(t)), "a long, b long, ca long, cb long, spare long")
-    x, y = F.least("ca", "cb"), F.greatest("ca", "cb")
-    pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), x.alias("ca"), y.alias("cb"), "spare").distinct()
-    pairs = written(pairs, "pairs")
-    del full, member, mixed, dealt, prefixes
+    members = written(member, "members")
+    del member, mixed, dealt, prefixes
     release(spark)
     # Should a further leader have met another local leader in pass 2 than in pass 1, its own comp is a link too.
     moved = alias.select(F.col("further").alias(RID)).distinct().join(comps.select(RID, "comp"), RID).where(F.col(RID) != F.col("comp")).select(F.col(RID).alias("a"), F.col("comp").alias("b"))
     known, labels = moved, label_components(moved)
-    fine = texts.where("fine is not null").select(RID, "n", "fine")
-    for step in range(ROUNDS + 1):
-        apart = _apart(pairs, labels)
-        if step < ROUNDS:  # the best pair of every component only: a family's parts find each other
-            ends = apart.select(F.col("la").alias("c"), "a", "b", "ca", "cb", "spare").unionByName(apart.select(F.col("lb").alias("c"), "a", "b", "ca", "cb", "spare"))
-            tried = ends.groupBy("c").agg(F.max_by(F.struct("a", "b", "ca", "cb"), F.struct("spare", "a", "b")).alias("p")).select("p.*").distinct()
-        else:  # components still apart: all their pairs
-            tried = apart.select("a", "b", "ca", "cb")
-        tried = written(tried, "tried")
-        if tried.isEmpty():
-            break
-        found = _verify(_closer(tried, fine, t), docs, t, k)
-        known = known.unionByName(found.select(F.col("ca").alias("a"), F.col("cb").alias("b")))
-        labels = label_components(known)
-        if step < ROUNDS:
-            left = written(apart.select("a", "b", "ca", "cb", "spare").join(tried.select("a", "b"), ["a", "b"], "left_anti"), "pairs")
-            dropped(pairs, tried)
-            pairs = left
+    points = texts.where("point is not null").select(RID, "n", "point", "excess", "fine")
+    for mode in ROUNDS:
+        left = _mixed(members, labels)
+        dropped(members)
+        members = left
+        full = members.join(points if mode == "all" else points.drop("fine"), RID).repartition("g", "part").sortWithinPartitions("g", "part")
+        pairs = full.mapInArrow(tidy(_pairs(t, mode)), "a long, b long, ca long, cb long")
+        low, high = F.struct(F.col("a").alias("r"), F.col("ca").alias("c")), F.struct(F.col("b").alias("r"), F.col("cb").alias("c"))
+        pairs = pairs.select(F.least(low, high).alias("x"), F.greatest(low, high).alias("y")).select(F.col("x.r").alias("a"), F.col("y.r").alias("b"), F.col("x.c").alias("ca"), F.col("y.c").alias("cb")).distinct()
+        pairs = written(pairs, "pairs")
+        del full
+        release(spark)
+        if not pairs.isEmpty():
+            found = _verify(pairs, docs, t, k)
+            known = known.unionByName(found.select(F.col("ca").alias("a"), F.col("cb").alias("b")))
+            labels = label_components(known)
+        dropped(pairs)
         release(spark)
-    dropped(texts, groups, pairs)
+    dropped(texts, groups, members)
     return comps, labels
 
 

@@ -68,17 +68,20 @@ def _encode(b: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     passage = np.cumsum(new) - 1
     p = int(passage[-1]) + 1
     begin = at[new]
-    end = np.append(begin[1:], len(spaced))
+    stop = np.append(starts[1:] - 1, len(spaced))  # where each document ends
+    follow = np.append(begin[1:], len(spaced))
+    end = np.minimum(follow, stop[doc[new]])
     words = np.bincount(passage, minlength=p).astype(np.float64)
 
-    where = np.repeat(np.arange(p), end - begin)
+    where = np.repeat(np.arange(p), follow - begin)
+    own = np.arange(begin[0], len(spaced)) < end[where]
     kinds = KIND[spaced[begin[0] :]]
-    kind = np.bincount(where * KINDS + kinds, minlength=p * KINDS).reshape(p, KINDS)
+    kind = np.bincount((where * KINDS + kinds)[own], minlength=p * KINDS).reshape(p, KINDS)
     size = np.maximum(end - begin, 1)
     out = np.zeros((p, FEATURES), np.float32)
     out[:, :KINDS] = kind / size[:, None]
 
-    nxt = np.append(at[1:], len(spaced))
+    nxt = np.minimum(np.append(at[1:], len(spaced) + 1), stop[doc] + 1)
     length = np.minimum(nxt - at - 1, 40)
     same_doc = np.append(False, doc[1:] == doc[:-1])
     again = np.append(False, hashes[1:] == hashes[:-1]) & same_doc
@@ -86,7 +89,9 @@ def _encode(b: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     fresh = np.ones(len(order), bool)
     fresh[1:] = (hashes[order][1:] != hashes[order][:-1]) | (passage[order][1:] != passage[order][:-1])
     old = np.zeros(len(hashes), bool)  # word pairs seen before in the document
-    pair = hashes * np.uint64(31) + np.append(hashes[1:], 0).astype(np.uint64)
+    after = np.zeros(len(hashes), np.uint64)
+    after[:-1] = np.where(doc[1:] == doc[:-1], hashes[1:], np.uint64(0))
+    pair = hashes * np.uint64(31) + after
     seen = np.lexsort((np.arange(len(pair)), pair, doc))
     old[seen[1:]] = (pair[seen][1:] == pair[seen][:-1]) & (doc[seen][1:] == doc[seen][:-1])
     extra = (
