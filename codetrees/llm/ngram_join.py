@@ -41,6 +41,7 @@ LEADERS, TRIES = 64, 8  # of the first step only, which the second completes
 HELD_SHINGLES = 8_000_000  # of the leaders that a task remembers
 COUNTED = 3_000_000  # shingles counted together in a task
 ROUNDS = ("component", "member", "all")  # which pairs of a group are tried; later rounds see what is still apart
+DIRECT = 1 << 16  # bounds of a group that are computed outright; with more, its R-tree is searched
 FREQUENT = 500  # a shingle in more than one of so many texts comes last in the order
 
 
@@ -343,33 +344,44 @@ def _pairs(t: Fraction, mode: str):
     each component's best pair in the group, "member" each member's best, both linear in the group; "all" gives all pairs
     that the finer points let through too."""
 
-    def partners(rows, tree, cross, i: int) -> tuple[np.ndarray, np.ndarray]:
-        """(members of other components that member i may link with, surplus of their bounds)."""
+    def candidates(rows, asking: np.ndarray, cross: bool):
+        """(asking member, members of other components that it may link with, surplus of their bounds), one by one."""
         rid, comp, n, point, excess, side, _ = rows
-        if tree is None:
-            j = np.flatnonzero(comp != comp[i])
-        else:
-            j = tree.search(point[i], int(n[i]), int(excess[i]), t)
-            j = j[comp[j] != comp[i]]
-        if cross:
-            j = j[side[j] != side[i]]
-        spare = np.minimum(point[j], point[i]).sum(1).astype(np.int64) + np.minimum(excess[j], excess[i]) - needed_overlap(n[j], n[i], t)
-        return j[spare >= 0], spare[spare >= 0]
+        tree = CountRTree(point, n, excess) if len(asking) * len(rid) > DIRECT else None
+        step = max(1, DIRECT // 8 // len(rid))
+        for at in range(0, len(asking), step):
+            some = asking[at : at + step]
+            if tree is None:
+                bounds = np.minimum(point[some][:, None], point[None]).sum(2).astype(np.int64) + np.minimum(excess[some][:, None], excess[None])
+                spares = bounds - needed_overlap(n[some][:, None], n[None], t)
+                allowed = (spares >= 0) & (comp[some][:, None] != comp[None])
+            for k, i in enumerate(some):
+                if tree is None:
+                    j = np.flatnonzero(allowed[k])
+                    spare = spares[k, j]
+                else:
+                    j = tree.search(point[i], int(n[i]), int(excess[i]), t)
+                    j = j[comp[j] != comp[i]]
+                    spare = np.minimum(point[j], point[i]).sum(1).astype(np.int64) + np.minimum(excess[j], excess[i]) - needed_overlap(n[j], n[i], t)
+                if cross:
+                    other = side[j] != side[i]
+                    j, spare = j[other], spare[other]
+                if len(j):
+                    yield int(i), j, spare
 
     def search(rows) -> list[tuple[int, int, int, int]]:
         rid, comp, n, point, excess, side, fine = rows
         out: list[tuple[int, int, int, int]] = []
-        if len(np.unique(comp)) < 2:
+        parts, part, sizes = np.unique(comp, return_inverse=True, return_counts=True)
+        if len(parts) < 2:
             return out
-        cross = bool(side.any())
-        tree = CountRTree(point, n, excess) if len(rid) > 64 else None
+        # Members of the largest component need not ask: every pair has an end outside it.
+        largest = int(np.argmax(sizes))
+        asking = np.flatnonzero(part != largest)
         best: dict[int, tuple[int, int, int]] = {}
-        for i in range(len(rid)):
-            j, spare = partners(rows, tree, cross, i)
-            if not len(j):
-                continue
+        for i, j, spare in candidates(rows, asking, bool(side.any())):
             if mode == "all":
-                out += [(rid[i], rid[x], comp[i], comp[x]) for x in j if x > i and fine_bound(fine[i], fine[x]) >= needed_overlap(int(n[i]), int(n[x]), t)]
+                out += [(rid[i], rid[x], comp[i], comp[x]) for x in j if (x > i or part[x] == largest) and fine_bound(fine[i], fine[x]) >= needed_overlap(int(n[i]), int(n[x]), t)]
                 continue
             k = int(np.lexsort((rid[j], -spare))[0])
             if mode == "member":
