@@ -5,23 +5,24 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from codetrees.functions import codelen
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def nml_bits_udf(m: pd.Series) -> pd.Series:
     """Leaf complexity of m rows."""
     return pd.Series(codelen.nml_bits(m.to_numpy()))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def leaf_bits_udaf(n: pd.Series, n1: pd.Series) -> float:
     """Data bits of a tree from its leaves' counts. A group is one tree's leaves."""
     return float(codelen.data_bits(n.to_numpy(), n1.to_numpy()).sum())
 
 
-@F.udtf(returnType="mask: bigint")
+@F.udtf(returnType=T.StructType([T.StructField("mask", T.LongType())]))
 class leaf_sets_udtf:
     """Itemsets of a leaf: pos with any part of neg, with and without the target."""
 
