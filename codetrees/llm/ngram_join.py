@@ -13,9 +13,10 @@ bounded once more by points of about as many groups as the texts have shingles.
    order (very frequent shingles last). Shingles met by several representatives become groups; groups inside one component
    are dropped; the rest are searched by R-tree for pairs of different components whose bound reaches the needed
    overlap. Groups of any size are searched in blocks. The search
-   has three rounds: the best pair of every component in a group, then the best pair of every member, both linear in the
-   group, then all pairs that a finer bound lets through. After each round the pairs are verified on the shingle sets,
-   linked components become one, and groups inside one component are dropped.
+   has two rounds. In the first every component looks for its best pair in a group, among some members of each component;
+   it only saves work, as most components find each other there. The second takes all members of the groups that hold
+   several components still, and all pairs that a finer bound lets through. After each round the pairs are verified on
+   the shingle sets, linked components become one, and groups inside one component are dropped.
 3. Components of all verified links, by large-star and small-star steps on tables.
 
 Edge rules: null and empty texts, or texts without words, have no shingles and link with nothing; texts shorter than n
@@ -26,6 +27,7 @@ ignored. Equality of shingles is equality of 64-bit hashes.
 
 from __future__ import annotations
 
+import zlib
 from fractions import Fraction
 
 import numpy as np
@@ -40,7 +42,8 @@ GROUPS = 256
 LEADERS, TRIES = 64, 8  # of the first step only, which the second completes
 HELD_SHINGLES = 8_000_000  # of the leaders that a task remembers
 COUNTED = 3_000_000  # shingles counted together in a task
-ROUNDS = ("component", "member", "all")  # which pairs of a group are tried; later rounds see what is still apart
+ROUNDS = ("component", "all")  # which pairs of a group are tried; later rounds see what is still apart
+THINNED = 48  # members of a component that take part in the first round of a group, about
 DIRECT = 1 << 16  # bounds of a group that are computed outright; with more, its R-tree is searched
 FREQUENT = 500  # a shingle in more than one of so many texts comes last in the order
 
@@ -279,7 +282,7 @@ def _describe(t: Fraction, k: int, frequent: np.ndarray, rank: np.ndarray):
                     last = s[common]
                     rare = np.concatenate([rare, last[np.argsort(rank[at[common]], kind="stable")][: p - len(rare)]])
                 point, excess = count_vector(s)
-                rows.append((n, to, rare.tobytes(), point.tobytes(), excess, fine_vector(s)))
+                rows.append((n, to, rare.tobytes(), zlib.compress(point.tobytes(), 1), excess, zlib.compress(fine_vector(s), 1)))
             yield pa.RecordBatch.from_arrays([b.column(RID), pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.int64()), pa.array([r[2] for r in rows], pa.binary()), pa.array([r[3] for r in rows], pa.binary()), pa.array([r[4] for r in rows], pa.int64()), pa.array([r[5] for r in rows], pa.binary())], names=[RID, "n", "leader", "prefix", "point", "excess", "fine"])
 
     return run
@@ -341,8 +344,7 @@ def _groups(batches):
 
 def _pairs(t: Fraction, mode: str):
     """Sorted by group block: pairs of different components whose bound reaches the needed overlap. mode "component" gives
-    each component's best pair in the group, "member" each member's best, both linear in the group; "all" gives all pairs
-    that the finer points let through too."""
+    each component's best pair in the group; "all" gives all pairs that the finer points let through too."""
 
     def candidates(rows, asking: np.ndarray, cross: bool):
         """(asking member, members of other components that it may link with, surplus of their bounds), one by one."""
@@ -381,12 +383,10 @@ def _pairs(t: Fraction, mode: str):
         best: dict[int, tuple[int, int, int]] = {}
         for i, j, spare in candidates(rows, asking, bool(side.any())):
             if mode == "all":
-                out += [(rid[i], rid[x], comp[i], comp[x]) for x in j if (x > i or part[x] == largest) and fine_bound(fine[i], fine[x]) >= needed_overlap(int(n[i]), int(n[x]), t)]
+                out += [(rid[i], rid[x], comp[i], comp[x]) for x in j if (x > i or part[x] == largest) and fine_bound(zlib.decompress(fine[i]), zlib.decompress(fine[x])) >= needed_overlap(int(n[i]), int(n[x]), t)]
                 continue
             k = int(np.lexsort((rid[j], -spare))[0])
-            if mode == "member":
-                out.append((rid[i], rid[j[k]], comp[i], comp[j[k]]))
-            elif comp[i] not in best or (spare[k], -rid[i]) > (best[comp[i]][0], -rid[best[comp[i]][1]]):
+            if comp[i] not in best or (spare[k], -rid[i]) > (best[comp[i]][0], -rid[best[comp[i]][1]]):
                 best[comp[i]] = (int(spare[k]), i, int(j[k]))
         return out + [(rid[i], rid[x], comp[i], comp[x]) for _, i, x in best.values()]
 
@@ -405,8 +405,7 @@ def _pairs(t: Fraction, mode: str):
                 continue
             g, p = b.column("g").to_numpy(), b.column("part").to_numpy()
             cut = np.concatenate([[0], np.flatnonzero((np.diff(g) != 0) | (np.diff(p) != 0)) + 1, [len(g)]])
-            data, off = byte_columns(b.column("point"))
-            point = np.frombuffer(data[off[0] : off[-1]].tobytes(), np.uint8).reshape(-1, GROUPS)
+            point = np.frombuffer(b"".join(map(zlib.decompress, b.column("point").to_pylist())), np.uint8).reshape(-1, GROUPS)
             fine = b.column("fine").to_pylist() if mode == "all" else [None] * b.num_rows
             cols = (b.column(RID).to_numpy(), b.column("comp").to_numpy(), b.column("n").to_numpy(), point, b.column("excess").to_numpy(), b.column("side").to_numpy(zero_copy_only=False), fine)
             for a, z in zip(cut[:-1], cut[1:], strict=True):
@@ -463,6 +462,13 @@ def _mixed(members: DataFrame, labels: DataFrame) -> DataFrame:
     return written(now.join(several, ["g", "part"], "left_semi"), "members")
 
 
+def _thinned(members: DataFrame, turn: int) -> DataFrame:
+    """About THINNED members of each component of each group block, others in every turn."""
+    size = members.groupBy("g", "part", "comp").agg(F.count("*").alias("c")).where(F.col("c") > THINNED)
+    one_in = F.ceil(F.coalesce("c", F.lit(1)) / THINNED).cast("int")
+    return members.join(size, ["g", "part", "comp"], "left").where(F.pmod(F.xxhash64(RID, "g", F.lit(turn)), one_in) == 0).drop("c")
+
+
 def similarity_links(docs: DataFrame, t: Fraction, k: int, block: int = 20_000) -> tuple[DataFrame, DataFrame]:
     """docs: RID, text -> (one row per text: RID, n, comp), (label of comps: node, label). Texts are connected by links
     of Jaccard >= t exactly when the labels of their comps are equal (a comp without a row is its own label)."""
@@ -503,16 +509,17 @@ def similarity_links(docs: DataFrame, t: Fraction, k: int, block: int = 20_000)
     moved = alias.select(F.col("further").alias(RID)).distinct().join(comps.select(RID, "comp"), RID).where(F.col(RID) != F.col("comp")).select(F.col(RID).alias("a"), F.col("comp").alias("b"))
     known, labels = moved, label_components(moved)
     points = texts.where("point is not null").select(RID, "n", "point", "excess", "fine")
-    for mode in ROUNDS:
+    for turn, mode in enumerate(ROUNDS):
         left = _mixed(members, labels)
         dropped(members)
         members = left
-        full = members.join(points if mode == "all" else points.drop("fine"), RID).repartition("g", "part").sortWithinPartitions("g", "part")
+        some = members if mode == "all" else _thinned(members, turn)
+        full = some.join(points if mode == "all" else points.drop("fine"), RID).repartition("g", "part").sortWithinPartitions("g", "part")
         pairs = full.mapInArrow(tidy(_pairs(t, mode)), "a long, b long, ca long, cb long")
         low, high = F.struct(F.col("a").alias("r"), F.col("ca").alias("c")), F.struct(F.col("b").alias("r"), F.col("cb").alias("c"))
         pairs = pairs.select(F.least(low, high).alias("x"), F.greatest(low, high).alias("y")).select(F.col("x.r").alias("a"), F.col("y.r").alias("b"), F.col("x.c").alias("ca"), F.col("y.c").alias("cb")).distinct()
         pairs = written(pairs, "pairs")
-        del full
+        del full, some
         release(spark)
         if not pairs.isEmpty():
             found = _verify(pairs, docs, t, k)
