@@ -16,7 +16,7 @@ from codetrees.plans.counts import counts_of
 from codetrees.plans.cover import cover_baseline, cover_start, cover_usage
 from codetrees.plans.greedy import fixed_trees_model, grow_model
 from codetrees.plans.model import LEAF, Model, independent_cost, itemsets_of_leaf
-from codetrees.sources.workloads import DOC_ITEMS, LANG_ITEMS, ORDER_REST, WORKLOADS, Item, Workload
+from codetrees.sources.workloads import DOC_ITEMS, LANG_ITEMS, ORDER_REST, WORKLOADS, Workload
 
 Q: dict = {}
 SQL: dict[str, str] = {}
@@ -461,6 +461,34 @@ def best_tree_w5_s3(spark, sf_dir):
     return one_row(spark, bits=round(cost, 4))
 
 
+@query("best_tree_scan_w5_s3", _best_tree_sql())
+def best_tree_scan_w5_s3(spark, sf_dir):
+    """The same tree with leaf counts from the rows instead of supports."""
+    c, w = counts(spark, sf_dir, "w5")
+    masks = [sum(1 << i for n, i in enumerate((0, 1, 2, 8)) if x >> n & 1) for x in range(16)]
+    cost, _ = sel.TreeSearch(it.with_supports(c, masks), w.k, data=c).best_tree(0, 0b100000110)
+    return one_row(spark, bits=round(cost, 4))
+
+
+@query("best_tree_greedy_w5_s3")
+def best_tree_greedy_w5_s3(spark, sf_dir):
+    """The same sources with the greedy inner search: never cheaper than the best tree."""
+    c, w = counts(spark, sf_dir, "w5")
+    masks = [sum(1 << i for n, i in enumerate((0, 1, 2, 8)) if x >> n & 1) for x in range(16)]
+    family = it.with_supports(c, masks)
+    cost, _ = sel.TreeSearch(family, w.k, "greedy").best_tree(0, 0b100000110)
+    best, _ = sel.TreeSearch(family, w.k).best_tree(0, 0b100000110)
+    return one_row(spark, greedy_bits=cost, best_bits=best)
+
+
+@query("pick_minsup_w8")
+def pick_minsup_w8(spark, sf_dir):
+    """The lowest halved support whose family of at most three items has up to 2,000 sets."""
+    c, w = counts(spark, sf_dir, "w8")
+    s = it.pick_minsup(c, w.k, 2000, 3)
+    return one_row(spark, n_rows=c.total, minsup=s, candidates=len(it.mine_frequent(c, w.k, s, 3)) - 1)
+
+
 FAMILIES = {"w2": ("all", 2), "w4": (1.0, 4), "w5": (2.0, 4), "w6": (1.0, 3), "w7": (1.0, 4), "w8": (40.0, 3), "w9": (1.0, 3)}
 
 
@@ -475,7 +503,7 @@ def select_row(spark, sf_dir, name: str, search: str, **options) -> dict:
     family = family_of(c, w, name)
     singles = [(c.total, c.path(0, 0, i)[1]) for i in range(w.k)]
     m = sel.select_model(family, w.names, search, singles=singles, **options)
-    base = independent_cost([x for _, x in singles], c.total)
+    base = independent_cost([x for _, x in singles], c.total, m.criterion)
     kept = len(m.itemsets())
     return {"workload": name, "search": search, "candidates": len(family) - 1, "bits": m.cost(), "ratio_pct": 100 * m.cost() / base, "itemsets": kept, "kept_pct": 100.0 * kept / max(1, len(family) - 1), "inside": sel.all_in_family(m, family), "seconds": time.perf_counter() - t}
 
@@ -484,6 +512,8 @@ for _name in ("w2", "w7", "w9"):
     query(f"select_summary_{_name}")(lambda s, d, n=_name: one_row(s, **select_row(s, d, n, "exhaustive")).drop("seconds"))
 for _name in ("w2", "w4", "w5", "w6", "w7", "w8", "w9"):
     query(f"select_greedy_summary_{_name}")(lambda s, d, n=_name: one_row(s, **select_row(s, d, n, "greedy")).drop("seconds"))
+for _c in ("bic", "aic", "crude"):
+    query(f"select_criterion_{_c}_w9")(lambda s, d, c=_c: one_row(s, **select_row(s, d, "w9", "greedy", criterion=c)).drop("seconds"))
 query("select_ancestors_w9")(lambda s, d: one_row(s, **select_row(s, d, "w9", "greedy", augment="ancestors")).drop("seconds"))
 
 
@@ -634,5 +664,3 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     sets = m.itemsets_table(spark)
     return sets.join(_sets_with_supports(spark, sf_dir, "w5", m), "mask").select("mask", "names", "size", "supp")
 
-
-_ = Item

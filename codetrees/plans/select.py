@@ -32,15 +32,26 @@ class Supports:
         return got
 
 
+class ScanCounts:
+    """Leaf counts by looking at the data: rows split by every literal of the path. Same numbers as Supports."""
+
+    def __init__(self, counts):
+        self.counts = counts
+
+    def count(self, pos: int, neg: int) -> int:
+        return self.counts.path(pos, neg, 0)[0]
+
+
 class TreeSearch:
     """Best trees under limits on sources and itemsets. search: "exhaustive" tries every root and both halves, keeping the
-    leaf as an option; "greedy" grows top-down, one best split at a time."""
+    leaf as an option; "greedy" grows top-down, one best split at a time. data: counts of the rows themselves, to be used
+    in place of the family's supports."""
 
-    def __init__(self, family: dict[int, int], k: int, search: str = "exhaustive", criterion: str = "refined", memo: bool = True):
+    def __init__(self, family: dict[int, int], k: int, search: str = "exhaustive", criterion: str = "refined", memo: bool = True, data=None):
         if search not in ("exhaustive", "greedy"):
             raise ValueError("search must be exhaustive or greedy")
         self.family, self.k, self.search, self.criterion, self.memo = family, k, search, criterion, memo
-        self.supports, self.total = Supports(family), family[0]
+        self.supports, self.total = ScanCounts(data) if data is not None else Supports(family), family[0]
         self.split = codelen.split_cost(k)
         self.costs: dict[tuple[int, int], float] = {}
 

@@ -129,6 +129,7 @@ def test_best_tree_against_brute_force():
                 cost, tree = f.best_tree(t, 0b11111 & ~(1 << t))
                 assert cost == pytest.approx(brute_best(family, 5, t, 0b11111 & ~(1 << t)))
                 assert plain.best_tree(t, 0b11111)[0] == pytest.approx(cost)
+                assert sel.TreeSearch(family, 5, data=c).best_tree(t, 0b11111)[0] == pytest.approx(cost)
                 assert all(s in family for s in itemsets_of_tree(t, tree))
                 assert sel.TreeSearch(family, 5, "greedy").best_tree(t, 0b11111)[0] >= cost - 1e-9
 
