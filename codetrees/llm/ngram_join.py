@@ -13,10 +13,10 @@ bounded once more by points of about as many groups as the texts have shingles.
    order (very frequent shingles last). Shingles met by several representatives become groups; groups inside one component
    are dropped; the rest are searched by R-tree for pairs of different components whose bound reaches the needed
    overlap. Groups of any size are searched in blocks. The search
-   has two rounds. In the first every component looks for its best pair in a group, among some members of each component;
-   it only saves work, as most components find each other there. The second takes all members of the groups that hold
-   several components still, and all pairs that a finer bound lets through. After each round the pairs are verified on
-   the shingle sets, linked components become one, and groups inside one component are dropped.
+   has three rounds. In the first two every component looks for its best pair, among some members of each component in
+   a group; they only save work, as most components find each other there. The last takes all members of the groups that
+   hold several components still, and all pairs that a finer bound lets through. After each round the pairs are verified
+   on the shingle sets, linked components become one, and groups inside one component are dropped.
 3. Components of all verified links, by large-star and small-star steps on tables.
 
 Edge rules: null and empty texts, or texts without words, have no shingles and link with nothing; texts shorter than n
@@ -42,7 +42,7 @@ GROUPS = 256
 LEADERS, TRIES = 64, 8  # of the first step only, which the second completes
 HELD_SHINGLES = 8_000_000  # of the leaders that a task remembers
 COUNTED = 3_000_000  # shingles counted together in a task
-ROUNDS = ("component", "all")  # which pairs of a group are tried; later rounds see what is still apart
+ROUNDS = ("component", "component", "all")  # which pairs of a group are tried; later rounds see what is still apart
 THINNED = 48  # members of a component that take part in the first round of a group, about
 DIRECT = 1 << 16  # bounds of a group that are computed outright; with more, its R-tree is searched
 FREQUENT = 500  # a shingle in more than one of so many texts comes last in the order
@@ -65,8 +65,8 @@ def count_vector(s: np.ndarray, bits: int = 8) -> tuple[np.ndarray, int]:
 
 
 def fine_vector(s: np.ndarray) -> bytes:
-    """A point of n/2 to n groups, but 256 at least, with its excess in front."""
-    c, excess = count_vector(s, max(8, len(s).bit_length() - 1))
+    """A point of n to 2n groups, but 256 at least, with its excess in front."""
+    c, excess = count_vector(s, max(8, len(s).bit_length()))
     return np.int64(excess).tobytes() + c.tobytes()
 
 
@@ -371,9 +371,9 @@ def _pairs(t: Fraction, mode: str):
                 if len(j):
                     yield int(i), j, spare
 
-    def search(rows) -> list[tuple[int, int, int, int]]:
+    def search(rows) -> list[tuple[int, int, int, int, int]]:
         rid, comp, n, point, excess, side, fine = rows
-        out: list[tuple[int, int, int, int]] = []
+        out: list[tuple[int, int, int, int, int]] = []
         parts, part, sizes = np.unique(comp, return_inverse=True, return_counts=True)
         if len(parts) < 2:
             return out
@@ -383,12 +383,12 @@ def _pairs(t: Fraction, mode: str):
         best: dict[int, tuple[int, int, int]] = {}
         for i, j, spare in candidates(rows, asking, bool(side.any())):
             if mode == "all":
-                out += [(rid[i], rid[x], comp[i], comp[x]) for x in j if (x > i or part[x] == largest) and fine_bound(zlib.decompress(fine[i]), zlib.decompress(fine[x])) >= needed_overlap(int(n[i]), int(n[x]), t)]
+                out += [(rid[i], rid[x], comp[i], comp[x], 0) for x in j if (x > i or part[x] == largest) and fine_bound(zlib.decompress(fine[i]), zlib.decompress(fine[x])) >= needed_overlap(int(n[i]), int(n[x]), t)]
                 continue
             k = int(np.lexsort((rid[j], -spare))[0])
             if comp[i] not in best or (spare[k], -rid[i]) > (best[comp[i]][0], -rid[best[comp[i]][1]]):
                 best[comp[i]] = (int(spare[k]), i, int(j[k]))
-        return out + [(rid[i], rid[x], comp[i], comp[x]) for _, i, x in best.values()]
+        return out + [(rid[i], rid[x], comp[i], comp[x], y) for y, i, x in best.values()]
 
     def run(batches):
         import pyarrow as pa
@@ -398,7 +398,7 @@ def _pairs(t: Fraction, mode: str):
         def done():
             cols = [np.concatenate(x) if k < 6 else [f for part in x for f in part] for k, x in enumerate(zip(*held, strict=True))]
             found = search(cols)
-            return pa.RecordBatch.from_arrays([pa.array([int(f[c]) for f in found], pa.int64()) for c in range(4)], names=["a", "b", "ca", "cb"])
+            return pa.RecordBatch.from_arrays([pa.array([int(f[c]) for f in found], pa.int64()) for c in range(5)], names=["a", "b", "ca", "cb", "spare"])
 
         for b in batches:
             if not b.num_rows:
@@ -431,26 +431,35 @@ def _make_sets(k: int):
 
 
 def _verified(t: Fraction):
+    """Sorted by a and kind: the set of a (kind 0), then its pairs with the sets of their b (kind 1)."""
+
     def run(batches):
         import pyarrow as pa
 
+        own, of = None, None
         for b in batches:
-            good = []
-            for x, y in zip(b.column("sa"), b.column("sb"), strict=True):
-                x, y = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
-                good.append(overlap(x, y) >= needed_overlap(len(x), len(y), t))
-            keep = pa.array(good, pa.bool_())
+            keep = []
+            for a, kind, s in zip(b.column("a").to_pylist(), b.column("kind").to_pylist(), b.column("s"), strict=True):
+                x = np.frombuffer(s.as_buffer(), np.uint64)
+                if kind == 0:
+                    own, of = x.copy(), a
+                keep.append(kind == 1 and of == a and overlap(own, x) >= needed_overlap(len(own), len(x), t))
+            keep = pa.array(keep, pa.bool_())
             yield pa.RecordBatch.from_arrays([b.column(c).filter(keep) for c in ("a", "b", "ca", "cb")], names=["a", "b", "ca", "cb"])
 
     return run
 
 
 def _verify(pairs: DataFrame, docs: DataFrame, t: Fraction, k: int) -> DataFrame:
+    """Pairs whose shingle sets reach the threshold. A set is made once for each text and travels once to all pairs in
+    which the text comes first, and once to each pair in which it comes second."""
     need = pairs.select(F.col("a").alias(RID)).unionByName(pairs.select(F.col("b").alias(RID))).distinct()
-    sets = docs.join(need, RID, "left_semi").mapInArrow(tidy(_make_sets(k)), f"{RID} long, s binary")
-    sets = written(sets, "sets")
-    both = pairs.join(sets.select(F.col(RID).alias("a"), F.col("s").alias("sa")), "a").join(sets.select(F.col(RID).alias("b"), F.col("s").alias("sb")), "b")
-    out = written(both.select("a", "b", "ca", "cb", "sa", "sb").mapInArrow(tidy(_verified(t)), "a long, b long, ca long, cb long"), "verified")
+    sets = written(docs.join(need, RID, "left_semi").mapInArrow(tidy(_make_sets(k)), f"{RID} long, s binary"), "sets")
+    second = pairs.join(sets.select(F.col(RID).alias("b"), "s"), "b").select("a", F.lit(1).alias("kind"), "b", "ca", "cb", "s")
+    none = F.lit(None).cast("long")
+    first = sets.join(pairs.select(F.col("a").alias(RID)).distinct(), RID, "left_semi").select(F.col(RID).alias("a"), F.lit(0).alias("kind"), none.alias("b"), none.alias("ca"), none.alias("cb"), "s")
+    both = second.unionByName(first).repartition("a").sortWithinPartitions("a", "kind")
+    out = written(both.mapInArrow(tidy(_verified(t)), "a long, b long, ca long, cb long"), "verified")
     dropped(sets)
     return out
 
@@ -515,7 +524,9 @@ def similarity_links(docs: DataFrame, t: Fraction, k: int, block: int = 20_000)
         members = left
         some = members if mode == "all" else _thinned(members, turn)
         full = some.join(points if mode == "all" else points.drop("fine"), RID).repartition("g", "part").sortWithinPartitions("g", "part")
-        pairs = full.mapInArrow(tidy(_pairs(t, mode)), "a long, b long, ca long, cb long")
+        pairs = full.mapInArrow(tidy(_pairs(t, mode)), "a long, b long, ca long, cb long, spare long")
+        if mode == "component":  # over all groups, one pair of each component
+            pairs = pairs.groupBy("ca").agg(F.max_by(F.struct("a", "b", "cb"), F.struct("spare", "a", "b")).alias("p")).select("p.a", "p.b", "ca", "p.cb")
         low, high = F.struct(F.col("a").alias("r"), F.col("ca").alias("c")), F.struct(F.col("b").alias("r"), F.col("cb").alias("c"))
         pairs = pairs.select(F.least(low, high).alias("x"), F.greatest(low, high).alias("y")).select(F.col("x.r").alias("a"), F.col("y.r").alias("b"), F.col("x.c").alias("ca"), F.col("y.c").alias("cb")).distinct()
         pairs = written(pairs, "pairs")
