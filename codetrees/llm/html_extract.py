@@ -35,6 +35,8 @@ JUNK_WORDS = {
     "ad", "ads", "advert", "adverts", "advertisement", "advertising", "banner", "breadcrumb", "breadcrumbs", "comment", "comments", "consent", "cookie", "cookies", "copyright", "disqus", "footer", "gdpr", "hidden", "login", "menu", "modal", "nav", "navbar", "navigation",
     "newsletter", "notice", "overlay", "pager", "pagination", "popup", "promo", "promotion", "recommended", "related", "replies", "reply", "respond", "share", "sharing", "sidebar", "signup", "skip", "social", "sponsor", "sponsored", "subscribe", "teaser", "toolbar", "widget",
 }
+JUNK_STARTS = ("advert", "breadcrumb", "comment", "cookie", "disqus", "navbar", "newsletter", "pagination", "sidebar", "sponsor", "subscri")
+JUNK_ENDS = ("banner", "comments", "cookies", "footer", "navbar", "navigation", "popup", "sidebar")
 HEADER_WORDS = {"header", "masthead"}
 CONTENT_WORDS = {"article", "body", "content", "entry", "main", "post", "story", "text"}
 
@@ -60,6 +62,8 @@ def is_junk(tag: str, attrs: str, in_article: bool) -> bool:
             words.update(WORDS.findall(value))
     if tag in ("article", "main"):
         return bool(words & {"comment", "comments", "reply", "replies"})
+    if any(w.startswith(JUNK_STARTS) or w.endswith(JUNK_ENDS) for w in words):
+        return True
     return bool(words & JUNK_WORDS) or bool(words & HEADER_WORDS) and not words & CONTENT_WORDS
 
 
