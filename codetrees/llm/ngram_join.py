@@ -13,10 +13,10 @@ bounded once more by points of about as many groups as the texts have shingles.
    order (very frequent shingles last). Shingles met by several representatives become groups; groups inside one component
    are dropped; the rest are searched by R-tree for pairs of different components whose bound reaches the needed
    overlap. Groups of any size are searched in blocks. The search
-   has three rounds. In the first two every component looks for its best pair, among some members of each component in
-   a group; they only save work, as most components find each other there. The last takes all members of the groups that
-   hold several components still, and all pairs that a finer bound lets through. After each round the pairs are verified
-   on the shingle sets, linked components become one, and groups inside one component are dropped.
+   has two rounds. In the first every component looks for its best pair, among some members of each component in a
+   group; it only saves work, as most components find each other there. The second takes all members of the groups that
+   hold several components still, and all pairs, which a finer bound then thins out. After each round the pairs are
+   verified on the shingle sets, linked components become one, and groups inside one component are dropped.
 3. Components of all verified links, by large-star and small-star steps on tables.
 
 Edge rules: null and empty texts, or texts without words, have no shingles and link with nothing; texts shorter than n
@@ -42,7 +42,7 @@ GROUPS = 256
 LEADERS, TRIES = 64, 8  # of the first step only, which the second completes
 HELD_SHINGLES = 8_000_000  # of the leaders that a task remembers
 COUNTED = 3_000_000  # shingles counted together in a task
-ROUNDS = ("component", "component", "all")  # which pairs of a group are tried; later rounds see what is still apart
+ROUNDS = ("component", "all")  # which pairs of a group are tried; later rounds see what is still apart
 THINNED = 48  # members of a component that take part in the first round of a group, about
 DIRECT = 1 << 16  # bounds of a group that are computed outright; with more, its R-tree is searched
 FREQUENT = 500  # a shingle in more than one of so many texts comes last in the order
@@ -344,11 +344,11 @@ def _groups(batches):
 
 def _pairs(t: Fraction, mode: str):
     """Sorted by group block: pairs of different components whose bound reaches the needed overlap. mode "component" gives
-    each component's best pair in the group; "all" gives all pairs that the finer points let through too."""
+    each component's best pair in the group; "all" gives all pairs."""
 
     def candidates(rows, asking: np.ndarray, cross: bool):
         """(asking member, members of other components that it may link with, surplus of their bounds), one by one."""
-        rid, comp, n, point, excess, side, _ = rows
+        rid, comp, n, point, excess, side = rows
         tree = CountRTree(point, n, excess) if len(asking) * len(rid) > DIRECT else None
         step = max(1, DIRECT // 8 // len(rid))
         for at in range(0, len(asking), step):
@@ -372,7 +372,13 @@ def _pairs(t: Fraction, mode: str):
                     yield int(i), j, spare
 
     def search(rows) -> list[tuple[int, int, int, int, int]]:
-        rid, comp, n, point, excess, side, fine = rows
+        rid, comp, n, point, excess, side = rows
+        if len(rid) == 2:
+            if comp[0] == comp[1] or side.any() and side[0] == side[1]:
+                return []
+            spare = int(np.minimum(point[0], point[1]).sum()) + min(excess) - needed_overlap(int(n[0]), int(n[1]), t)
+            both = [(rid[0], rid[1], comp[0], comp[1], spare), (rid[1], rid[0], comp[1], comp[0], spare)]
+            return both[: 2 if mode == "component" else 1] if spare >= 0 else []
         out: list[tuple[int, int, int, int, int]] = []
         parts, part, sizes = np.unique(comp, return_inverse=True, return_counts=True)
         if len(parts) < 2:
@@ -383,7 +389,7 @@ def _pairs(t: Fraction, mode: str):
         best: dict[int, tuple[int, int, int]] = {}
         for i, j, spare in candidates(rows, asking, bool(side.any())):
             if mode == "all":
-                out += [(rid[i], rid[x], comp[i], comp[x], 0) for x in j if (x > i or part[x] == largest) and fine_bound(zlib.decompress(fine[i]), zlib.decompress(fine[x])) >= needed_overlap(int(n[i]), int(n[x]), t)]
+                out += [(rid[i], rid[x], comp[i], comp[x], 0) for x in j if x > i or part[x] == largest]
                 continue
             k = int(np.lexsort((rid[j], -spare))[0])
             if comp[i] not in best or (spare[k], -rid[i]) > (best[comp[i]][0], -rid[best[comp[i]][1]]):
@@ -395,31 +401,60 @@ def _pairs(t: Fraction, mode: str):
 
         held, name = [], None
 
-        def done():
-            cols = [np.concatenate(x) if k < 6 else [f for part in x for f in part] for k, x in enumerate(zip(*held, strict=True))]
-            found = search(cols)
+        def made(found):
             return pa.RecordBatch.from_arrays([pa.array([int(f[c]) for f in found], pa.int64()) for c in range(5)], names=["a", "b", "ca", "cb", "spare"])
 
         for b in batches:
             if not b.num_rows:
                 continue
             g, p = b.column("g").to_numpy(), b.column("part").to_numpy()
-            cut = np.concatenate([[0], np.flatnonzero((np.diff(g) != 0) | (np.diff(p) != 0)) + 1, [len(g)]])
+            cut = np.concatenate([[0], np.flatnonzero((np.diff(g) != 0) | (np.diff(p) != 0)) + 1, [len(g)]]).tolist()
             point = np.frombuffer(b"".join(map(zlib.decompress, b.column("point").to_pylist())), np.uint8).reshape(-1, GROUPS)
-            fine = b.column("fine").to_pylist() if mode == "all" else [None] * b.num_rows
-            cols = (b.column(RID).to_numpy(), b.column("comp").to_numpy(), b.column("n").to_numpy(), point, b.column("excess").to_numpy(), b.column("side").to_numpy(zero_copy_only=False), fine)
+            cols = (b.column(RID).to_numpy(), b.column("comp").to_numpy(), b.column("n").to_numpy(), point, b.column("excess").to_numpy(), b.column("side").to_numpy(zero_copy_only=False))
+            found = []
             for a, z in zip(cut[:-1], cut[1:], strict=True):
-                if (g[a], p[a]) != name:
-                    if held:
-                        yield done()
-                    held, name = [], (g[a], p[a])
-                held.append([c[a:z] for c in cols])
-        if held:
-            yield done()
+                rows = [c[a:z] for c in cols]
+                if held and (g[a], p[a]) == name:  # goes on from the batch before
+                    held.append(rows)
+                    if z < len(g):
+                        found += search([np.concatenate(x) for x in zip(*held, strict=True)])
+                        held = []
+                    continue
+                if held:
+                    found += search([np.concatenate(x) for x in zip(*held, strict=True)])
+                    held = []
+                if z == len(g):
+                    held, name = [rows], (g[a], p[a])
+                else:
+                    found += search(rows)
+            if found:
+                yield made(found)
+        if held and (found := search([np.concatenate(x) for x in zip(*held, strict=True)])):
+            yield made(found)
 
     return run
 
 
+def _finer(t: Fraction):
+    """Pairs whose fine points let them through."""
+
+    def run(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            cols = [b.column(c).to_pylist() for c in ("na", "nb", "fa", "fb")]
+            keep = pa.array([fine_bound(zlib.decompress(x), zlib.decompress(y)) >= needed_overlap(n, m, t) for n, m, x, y in zip(*cols, strict=True)], pa.bool_())
+            yield pa.RecordBatch.from_arrays([b.column(c).filter(keep) for c in ("a", "b", "ca", "cb")], names=["a", "b", "ca", "cb"])
+
+    return run
+
+
+def _closer(pairs: DataFrame, fine: DataFrame, t: Fraction) -> DataFrame:
+    """Pairs that the finer points let through."""
+    both = pairs.join(fine.select(F.col(RID).alias("a"), F.col("n").alias("na"), F.col("fine").alias("fa")), "a").join(fine.select(F.col(RID).alias("b"), F.col("n").alias("nb"), F.col("fine").alias("fb")), "b")
+    return written(both.select("a", "b", "ca", "cb", "na", "nb", "fa", "fb").mapInArrow(tidy(_finer(t)), "a long, b long, ca long, cb long"), "closer")
+
+
 def _make_sets(k: int):
     def run(batches):
         import pyarrow as pa
@@ -523,7 +558,7 @@ def similarity_links(docs: DataFrame, t: Fraction, k: int, block: int = 20_000)
         dropped(members)
         members = left
         some = members if mode == "all" else _thinned(members, turn)
-        full = some.join(points if mode == "all" else points.drop("fine"), RID).repartition("g", "part").sortWithinPartitions("g", "part")
+        full = some.join(points.drop("fine"), RID).repartition("g", "part").sortWithinPartitions("g", "part")
         pairs = full.mapInArrow(tidy(_pairs(t, mode)), "a long, b long, ca long, cb long, spare long")
         if mode == "component":  # over all groups, one pair of each component
             pairs = pairs.groupBy("ca").agg(F.max_by(F.struct("a", "b", "cb"), F.struct("spare", "a", "b")).alias("p")).select("p.a", "p.b", "ca", "p.cb")
@@ -532,6 +567,8 @@ def similarity_links(docs: DataFrame, t: Fraction, k: int, block: int = 20_000)
         pairs = written(pairs, "pairs")
         del full, some
         release(spark)
+        if mode == "all":
+            pairs = _closer(pairs, points, t)
         if not pairs.isEmpty():
             found = _verify(pairs, docs, t, k)
             known = known.unionByName(found.select(F.col("ca").alias("a"), F.col("cb").alias("b")))
