@@ -436,7 +436,7 @@ def _pairs(t: Fraction, mode: str):
 
 
 def _finer(t: Fraction):
-    """Pairs whose fine points let them through."""
+    """Pairs whose fine points let them through, the larger text first."""
 
     def run(batches):
         import pyarrow as pa
@@ -444,7 +444,9 @@ def _finer(t: Fraction):
         for b in batches:
             cols = [b.column(c).to_pylist() for c in ("na", "nb", "fa", "fb")]
             keep = pa.array([fine_bound(zlib.decompress(x), zlib.decompress(y)) >= needed_overlap(n, m, t) for n, m, x, y in zip(*cols, strict=True)], pa.bool_())
-            yield pa.RecordBatch.from_arrays([b.column(c).filter(keep) for c in ("a", "b", "ca", "cb")], names=["a", "b", "ca", "cb"])
+            turned = np.array(cols[0]) < np.array(cols[1])
+            both = lambda x, y, b=b, turned=turned, keep=keep: pa.array(np.where(turned, b.column(y).to_numpy(), b.column(x).to_numpy())).filter(keep)
+            yield pa.RecordBatch.from_arrays([both("a", "b"), both("b", "a"), both("ca", "cb"), both("cb", "ca")], names=["a", "b", "ca", "cb"])
 
     return run
 
@@ -460,12 +462,22 @@ def _make_sets(k: int):
         import pyarrow as pa
 
         for b in _parts(batches):
-            yield pa.RecordBatch.from_arrays([b.column(RID), pa.array([s.tobytes() for s in _sets(b, "text", k)], pa.binary())], names=[RID, "s"])
+            sets = list(_sets(b, "text", k))
+            short = [(s >> np.uint64(32)).astype(np.uint32).tobytes() for s in sets]
+            yield pa.RecordBatch.from_arrays([b.column(RID), pa.array([s.tobytes() for s in sets], pa.binary()), pa.array(short, pa.binary())], names=[RID, "s", "short"])
 
     return run
 
 
-def _verified(t: Fraction):
+def short_overlap(a: np.ndarray, b: np.ndarray) -> int:
+    """Upper bound of an overlap from the sorted 32-bit heads of both sets, repeated heads counted as often as they occur."""
+    x, m = np.unique(a, return_counts=True)
+    y, n = np.unique(b, return_counts=True)
+    _, i, j = np.intersect1d(x, y, assume_unique=True, return_indices=True)
+    return int(np.minimum(m[i], n[j]).sum())
+
+
+def _compared(t: Fraction, short: bool):
     """Sorted by a and kind: the set of a (kind 0), then its pairs with the sets of their b (kind 1)."""
 
     def run(batches):
@@ -475,10 +487,10 @@ def _verified(t: Fraction):
         for b in batches:
             keep = []
             for a, kind, s in zip(b.column("a").to_pylist(), b.column("kind").to_pylist(), b.column("s"), strict=True):
-                x = np.frombuffer(s.as_buffer(), np.uint64)
+                x = np.frombuffer(s.as_buffer(), np.uint32 if short else np.uint64)
                 if kind == 0:
                     own, of = x.copy(), a
-                keep.append(kind == 1 and of == a and overlap(own, x) >= needed_overlap(len(own), len(x), t))
+                keep.append(kind == 1 and of == a and (short_overlap if short else overlap)(own, x) >= needed_overlap(len(own), len(x), t))
             keep = pa.array(keep, pa.bool_())
             yield pa.RecordBatch.from_arrays([b.column(c).filter(keep) for c in ("a", "b", "ca", "cb")], names=["a", "b", "ca", "cb"])
 
@@ -486,17 +498,19 @@ def _verified(t: Fraction):
 
 
 def _verify(pairs: DataFrame, docs: DataFrame, t: Fraction, k: int) -> DataFrame:
-    """Pairs whose shingle sets reach the threshold. A set is made once for each text and travels once to all pairs in
-    which the text comes first, and once to each pair in which it comes second."""
+    """Pairs whose shingle sets reach the threshold: by the heads of their shingles first, then, for the few pairs left, by
+    the whole. A set travels once to all pairs in which its text comes first, and once to each in which it comes second."""
     need = pairs.select(F.col("a").alias(RID)).unionByName(pairs.select(F.col("b").alias(RID))).distinct()
-    sets = written(docs.join(need, RID, "left_semi").mapInArrow(tidy(_make_sets(k)), f"{RID} long, s binary"), "sets")
-    second = pairs.join(sets.select(F.col(RID).alias("b"), "s"), "b").select("a", F.lit(1).alias("kind"), "b", "ca", "cb", "s")
+    sets = written(docs.join(need, RID, "left_semi").mapInArrow(tidy(_make_sets(k)), f"{RID} long, s binary, short binary"), "sets")
     none = F.lit(None).cast("long")
-    first = sets.join(pairs.select(F.col("a").alias(RID)).distinct(), RID, "left_semi").select(F.col(RID).alias("a"), F.lit(0).alias("kind"), none.alias("b"), none.alias("ca"), none.alias("cb"), "s")
-    both = second.unionByName(first).repartition("a").sortWithinPartitions("a", "kind")
-    out = written(both.mapInArrow(tidy(_verified(t)), "a long, b long, ca long, cb long"), "verified")
+    for column in ("short", "s"):
+        own = sets.select(RID, F.col(column).alias("s"))
+        second = pairs.join(own.withColumnRenamed(RID, "b"), "b").select("a", F.lit(1).alias("kind"), "b", "ca", "cb", "s")
+        first = own.join(pairs.select(F.col("a").alias(RID)).distinct(), RID, "left_semi").select(F.col(RID).alias("a"), F.lit(0).alias("kind"), none.alias("b"), none.alias("ca"), none.alias("cb"), "s")
+        both = second.unionByName(first).repartition("a").sortWithinPartitions("a", "kind")
+        pairs = written(both.mapInArrow(tidy(_compared(t, column == "short")), "a long, b long, ca long, cb long"), "verified")
     dropped(sets)
-    return out
+    return pairs
 
 
 def _mixed(members: DataFrame, labels: DataFrame) -> DataFrame:
