@@ -42,6 +42,7 @@ GROUPS = 256
 LEADERS, TRIES = 64, 8  # of the first step only, which the second completes
 HELD_SHINGLES = 8_000_000  # of the leaders that a task remembers
 COUNTED = 3_000_000  # shingles counted together in a task
+BROADCAST_IDS = 1_000_000  # 8 MB of row numbers
 ROUNDS = ("component", "all")  # which pairs of a group are tried; later rounds see what is still apart
 THINNED = 48  # members of a component that take part in the first round of a group, about
 DIRECT = 1 << 16  # bounds of a group that are computed outright; with more, its R-tree is searched
@@ -500,7 +501,9 @@ def _compared(t: Fraction, short: bool):
 def _verify(pairs: DataFrame, docs: DataFrame, t: Fraction, k: int) -> DataFrame:
     """Pairs whose shingle sets reach the threshold: by the heads of their shingles first, then, for the few pairs left, by
     the whole. A set travels once to all pairs in which its text comes first, and once to each in which it comes second."""
-    need = pairs.select(F.col("a").alias(RID)).unionByName(pairs.select(F.col("b").alias(RID))).distinct()
+    need = written(pairs.select(F.col("a").alias(RID)).unionByName(pairs.select(F.col("b").alias(RID))).distinct(), "need")
+    if need.count() <= BROADCAST_IDS:  # else the texts are shuffled to their numbers
+        need = F.broadcast(need)
     sets = written(docs.join(need, RID, "left_semi").mapInArrow(tidy(_make_sets(k)), f"{RID} long, s binary, short binary"), "sets")
     none = F.lit(None).cast("long")
     for column in ("short", "s"):
