@@ -42,6 +42,21 @@ def mine_frequent(counts, k: int, minsup: int, maxlen: int | None = None) -> dic
     return family
 
 
+def mine_lowest(counts, k: int, most: int) -> dict[int, int]:
+    """All itemsets at the lowest support that has at most `most` of them, of any length. The threshold rises level by level
+    to the lowest that the sets found so far allow; larger sets have no more support than their parts, so none is missed."""
+    family, minsup = {}, 1
+    level = [1 << i for i in range(k)]
+    while level:
+        family.update((m, s) for m, s in zip(level, counts.supports(level), strict=True) if s >= minsup)
+        if len(family) > most:
+            minsup = sorted(family.values(), reverse=True)[most] + 1
+            family = {m: s for m, s in family.items() if s >= minsup}
+        size = level[0].bit_count()
+        level = _extend(sorted(m for m in family if m.bit_count() == size))
+    return {0: counts.total, **family}
+
+
 def mine_low_entropy(counts: LocalCounts, k: int, max_bits: float, maxlen: int) -> dict[int, float]:
     """Itemsets whose joint entropy over all value patterns is at most max_bits; as entropy grows with the set, the family
     is downward closed: {mask: bits}."""
