@@ -30,3 +30,11 @@ def test_lowest_support_of_so_many_sets():
         below = max((s for s in whole.values() if s < least), default=None)
         assert got == {m: s for m, s in whole.items() if s >= least} and len(got) - 1 <= most
         assert below is None or sum(s >= below for s in whole.values()) - 1 > most
+
+
+def test_families_have_no_limit_of_length(spark, sf_dir):
+    for name, longest in (("w5", 9), ("w9", 6)):
+        c, w = core.counts(spark, sf_dir, name)
+        got = core.family_of(c, w, name)
+        assert max(m.bit_count() for m in got) == longest
+        assert got == it.mine_frequent(c, w.k, core._pct(c.total, core.FAMILIES[name]))
