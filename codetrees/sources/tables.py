@@ -145,8 +145,8 @@ def wide_items(spark: SparkSession, sf_dir: str, k: int = 120, word_bits: int =
     return w.groupBy("w").agg(F.count("*").alias("n")), names
 
 
-def wide_growth(spark: SparkSession, sf_dir: str, max_splits: int = 60) -> DataFrame:
-    """The first splits of growth on 120 items."""
+def wide_growth(spark: SparkSession, sf_dir: str, max_splits: int | None = None) -> DataFrame:
+    """Growth on 120 items until no split saves bits."""
     from codetrees.plans.core_queries import one_row
     from codetrees.plans.counts import counts_of
     from codetrees.plans.greedy import grow_model

@@ -2,7 +2,11 @@
 
 from codetrees.operators import itemsets as it
 from codetrees.plans import core_queries as core
+from codetrees.plans import registry
+from codetrees.plans.counts import counts_of
 from codetrees.plans.cover import cover_baseline
+from codetrees.plans.greedy import grow_model
+from codetrees.sources.tables import wide_items
 from tests.test_search import counts_from, noise
 
 
@@ -38,3 +42,10 @@ def test_families_have_no_limit_of_length(spark, sf_dir):
         got = core.family_of(c, w, name)
         assert max(m.bit_count() for m in got) == longest
         assert got == it.mine_frequent(c, w.k, core._pct(c.total, core.FAMILIES[name]))
+
+
+def test_wide_growth_goes_on_until_no_split_saves(spark, sf_dir):
+    r = registry.queries()["w12_wide_stats"](spark, sf_dir).first()
+    ct, names = wide_items(spark, sf_dir)
+    m = grow_model(counts_of(ct, len(names)), names)
+    assert r["splits"] == len(m.trace) > 60 and r["bits"] == m.cost()
