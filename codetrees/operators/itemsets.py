@@ -8,7 +8,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from codetrees.plans.counts import LocalCounts
+from codetrees.plans.counts import LocalCounts, _columns
 from codetrees.plans.model import items_of
 
 FAMILY_LIMIT = 10_000_000
@@ -57,25 +57,51 @@ def mine_lowest(counts, k: int, most: int) -> dict[int, int]:
     return {0: counts.total, **family}
 
 
-def mine_low_entropy(counts: LocalCounts, k: int, max_bits: float, maxlen: int) -> dict[int, float]:
+def mine_low_entropy(counts, k: int, max_bits: float, maxlen: int) -> dict[int, float]:
     """Itemsets whose joint entropy over all value patterns is at most max_bits; as entropy grows with the set, the family
     is downward closed: {mask: bits}."""
     out, level, size = {}, [1 << i for i in range(k)], 1
     while level and size <= maxlen:
-        bits = {m: _entropy(counts, m) for m in level}
+        bits = _entropies(counts, level)
         keep = [m for m in level if bits[m] <= max_bits]
         out.update((m, bits[m]) for m in keep)
         level, size = _extend(keep), size + 1
     return out
 
 
-def _entropy(counts: LocalCounts, mask: int) -> float:
-    cells = np.zeros(len(counts.n), np.int64)
+def _entropies(counts, masks: list[int]) -> dict[int, float]:
+    """Joint entropies by value patterns: on the driver from local counts, else by one job whose rows stay on executors."""
+    if isinstance(counts, LocalCounts):
+        return {m: _entropy(_cells(counts.words, m), counts.n, counts.total) for m in masks}
+    total = counts.total
+
+    def cells(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            words, n = _columns(b)
+            for i, m in enumerate(masks):
+                found, at = np.unique(_cells(words, m), return_inverse=True)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(found), i, np.int32)), pa.array(found), pa.array(np.bincount(at, n, len(found)).astype(np.int64))], names=["i", "cell", "c"])
+
+    share = F.col("c") / F.lit(float(total))
+    found = counts.ct.mapInArrow(cells, "i int, cell long, c long").groupBy("i", "cell").agg(F.sum("c").alias("c")).where("c > 0")
+    got = {r["i"]: r["bits"] for r in found.groupBy("i").agg(F.sum(-share * F.log2(share)).alias("bits")).collect()}
+    return {m: got.get(i, 0.0) for i, m in enumerate(masks)}
+
+
+def _cells(words: np.ndarray, mask: int) -> np.ndarray:
+    """The value pattern of each row on the items of a mask, as a number."""
+    cells = np.zeros(len(words), np.int64)
     for j, i in enumerate(items_of(mask)):
-        cells += counts.bits[:, i].astype(np.int64) << j
-    n = np.bincount(cells, counts.n)
+        cells |= ((words[:, i // 63] >> np.uint64(i % 63)) & np.uint64(1)).astype(np.int64) << j
+    return cells
+
+
+def _entropy(cells: np.ndarray, n: np.ndarray, total: int) -> float:
+    n = np.bincount(cells, n)
     n = n[n > 0]
-    return float(-(n * np.log2(n / counts.total)).sum() / counts.total)
+    return float(-(n * np.log2(n / total)).sum() / total)
 
 
 def all_itemsets(counts, k: int, maxlen: int = 2) -> dict[int, int]:

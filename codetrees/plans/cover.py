@@ -8,14 +8,16 @@ are dropped again when that shortens the whole.
 
 from __future__ import annotations
 
+from bisect import bisect_left
 from dataclasses import dataclass
 
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from codetrees.plans.counts import LocalCounts
+from codetrees.plans.counts import LocalCounts, SparkCounts
 from codetrees.plans.model import items_of
+from codetrees.sources.tables import scratch
 
 
 @dataclass
@@ -63,53 +65,124 @@ def total_bits(usage: dict[int, int], single: dict[int, float]) -> float:
     return float(bits)
 
 
-def _singles(rows: np.ndarray, n: np.ndarray, k: int) -> dict[int, int]:
-    return {i: int(n[(rows >> np.int64(i)) & np.int64(1) == 1].sum()) for i in range(k)}
+def _change(rows: np.ndarray, n: np.ndarray, table: list[int], place: int, x: int) -> dict[int, int]:
+    """Usages that change when x joins the table at a place: {mask: difference}. Only rows in which x still fits after the
+    entries before it change, and only from x on."""
+    v = np.int64(x)
+    at = np.flatnonzero((rows & v) == v)
+    rest, n = rows[at], n[at]
+    for e in table[:place]:
+        hit = (rest & np.int64(e)) == e
+        if hit.any():
+            rest[hit] &= ~np.int64(e)
+            if e & x:
+                rest, n = rest[~hit], n[~hit]
+    out = {x: int(n.sum())}
+    k = int(rest.max(initial=0)).bit_length()
+    for sign, got in ((-1, _usages(rest, n, table[place:], k)), (1, _usages(rest & ~v, n, table[place:], k))):
+        for m, u in got.items():
+            out[m] = out.get(m, 0) + sign * u
+    return {m: u for m, u in out.items() if u}
+
+
+class LocalRows:
+    """Usages from compact rows on the driver; candidates are looked at one by one."""
+
+    most = 1
+
+    def __init__(self, counts: LocalCounts):
+        self.rows, self.n, self.k = counts.words[:, 0].view(np.int64), counts.n, counts.k
+
+    def usages(self, table: list[int]) -> dict[int, int]:
+        return _usages(self.rows, self.n, table, self.k)
+
+    def changes(self, table: list[int], tries: list[tuple[int, int]]) -> list[dict[int, int]]:
+        return [_change(self.rows, self.n, table, place, x) for x, place in tries]
+
+
+class SparkRows:
+    """The same by one job per table or batch of candidates; sums per partition reach the driver, rows never do. The
+    compact rows are written once to the shared folder, so that jobs do not make them again."""
+
+    most = 256
 
+    def __init__(self, counts: SparkCounts):
+        spark = counts.ct.sparkSession
+        path = scratch(spark, "cover")
+        counts.ct.select(F.col("m"), F.col("n").cast("long").alias("n")).repartition(2 * spark.sparkContext.defaultParallelism).write.parquet(path)
+        self.ct, self.k = spark.read.parquet(path), counts.k
 
-def cover_baseline(counts: LocalCounts, family: dict[int, int], prune: bool = False, max_candidates: int | None = None) -> Cover:
-    """Search a code table over compact rows. max_candidates stops early and says so in `truncated`."""
+    def _sums(self, work) -> dict[tuple[int, int], int]:
+        """work: a function of rows and multiplicities to (number, mask, amount) triples, summed over partitions."""
+
+        def partial(batches):
+            import pyarrow as pa
+
+            got = [(b.column("m").to_numpy().view(np.int64), b.column("n").to_numpy()) for b in batches]
+            if got:
+                i, m, u = np.array(work(np.concatenate([x for x, _ in got]), np.concatenate([y for _, y in got])), np.int64).reshape(-1, 3).T
+                yield pa.RecordBatch.from_arrays([pa.array([x.tobytes()], pa.binary()) for x in (i, m, u)], names=["i", "m", "u"])
+
+        out: dict[tuple[int, int], int] = {}
+        for r in self.ct.mapInArrow(partial, "i binary, m binary, u binary").toLocalIterator():  # one partition's sums at a time
+            for i, m, u in zip(*(np.frombuffer(r[c], np.int64).tolist() for c in "imu"), strict=True):
+                out[i, m] = out.get((i, m), 0) + u
+        return out
+
+    def usages(self, table: list[int]) -> dict[int, int]:
+        k = self.k
+        return {m: u for (_, m), u in self._sums(lambda rows, n: [(0, m, u) for m, u in _usages(rows, n, table, k).items()]).items()}
+
+    def changes(self, table: list[int], tries: list[tuple[int, int]]) -> list[dict[int, int]]:
+        out: list[dict[int, int]] = [{} for _ in tries]
+        for (i, m), u in self._sums(lambda rows, n: [(i, m, u) for i, (x, place) in enumerate(tries) for m, u in _change(rows, n, table, place, x).items()]).items():
+            out[i][m] = u
+        return out
+
+
+def cover_baseline(counts, family: dict[int, int], prune: bool = False, max_candidates: int | None = None) -> Cover:
+    """Search a code table over compact rows, on the driver or by Spark jobs, as the counts are. Candidates are weighed in
+    batches against the table of the time; those after one that is kept are weighed again. max_candidates stops early and
+    says so in `truncated`."""
     k = counts.k
     if k > 63:
         raise ValueError("the cover baseline takes at most 63 items")
-    rows, n = counts.words[:, 0].view(np.int64), counts.n
-    ones = _singles(rows, n, k)
+    data = SparkRows(counts) if isinstance(counts, SparkCounts) else LocalRows(counts)
+    ones = {i: 0 for i in range(k)} | {m.bit_length() - 1: u for m, u in data.usages([]).items()}
     whole = sum(ones.values())
     single = {i: -np.log2(c / whole) if c else 0.0 for i, c in ones.items()}
-    usage = _usages(rows, n, [], k)
+    usage = {1 << i: u for i, u in ones.items() if u}
     start = best = total_bits(usage, single)
     place = lambda m: (-m.bit_count(), -family[m], m)
     wanted = sorted((m for m in family if m.bit_count() > 1), key=lambda m: (-family[m], -m.bit_count(), m))
+    last = len(wanted) if max_candidates is None else min(max_candidates, len(wanted))
     table: list[int] = []
-    tried = 0
-    for x in wanted:
-        if max_candidates is not None and tried >= max_candidates:
-            break
-        tried += 1
-        v = np.int64(x)
-        at = np.flatnonzero((rows & v) == v)  # only these rows' covers can change
-        new_table = sorted([*table, x], key=place)
-        old, new = _usages(rows[at], n[at], table, k), _usages(rows[at], n[at], new_table, k)
-        made = dict(usage)
-        for m, u in old.items():
-            made[m] = made.get(m, 0) - u
-        for m, u in new.items():
-            made[m] = made.get(m, 0) + u
-        bits = total_bits(made, single)
-        if bits < best - 1e-9:
-            fell = [m for m in table if made.get(m, 0) < usage.get(m, 0)]
-            table, usage, best = new_table, made, bits
-            if prune:
-                table, usage, best = _prune(rows, n, table, usage, best, fell, single, k)
+    tried, width = 0, min(8, data.most)
+    while tried < last:
+        batch = [(x, bisect_left(table, place(x), key=place)) for x in wanted[tried : min(last, tried + width)]]
+        kept = False
+        for (x, at), change in zip(batch, data.changes(table, batch), strict=True):
+            tried += 1
+            made = dict(usage)
+            for m, u in change.items():
+                made[m] = made.get(m, 0) + u
+            bits = total_bits(made, single)
+            if bits < best - 1e-9:
+                fell = [m for m in table if made.get(m, 0) < usage.get(m, 0)]
+                table, usage, best, kept = [*table[:at], x, *table[at:]], made, bits, True
+                if prune:
+                    table, usage, best = _prune(data, table, usage, best, fell, single)
+                break
+        width = max(1, min(8, data.most), width // 2) if kept else min(data.most, 2 * width)
     return Cover(table, {m: u for m, u in usage.items() if u > 0}, start, best, tried, tried < len(wanted))
 
 
-def _prune(rows, n, table, usage, best, fell, single, k):
+def _prune(data, table, usage, best, fell, single):
     todo = sorted(fell, key=lambda m: usage.get(m, 0))
     while todo:
         x = todo.pop(0)
         less = [m for m in table if m != x]
-        made = _usages(rows, n, less, k)
+        made = data.usages(less)
         bits = total_bits(made, single)
         if bits < best - 1e-9:
             todo += [m for m in less if made.get(m, 0) < usage.get(m, 0) and m not in todo]

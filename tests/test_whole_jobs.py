@@ -1,12 +1,15 @@
 """That registered queries do their whole job: no candidates, lengths or splits left out."""
 
+import pytest
+
 from codetrees.operators import itemsets as it
 from codetrees.plans import core_queries as core
 from codetrees.plans import registry
-from codetrees.plans.counts import counts_of
+from codetrees.plans.counts import SparkCounts, counts_of
 from codetrees.plans.cover import cover_baseline
 from codetrees.plans.greedy import grow_model
 from codetrees.sources.tables import wide_items
+from codetrees.sources.workloads import WORKLOADS
 from tests.test_search import counts_from, noise
 
 
@@ -49,3 +52,22 @@ def test_wide_growth_goes_on_until_no_split_saves(spark, sf_dir):
     ct, names = wide_items(spark, sf_dir)
     m = grow_model(counts_of(ct, len(names)), names)
     assert r["splits"] == len(m.trace) > 60 and r["bits"] == m.cost()
+
+
+@pytest.mark.parametrize("prune", [False, True])
+def test_cover_by_spark_is_the_local_cover(spark, sf_dir, prune):
+    w = WORKLOADS["w9"]
+    ct = w.compact(spark, sf_dir)
+    local, far = counts_of(ct, w.k), counts_of(ct, w.k, local_cells=0)
+    assert isinstance(far, SparkCounts)
+    family = it.mine_frequent(local, w.k, 300)
+    a, b = cover_baseline(local, family, prune), cover_baseline(far, family, prune)
+    assert a.table == b.table and len(a.table) > 3 and a.usage == b.usage
+    assert (a.start_bits, a.bits) == pytest.approx((b.start_bits, b.bits)) and a.tried == b.tried
+
+
+def test_low_entropy_sets_by_spark_are_the_local_ones(spark, sf_dir):
+    w = WORKLOADS["w9"]
+    ct = w.compact(spark, sf_dir)
+    a, b = (it.mine_low_entropy(counts_of(ct, w.k, local_cells=n), w.k, 2.0, 3) for n in (10**6, 0))
+    assert len(a) > w.k and a == pytest.approx(b)
