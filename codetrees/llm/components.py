@@ -23,11 +23,17 @@ def _star(e: DataFrame, large: bool) -> DataFrame:
     return out.where("a <> b").distinct()
 
 
+def _of(table: DataFrame, view: DataFrame) -> DataFrame:
+    """view, which dropped() deletes together with the table it reads."""
+    view._codetrees_path = getattr(table, "_codetrees_path", None)
+    return view
+
+
 def label_components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
     """links: a, b (longs) -> node, label for every node in a link; label is the least node of its component."""
     e = written(links.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "links")
     if e.isEmpty():
-        return e.select(F.col("a").alias("node"), F.col("b").alias("label"))
+        return _of(e, e.select(F.col("a").alias("node"), F.col("b").alias("label")))
     state = None
     for _ in range(most_rounds):
         new = written(_star(_star(e, True), False), "stars")
@@ -41,4 +47,4 @@ def label_components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
         raise RuntimeError("components did not settle")
     # Settled: every node but the least of its component has one edge, to that least node.
     roots = e.select(F.col("b").alias("node"), F.col("b").alias("label")).distinct()
-    return e.select(F.col("a").alias("node"), F.col("b").alias("label")).unionByName(roots)
+    return _of(e, e.select(F.col("a").alias("node"), F.col("b").alias("label")).unionByName(roots))

@@ -3,30 +3,35 @@
 A text's distinct 5-word shingles are hashed to 64 bits, whose top bits deal them into 256 groups; the groups' counts are
 the text's point. For two texts the summed minima of their coordinates bound the overlap from above, and an R-tree node,
 which stores the coordinate maxima and the size range of its points, bounds it for all points below it. Counts are bytes;
-what goes beyond 255 is summed as the point's excess, whose minimum joins the bound. Pairs that the tree lets through are
-bounded once more by points of about as many groups as the texts have shingles.
-
-1. Leaders. In each task, then once more after a shuffle by the text's least shingle, texts are compared with the leaders
-   met so far, best bound first, and verified links are kept. This finds most links of copies without pairing a group's
-   members with each other, and texts with equal shingle sets get one representative per task. It only saves work.
-2. All other links. Any two texts over the threshold share one of their first n - ceil(t n) + 1 shingles in a common
-   order (very frequent shingles last). Shingles met by several representatives become groups; groups inside one component
-   are dropped; the rest are searched by R-tree for pairs of different components whose bound reaches the needed
-   overlap. Groups of any size are searched in blocks. The search
-   has two rounds. In the first every component looks for its best pair, among some members of each component in a
-   group; it only saves work, as most components find each other there. The second takes all members of the groups that
-   hold several components still, and all pairs, which a finer bound then thins out. After each round the pairs are
-   verified on the shingle sets, linked components become one, and groups inside one component are dropped.
-3. Components of all verified links, by large-star and small-star steps on tables.
+what goes beyond 255 is summed as the point's excess, whose minimum joins the bound.
+
+1. Texts with equal sets become one node: each task names one of them (by a 128-bit digest of the set), and one
+   aggregation of these names finds the nodes of all tasks. Copies, however many, go no further.
+2. The tree is spread over tasks by regions. Any two texts over the threshold share one of their first
+   n - ceil(t n) + 1 shingles in a common order (the most frequent ones last), so a node lies in the regions of these
+   shingles, and a pair that may link meets in one of them. Regions with equal members are one; regions of more than
+   `block` nodes are cut by size range and hash into blocks. Each task bulk-loads one R-tree over the blocks it holds,
+   with a root per block, and every pair that is verified comes out of a search of that tree.
+3. The search has three rounds, as pairs are wanted that connect components, not all pairs of a group:
+   "cover": the first node of a block that nothing covers yet asks for its neighbours, which then are covered: at most
+   one pair a node and block. "best": blocks that hold several components still, up to THINNED members of each of them in
+   a region, give the best pair of any two components. "all": what holds several components still gives all pairs of
+   different components, and this round is complete. In the last two, the members of a region's largest component need
+   not ask, and nodes ask in all blocks whose size range they may link with.
+4. After each round pairs are bounded once more by points of about as many groups as the texts have shingles, then
+   verified on the shingle sets; linked components become one, by large-star and small-star steps on tables.
 
 Edge rules: null and empty texts, or texts without words, have no shingles and link with nothing; texts shorter than n
 words are one shingle; repeated rows link with each other; null ids take part and never name a component unless all its
 ids are null; texts of any length are hashed in bounded pieces; an empty table gives an empty result; extra columns are
-ignored. Equality of shingles is equality of 64-bit hashes.
+ignored. Equality of shingles is equality of 64-bit hashes, of sets that of 128-bit digests. The join yields components;
+pairs inside one component are not listed.
 """
 
 from __future__ import annotations
 
+import hashlib
+import math
 import zlib
 from fractions import Fraction
 
@@ -34,19 +39,22 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from codetrees.llm.common import RID, dropped, keyed, mix64, release, small_batches, tidy, written
+from codetrees.llm.common import RID, dropped, keyed, mix64, release, tidy, written
 from codetrees.llm.components import label_components
 from codetrees.llm.textbytes import byte_columns, shingles
 
 GROUPS = 256
-LEADERS, TRIES = 64, 8  # of the first step only, which the second completes
-HELD_SHINGLES = 8_000_000  # of the leaders that a task remembers
 COUNTED = 3_000_000  # shingles counted together in a task
+NAMED = 500_000  # sets that a task remembers to name copies; a forgotten one is named again
 BROADCAST_IDS = 1_000_000  # 8 MB of row numbers
-ROUNDS = ("component", "all")  # which pairs of a group are tried; later rounds see what is still apart
-THINNED = 48  # members of a component that take part in the first round of a group, about
-DIRECT = 1 << 16  # bounds of a group that are computed outright; with more, its R-tree is searched
-FREQUENT = 500  # a shingle in more than one of so many texts comes last in the order
+ROUNDS = ("cover", "best", "all")  # which pairs of a region come out; later rounds see what is still apart
+THINNED = 48  # members of a component that take part in the second round of a region, about
+FREQUENT, LISTED = 500, 100_000  # shingles in more than one of so many texts come last in the order; at most so many of them
+LEAF, FAN = 8, 8  # points of a leaf, children of a node
+BLOCK = 1024  # nodes of a region that are searched together
+LOADED = 20_000  # points in one tree, about
+BOUNDS = 1 << 15  # bounds computed at once
+PAIRS_A_TASK = 1000  # pairs of one text that are verified together
 
 
 def needed_overlap(n, m, t: Fraction):
@@ -92,90 +100,94 @@ def overlap(a: np.ndarray, b: np.ndarray) -> int:
     return int((b[at] == a).sum())
 
 
+def _runs(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Starts and lengths of runs of equal values."""
+    start = np.flatnonzero(np.concatenate([[True], values[1:] != values[:-1]])) if len(values) else np.zeros(0, np.int64)
+    return start, np.diff(np.append(start, len(values)))
+
+
+def _ranges(low: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """All of low[i] .. low[i] + size[i] - 1, one after the other."""
+    return np.repeat(low - (np.cumsum(size) - size), size) + np.arange(int(size.sum()))
+
+
 class CountRTree:
-    """Bulk-loaded R-tree over count vectors: nodes hold coordinate maxima and size range; leaves hold up to `leaf` points."""
-
-    def __init__(self, points: np.ndarray, sizes: np.ndarray, excess: np.ndarray, leaf: int = 16):
-        self.points, self.sizes, self.excess = points, sizes, excess
-        order, spans = np.arange(len(sizes)), [(0, len(sizes))]
-        levels = [spans]
-        while max(b - a for a, b in spans) > leaf:
-            nxt = []
-            for a, b in spans:
-                if b - a <= leaf:
-                    nxt.append((a, b))
-                    continue
-                own = order[a:b]
-                x = points[own]
-                axis = int(np.argmax(x.max(0).astype(np.int64) - x.min(0)))
-                mid = (b - a) // 2
-                order[a:b] = own[np.argpartition(x[:, axis], mid)]
-                nxt += [(a, a + mid), (a + mid, b)]
-            spans = nxt
-            levels.append(spans)
-        self.order = order
-        self.levels = []
-        for spans in levels:
-            low = np.array([a for a, _ in spans])
-            high = np.array([b for _, b in spans])
-            most = np.maximum.reduceat(points[order], low, axis=0)
-            self.levels.append((low, high, most, np.minimum.reduceat(sizes[order], low), np.maximum.reduceat(sizes[order], low), np.maximum.reduceat(excess[order], low)))
+    """Bulk-loaded R-tree over count vectors with one root per block: nodes hold coordinate maxima and size range."""
+
+    def __init__(self, points: np.ndarray, sizes: np.ndarray, excess: np.ndarray, block: np.ndarray | None = None, leaf: int = LEAF, fan: int = FAN):
+        self.points, self.sizes, self.excess = points, sizes.astype(np.int64), excess.astype(np.int64)
+        block = np.zeros(len(sizes), np.int64) if block is None else block
+        # Packing order: by size class, then by the coordinates that spread most, so that near copies share leaves.
+        spread = np.argsort(-points.astype(np.float32).var(0))[:6] if len(points) else []
+        self.order = np.lexsort((*(points[:, c] for c in spread), np.log2(np.maximum(self.sizes, 1)).astype(np.int8), block))
+        of, start, size = block[self.order], *_runs(block[self.order])
+        self.blocks = of[start]
+        x, low, high, more = points[self.order], self.sizes[self.order], self.sizes[self.order], self.excess[self.order]
+        self.first, self.count, self.is_leaf, maxima, lows, highs, mores = [], [], [], [], [], [], []
+        self.root = np.full(len(start), -1)
+        base, width, below = 0, leaf, 0
+        while (self.root < 0).any():
+            pieces = -(-size // width)
+            at = np.repeat(start, pieces) + width * _ranges(np.zeros(len(start), np.int64), pieces)
+            n = np.minimum(width, np.repeat(start + size, pieces) - at)
+            x, low, high, more = (f.reduceat(v, at, axis=0) for f, v in ((np.maximum, x), (np.minimum, low), (np.maximum, high), (np.maximum, more)))
+            self.first.append(at + below)
+            self.count.append(n)
+            self.is_leaf.append(np.full(len(at), base == 0))
+            for kept, v in ((maxima, x), (lows, low), (highs, high), (mores, more)):
+                kept.append(v)
+            start, size, width = np.cumsum(pieces) - pieces, pieces, fan
+            self.root = np.where((self.root < 0) & (pieces == 1), base + start, self.root)
+            below, base = base, base + len(at)
+        if self.first:
+            self.first, self.count, self.is_leaf, self.most, self.least_size, self.most_size, self.most_excess = (np.concatenate(v) for v in (self.first, self.count, self.is_leaf, maxima, lows, highs, mores))
 
     def search(self, point: np.ndarray, size: int, excess: int, t: Fraction) -> np.ndarray:
-        """Indices of points whose size and bound allow Jaccard >= t with the query."""
-        spans = None
-        for low, high, most, least_size, most_size, most_excess in self.levels:
-            at = np.arange(len(low)) if spans is None else np.flatnonzero(self._inside(low, spans))
-            ok = (most_size[at] * t.denominator >= size * t.numerator) & (size * t.denominator >= least_size[at] * t.numerator)
-            at = at[ok]
-            bound = np.minimum(most[at], point).sum(1).astype(np.int64) + np.minimum(most_excess[at], excess)
-            at = at[bound >= needed_overlap(size, np.maximum(least_size[at], -(-size * t.numerator // t.denominator)), t)]
-            spans = (low[at], high[at])
-            if not len(at):
-                return np.zeros(0, np.int64)
-        found = np.concatenate([self.order[a:b] for a, b in zip(*spans, strict=True)])
-        m = self.sizes[found]
-        ok = (m * t.denominator >= size * t.numerator) & (size * t.denominator >= m * t.numerator)
-        found, m = found[ok], m[ok]
-        bound = np.minimum(self.points[found], point).sum(1).astype(np.int64) + np.minimum(self.excess[found], excess)
-        return found[bound >= needed_overlap(size, m, t)]
-
-    @staticmethod
-    def _inside(low: np.ndarray, spans) -> np.ndarray:
-        """Which nodes begin inside one of the sorted parent spans."""
-        i = np.searchsorted(spans[0], low, "right") - 1
-        return (i >= 0) & (low < spans[1][np.maximum(i, 0)])
-
-
-class Leaders:
-    """Leaders by least shingle; attach() links a text to one of them or makes it one."""
-
-    def __init__(self, t: Fraction):
-        self.t, self.table, self.held = t, {}, 0
-
-    def attach(self, rid: int, s: np.ndarray) -> tuple[int, bool]:
-        """(leader's rid, whether the sets are equal)."""
-        if self.held > HELD_SHINGLES:
-            self.table, self.held = {}, 0
-        own = self.table.setdefault(int(s[0]), [])
-        if own:
-            n = len(s)
-            for other, kept, _ in own:
-                if len(kept) == n and np.array_equal(kept, s):
-                    return other, True
-            v, excess = count_vector(s)
-            sizes = np.array([len(o[1]) for o in own])
-            bound = np.minimum(np.stack([o[2][0] for o in own]), v).sum(1).astype(np.int64) + np.minimum([o[2][1] for o in own], excess)
-            spare = bound - needed_overlap(n, sizes, self.t)
-            for k in np.argsort(-spare)[:TRIES]:
-                if spare[k] < 0:
-                    break
-                if overlap(s, own[k][1]) >= needed_overlap(n, len(own[k][1]), self.t):
-                    return own[k][0], False
-        if len(own) < LEADERS:
-            own.append((rid, s, count_vector(s)))
-            self.held += len(s)
-        return rid, False
+        """Indices of points of the first block whose size and bound allow Jaccard >= t with the query."""
+        return self.search_all(point[None], np.array([size]), np.array([excess]), self.blocks[:1], t)[1]
+
+    def search_all(self, point: np.ndarray, size: np.ndarray, excess: np.ndarray, block: np.ndarray, t: Fraction) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Queries (row by row) against their blocks: (query, index of a point, surplus of its bound) of all points whose
+        size and bound allow Jaccard >= t."""
+        out = [np.zeros((3, 0), np.int64)]
+        root = np.searchsorted(self.blocks, block) if len(self.sizes) else np.zeros(0, np.int64)
+        query = np.flatnonzero(np.append(self.blocks, -1)[root] == block) if len(self.sizes) else np.zeros(0, np.int64)
+        todo = [(query, self.root[root[query]])] if len(query) else []
+        size, excess = size.astype(np.int64), excess.astype(np.int64)
+
+        def reach(q, least, most):
+            return (most * t.denominator >= size[q] * t.numerator) & (size[q] * t.denominator >= least * t.numerator)
+
+        while todo:
+            q, node = todo.pop()
+            if len(q) > BOUNDS:
+                todo += [(q[BOUNDS:], node[BOUNDS:])]
+                q, node = q[:BOUNDS], node[:BOUNDS]
+            ok = reach(q, self.least_size[node], self.most_size[node])
+            q, node = q[ok], node[ok]
+            bound = np.minimum(self.most[node], point[q]).sum(1, dtype=np.uint16) + np.minimum(self.most_excess[node], excess[q])
+            ok = bound >= needed_overlap(size[q], np.maximum(self.least_size[node], -(-size[q] * t.numerator // t.denominator)), t)
+            q, node = q[ok], node[ok]
+            if not len(q):
+                continue
+            leaf = self.is_leaf[node]
+            for part in (~leaf, leaf):
+                if not part.any():
+                    continue
+                n = self.count[node[part]]
+                q2, child = np.repeat(q[part], n), _ranges(self.first[node[part]], n)
+                if part is not leaf:
+                    todo.append((q2, child))
+                    continue
+                child = self.order[child]
+                ok = reach(q2, self.sizes[child], self.sizes[child])
+                q2, child = q2[ok], child[ok]
+                for a in range(0, len(q2), BOUNDS):
+                    i, j = q2[a : a + BOUNDS], child[a : a + BOUNDS]
+                    spare = np.minimum(self.points[j], point[i]).sum(1, dtype=np.uint16) + np.minimum(self.excess[j], excess[i]) - needed_overlap(size[i], self.sizes[j], t)
+                    ok = spare >= 0
+                    out.append(np.stack([i[ok], j[ok], spare[ok]]))
+        return tuple(np.concatenate(out, 1))
 
 
 def _sets(batch, column: str, k: int):
@@ -195,82 +207,54 @@ def _parts(batches, most_bytes: int = 8 << 20, column: str = "text"):
             at += size
 
 
-def _local_leaders(t: Fraction, k: int):
-    """Pass 1: leaders of the task go on with their text; frequent shingles with their counts."""
+def _frequent(k: int):
+    """Pass 1: shingles that are frequent among some texts, with their counts; copies count once."""
 
     def run(batches):
         import pyarrow as pa
 
-        leaders, held, kind = Leaders(t), [], None
+        held: dict[bytes, np.ndarray] = {}
 
         def frequent():
-            u, c = np.unique(np.concatenate(held), return_counts=True)
+            u, c = np.unique(np.concatenate(list(held.values())), return_counts=True)
             many = c >= max(3, len(held) // FREQUENT)
-            return pa.RecordBatch.from_arrays([pa.array(u[many].view(np.int64)), pa.array(c[many].astype(np.int64)), pa.nulls(int(many.sum()), kind)], names=["key", "n", "text"])
+            return pa.RecordBatch.from_arrays([pa.array(u[many].view(np.int64)), pa.array(c[many].astype(np.int64))], names=["key", "n"])
 
+        size = 0
         for b in _parts(batches):
-            rids, keep, keys, kind = b.column(RID).to_pylist(), [], [], b.schema.field("text").type
-            for i, s in enumerate(_sets(b, "text", k)):
-                held.append(s)
-                if len(s) and leaders.attach(rids[i], s)[0] == rids[i]:
-                    keep.append(i)
-                    keys.append(int(s[0]))
-            if keep:
-                out = b.take(pa.array(keep))
-                yield pa.RecordBatch.from_arrays([pa.array(np.array(keys, np.uint64).view(np.int64)), out.column(RID), out.column("text")], names=["key", "n", "text"])
-            if sum(map(len, held)) > COUNTED:
+            for s in _sets(b, "text", k):
+                name = hashlib.blake2b(s, digest_size=16).digest()
+                if len(s) and name not in held:
+                    held[name] = s
+                    size += len(s)
+            if size > COUNTED:
                 yield frequent()
-                held = []
+                held, size = {}, 0
         if held:
             yield frequent()
 
     return run
 
 
-def _shared_leaders(t: Fraction, k: int, floor: int):
-    """After the shuffle, sorted by key: links between leaders (kind 0) and summed counts of frequent shingles (kind 1)."""
-
-    def run(batches):
-        import pyarrow as pa
-
-        leaders, last, count = Leaders(t), None, 0
-        for b in _parts(batches):
-            links, heavy = [], []
-            keys, ns, known = b.column("key").to_pylist(), b.column("n").to_pylist(), b.column("text").is_valid().to_pylist()
-            for i, s in enumerate(_sets(b, "text", k)):
-                if keys[i] != last:
-                    if count >= floor:
-                        heavy.append((last, count))
-                    leaders, last, count = Leaders(t), keys[i], 0
-                if not known[i]:
-                    count += ns[i]
-                elif len(s):
-                    to, _ = leaders.attach(ns[i], s)
-                    if to != ns[i]:
-                        links.append((ns[i], to))
-            rows = [(0, *x) for x in links] + [(1, *x) for x in heavy]
-            if rows:
-                yield pa.RecordBatch.from_arrays([pa.array([r[c] for r in rows], pa.int64()) for c in range(3)], names=["kind", "a", "b"])
-        if count >= floor:
-            yield pa.RecordBatch.from_arrays([pa.array([1]), pa.array([last], pa.int64()), pa.array([count], pa.int64())], names=["kind", "a", "b"])
-
-    return run
-
-
 def _describe(t: Fraction, k: int, frequent: np.ndarray, rank: np.ndarray):
-    """Pass 2: every text with its size and local leader; representatives also with their point and prefix."""
+    """Pass 2: every text with its size and the first text of the task with the same set; these texts also with the
+    digest of their set, their points, and their prefix: shingles that are not frequent, and frequent ones."""
 
     def run(batches):
         import pyarrow as pa
 
-        leaders = Leaders(t)
+        named: dict[bytes, int] = {}
+        kinds = [pa.int64(), pa.int64(), pa.binary(), pa.binary(), pa.binary(), pa.binary(), pa.int64(), pa.binary()]
         for b in _parts(batches):
             rids, rows = b.column(RID).to_pylist(), []
+            if len(named) > NAMED:
+                named = {}
             for rid, s in zip(rids, _sets(b, "text", k), strict=True):
                 n = len(s)
-                to, same = leaders.attach(rid, s) if n else (rid, False)
-                if not n or same:
-                    rows.append((n, to, None, None, None, None))
+                digest = hashlib.blake2b(s, digest_size=16).digest()
+                to = named.setdefault(digest, rid) if n else rid
+                if not n or to != rid:
+                    rows.append((n, to, *[None] * 6))
                     continue
                 p = prefix_length(n, t)
                 at = np.searchsorted(frequent, s)
@@ -278,19 +262,19 @@ def _describe(t: Fraction, k: int, frequent: np.ndarray, rank: np.ndarray):
                 if len(frequent):
                     at[at == len(frequent)] = 0
                     common = frequent[at] == s
-                rare = s[~common][:p]
+                rare, late = s[~common][:p], s[:0]
                 if len(rare) < p:
-                    last = s[common]
-                    rare = np.concatenate([rare, last[np.argsort(rank[at[common]], kind="stable")][: p - len(rare)]])
+                    late = s[common]
+                    late = late[np.argsort(rank[at[common]], kind="stable")][: p - len(rare)]
                 point, excess = count_vector(s)
-                rows.append((n, to, rare.tobytes(), zlib.compress(point.tobytes(), 1), excess, zlib.compress(fine_vector(s), 1)))
-            yield pa.RecordBatch.from_arrays([b.column(RID), pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.int64()), pa.array([r[2] for r in rows], pa.binary()), pa.array([r[3] for r in rows], pa.binary()), pa.array([r[4] for r in rows], pa.int64()), pa.array([r[5] for r in rows], pa.binary())], names=[RID, "n", "leader", "prefix", "point", "excess", "fine"])
+                rows.append((n, to, digest, rare.tobytes(), late.tobytes(), zlib.compress(point.tobytes(), 1), excess, zlib.compress(fine_vector(s), 1)))
+            yield pa.RecordBatch.from_arrays([b.column(RID), *(pa.array([r[c] for r in rows], kind) for c, kind in enumerate(kinds))], names=[RID, "n", "first", "digest", "rare", "late", "point", "excess", "fine"])
 
     return run
 
 
 def _deal_keys(buckets: int):
-    """Prefix shingles dealt to buckets, as blobs of (32-bit key, rid)."""
+    """Prefix shingles that are not frequent, dealt to buckets as blobs of (32-bit key, rid)."""
 
     def run(batches):
         import pyarrow as pa
@@ -298,22 +282,22 @@ def _deal_keys(buckets: int):
         for b in batches:
             for lo in range(0, b.num_rows, 4000):
                 part = b.slice(lo, 4000)
-                data, off = byte_columns(part.column("prefix"))
+                data, off = byte_columns(part.column("rare"))
                 keys = mix64(np.frombuffer(data[off[0] : off[-1]].tobytes(), np.uint64))
                 rids = np.repeat(part.column(RID).to_numpy(), np.diff(off) // 8)
                 bucket = ((keys >> np.uint64(32)) % np.uint64(buckets)).astype(np.int64)
                 order = np.argsort(bucket, kind="stable")
                 bucket, small, rids = bucket[order], keys[order].astype(np.uint32), rids[order]
-                cut = np.concatenate([[0], np.flatnonzero(np.diff(bucket)) + 1, [len(bucket)]]) if len(bucket) else [0]
-                spans = list(zip(cut[:-1], cut[1:], strict=True))
+                start, size = _runs(bucket)
+                spans = list(zip(start, start + size, strict=True))
                 yield pa.RecordBatch.from_arrays([pa.array([int(bucket[a]) for a, _ in spans], pa.int32()), pa.array([small[a:z].tobytes() for a, z in spans], pa.binary()), pa.array([rids[a:z].astype(np.int64).tobytes() for a, z in spans], pa.binary())], names=["bucket", "keys", "rids"])
 
     return run
 
 
-def _groups(batches):
-    """Per bucket: texts that share a key, as (group, rid); a group is named by the hash of its members, so that equal
-    groups of many keys are one."""
+def _regions(batches):
+    """Per bucket: nodes that share a key, as (g, rid); a region is named by the hash of its members, so that equal
+    regions of many keys are one."""
     import pyarrow as pa
 
     held: dict[int, list] = {}
@@ -330,108 +314,107 @@ def _groups(batches):
         keep = np.ones(len(key), bool)
         keep[1:] = (key[1:] != key[:-1]) | (rid[1:] != rid[:-1])
         key, rid = key[keep], rid[keep]
-        start = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])) if len(key) else np.zeros(0, np.int64)
-        size = np.diff(np.append(start, len(key)))
+        start, size = _runs(key)
         name = np.add.reduceat(mix64(rid.view(np.uint64) + np.uint64(0x9E3779B97F4A7C15)), start) if len(start) else np.zeros(0, np.uint64)
         many = size > 1
         start, size, name = start[many], size[many], name[many]
-        _, first = np.unique(name, return_index=True)
-        start, size, name = start[first], size[first], name[first]
+        _, one = np.unique(name, return_index=True)
+        start, size, name = start[one], size[one], name[one]
         for lo in range(0, len(start), 20_000):
             a, z, g = start[lo : lo + 20_000], size[lo : lo + 20_000], name[lo : lo + 20_000]
-            at = np.repeat(a - (np.cumsum(z) - z), z) + np.arange(int(z.sum()))
-            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(g, z).view(np.int64)), pa.array(rid[at])], names=["g", RID])
+            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(g, z).view(np.int64)), pa.array(rid[_ranges(a, z)])], names=["g", RID])
+
+
+def _late_regions(batches):
+    """Frequent prefix shingles: (g, rid) row by row, as their regions may be of any size."""
+    import pyarrow as pa
+
+    for b in batches:
+        data, off = byte_columns(b.column("late"))
+        keys = mix64(np.frombuffer(data[off[0] : off[-1]].tobytes(), np.uint64))
+        if len(keys):
+            yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)), pa.array(np.repeat(b.column(RID).to_numpy(), np.diff(off) // 8))], names=["g", RID])
+
+
+class Blocks:
+    """Rows of some whole blocks: rid, comp, n, point, excess, ask, asked, top as columns, and the number of the block.
+    The rows that are asked make the tree."""
+
+    def __init__(self, cols: list[np.ndarray], block: np.ndarray, t: Fraction):
+        self.rid, self.comp, self.n, self.point, self.excess, self.ask, asked, self.top = cols
+        self.block, self.t = block, t
+        self.at = np.flatnonzero(asked)
+        self.tree = CountRTree(self.point[self.at], self.n[self.at], self.excess[self.at], block[self.at])
+
+    def _search(self, some: np.ndarray) -> np.ndarray:
+        q, j, spare = self.tree.search_all(self.point[some], self.n[some], self.excess[some], self.block[some], self.t)
+        return np.stack([some[q], self.at[j], spare])
+
+    def covers(self) -> np.ndarray:
+        """In waves, the first uncovered row of every block covers its uncovered neighbours: pairs (row, row, surplus)."""
+        order = np.lexsort((self.rid, self.block))
+        covered, out = np.zeros(len(order), bool), []
+        while len(order):
+            start, size = _runs(self.block[order])
+            pivots = order[start[size > 1]]
+            covered[order[start]] = True
+            i, j, spare = self._search(pivots) if len(pivots) else np.zeros((3, 0), np.int64)
+            fresh = ~covered[j]
+            out.append(np.stack([i, j, spare])[:, fresh])
+            covered[j] = True
+            order = order[~covered[order]]
+        return np.concatenate(out, 1) if out else np.zeros((3, 0), np.int64)
+
+    def crossing(self, best: bool) -> np.ndarray:
+        """Pairs of different components; with best, the best one of any two components."""
+        out, asking = [np.zeros((3, 0), np.int64)], np.flatnonzero(self.ask)
+        for a in range(0, len(asking), 2048):
+            p = self._search(asking[a : a + 2048])
+            i, j = p[:2]
+            p = p[:, (self.comp[i] != self.comp[j]) & (self.top[j] | (self.rid[i] < self.rid[j]))]
+            out.append(self._best(p) if best else p)
+        p = np.concatenate(out, 1)
+        return self._best(p) if best else p
+
+    def _best(self, p: np.ndarray) -> np.ndarray:
+        x, y = self.comp[p[0]], self.comp[p[1]]
+        low, high = np.minimum(x, y), np.maximum(x, y)
+        order = np.lexsort((self.rid[p[1]], self.rid[p[0]], -p[2], high, low))
+        low, high = low[order], high[order]
+        return p[:, order[np.concatenate([[True], (low[1:] != low[:-1]) | (high[1:] != high[:-1])])]] if len(low) else p
 
 
 def _pairs(t: Fraction, mode: str):
-    """Sorted by group block: pairs of different components whose bound reaches the needed overlap. mode "component" gives
-    each component's best pair in the group; "all" gives all pairs."""
-
-    def candidates(rows, asking: np.ndarray, cross: bool):
-        """(asking member, members of other components that it may link with, surplus of their bounds), one by one."""
-        rid, comp, n, point, excess, side = rows
-        tree = CountRTree(point, n, excess) if len(asking) * len(rid) > DIRECT else None
-        step = max(1, DIRECT // 8 // len(rid))
-        for at in range(0, len(asking), step):
-            some = asking[at : at + step]
-            if tree is None:
-                bounds = np.minimum(point[some][:, None], point[None]).sum(2).astype(np.int64) + np.minimum(excess[some][:, None], excess[None])
-                spares = bounds - needed_overlap(n[some][:, None], n[None], t)
-                allowed = (spares >= 0) & (comp[some][:, None] != comp[None])
-            for k, i in enumerate(some):
-                if tree is None:
-                    j = np.flatnonzero(allowed[k])
-                    spare = spares[k, j]
-                else:
-                    j = tree.search(point[i], int(n[i]), int(excess[i]), t)
-                    j = j[comp[j] != comp[i]]
-                    spare = np.minimum(point[j], point[i]).sum(1).astype(np.int64) + np.minimum(excess[j], excess[i]) - needed_overlap(n[j], n[i], t)
-                if cross:
-                    other = side[j] != side[i]
-                    j, spare = j[other], spare[other]
-                if len(j):
-                    yield int(i), j, spare
-
-    def search(rows) -> list[tuple[int, int, int, int, int]]:
-        rid, comp, n, point, excess, side = rows
-        if len(rid) == 2:
-            if comp[0] == comp[1] or side.any() and side[0] == side[1]:
-                return []
-            spare = int(np.minimum(point[0], point[1]).sum()) + min(excess) - needed_overlap(int(n[0]), int(n[1]), t)
-            both = [(rid[0], rid[1], comp[0], comp[1], spare), (rid[1], rid[0], comp[1], comp[0], spare)]
-            return both[: 2 if mode == "component" else 1] if spare >= 0 else []
-        out: list[tuple[int, int, int, int, int]] = []
-        parts, part, sizes = np.unique(comp, return_inverse=True, return_counts=True)
-        if len(parts) < 2:
-            return out
-        # Members of the largest component need not ask: every pair has an end outside it.
-        largest = int(np.argmax(sizes))
-        asking = np.flatnonzero(part != largest)
-        best: dict[int, tuple[int, int, int]] = {}
-        for i, j, spare in candidates(rows, asking, bool(side.any())):
-            if mode == "all":
-                out += [(rid[i], rid[x], comp[i], comp[x], 0) for x in j if x > i or part[x] == largest]
-                continue
-            k = int(np.lexsort((rid[j], -spare))[0])
-            if comp[i] not in best or (spare[k], -rid[i]) > (best[comp[i]][0], -rid[best[comp[i]][1]]):
-                best[comp[i]] = (int(spare[k]), i, int(j[k]))
-        return out + [(rid[i], rid[x], comp[i], comp[x], y) for y, i, x in best.values()]
+    """Sorted by block: pairs out of R-trees over some blocks at a time."""
 
     def run(batches):
         import pyarrow as pa
 
-        held, name = [], None
+        held, rows = [], 0
 
-        def made(found):
-            return pa.RecordBatch.from_arrays([pa.array([int(f[c]) for f in found], pa.int64()) for c in range(5)], names=["a", "b", "ca", "cb", "spare"])
+        def found(cols, names):
+            change = np.concatenate([[False], (np.diff(names, axis=0) != 0).any(1)])
+            b = Blocks(cols, np.cumsum(change), t)
+            i, j, spare = b.covers() if mode == "cover" else b.crossing(mode == "best")
+            return pa.RecordBatch.from_arrays([pa.array(x) for x in (b.rid[i], b.rid[j], b.comp[i], b.comp[j], spare)], names=["a", "b", "ca", "cb", "spare"])
 
         for b in batches:
             if not b.num_rows:
                 continue
-            g, p = b.column("g").to_numpy(), b.column("part").to_numpy()
-            cut = np.concatenate([[0], np.flatnonzero((np.diff(g) != 0) | (np.diff(p) != 0)) + 1, [len(g)]]).tolist()
             point = np.frombuffer(b"".join(map(zlib.decompress, b.column("point").to_pylist())), np.uint8).reshape(-1, GROUPS)
-            cols = (b.column(RID).to_numpy(), b.column("comp").to_numpy(), b.column("n").to_numpy(), point, b.column("excess").to_numpy(), b.column("side").to_numpy(zero_copy_only=False))
-            found = []
-            for a, z in zip(cut[:-1], cut[1:], strict=True):
-                rows = [c[a:z] for c in cols]
-                if held and (g[a], p[a]) == name:  # goes on from the batch before
-                    held.append(rows)
-                    if z < len(g):
-                        found += search([np.concatenate(x) for x in zip(*held, strict=True)])
-                        held = []
-                    continue
-                if held:
-                    found += search([np.concatenate(x) for x in zip(*held, strict=True)])
-                    held = []
-                if z == len(g):
-                    held, name = [rows], (g[a], p[a])
-                else:
-                    found += search(rows)
-            if found:
-                yield made(found)
-        if held and (found := search([np.concatenate(x) for x in zip(*held, strict=True)])):
-            yield made(found)
+            cols = [*(b.column(c).to_numpy() for c in (RID, "comp", "n")), point, b.column("excess").to_numpy(), *(b.column(c).to_numpy(zero_copy_only=False) for c in ("ask", "asked", "top"))]
+            held.append((cols, np.stack([b.column(c).to_numpy() for c in ("g", "band", "sub", "chunk")], 1)))
+            rows += b.num_rows
+            if rows < LOADED:
+                continue
+            cols, names = [np.concatenate(x) for x in zip(*(h[0] for h in held), strict=True)], np.concatenate([h[1] for h in held])
+            whole = np.flatnonzero((names != names[-1]).any(1))  # the last block may go on
+            cut = int(whole[-1]) + 1 if len(whole) else 0
+            if cut:
+                yield found([c[:cut] for c in cols], names[:cut])
+            held, rows = [([c[cut:] for c in cols], names[cut:])], 0
+        if held:
+            yield found([np.concatenate(x) for x in zip(*(h[0] for h in held), strict=True)], np.concatenate([h[1] for h in held]))
 
     return run
 
@@ -463,23 +446,13 @@ def _make_sets(k: int):
         import pyarrow as pa
 
         for b in _parts(batches):
-            sets = list(_sets(b, "text", k))
-            short = [(s >> np.uint64(32)).astype(np.uint32).tobytes() for s in sets]
-            yield pa.RecordBatch.from_arrays([b.column(RID), pa.array([s.tobytes() for s in sets], pa.binary()), pa.array(short, pa.binary())], names=[RID, "s", "short"])
+            yield pa.RecordBatch.from_arrays([b.column(RID), pa.array([s.tobytes() for s in _sets(b, "text", k)], pa.binary())], names=[RID, "s"])
 
     return run
 
 
-def short_overlap(a: np.ndarray, b: np.ndarray) -> int:
-    """Upper bound of an overlap from the sorted 32-bit heads of both sets, repeated heads counted as often as they occur."""
-    x, m = np.unique(a, return_counts=True)
-    y, n = np.unique(b, return_counts=True)
-    _, i, j = np.intersect1d(x, y, assume_unique=True, return_indices=True)
-    return int(np.minimum(m[i], n[j]).sum())
-
-
-def _compared(t: Fraction, short: bool):
-    """Sorted by a and kind: the set of a (kind 0), then its pairs with the sets of their b (kind 1)."""
+def _compared(t: Fraction):
+    """Sorted by a, turn and kind: the set of a (kind 0), then its pairs with the sets of their b (kind 1)."""
 
     def run(batches):
         import pyarrow as pa
@@ -488,10 +461,10 @@ def _compared(t: Fraction, short: bool):
         for b in batches:
             keep = []
             for a, kind, s in zip(b.column("a").to_pylist(), b.column("kind").to_pylist(), b.column("s"), strict=True):
-                x = np.frombuffer(s.as_buffer(), np.uint32 if short else np.uint64)
+                x = np.frombuffer(s.as_buffer(), np.uint64)
                 if kind == 0:
                     own, of = x.copy(), a
-                keep.append(kind == 1 and of == a and (short_overlap if short else overlap)(own, x) >= needed_overlap(len(own), len(x), t))
+                keep.append(kind == 1 and of == a and overlap(own, x) >= needed_overlap(len(own), len(x), t))
             keep = pa.array(keep, pa.bool_())
             yield pa.RecordBatch.from_arrays([b.column(c).filter(keep) for c in ("a", "b", "ca", "cb")], names=["a", "b", "ca", "cb"])
 
@@ -499,100 +472,125 @@ def _compared(t: Fraction, short: bool):
 
 
 def _verify(pairs: DataFrame, docs: DataFrame, t: Fraction, k: int) -> DataFrame:
-    """Pairs whose shingle sets reach the threshold: by the heads of their shingles first, then, for the few pairs left, by
-    the whole. A set travels once to all pairs in which its text comes first, and once to each in which it comes second."""
+    """Pairs whose shingle sets reach the threshold. A set travels once to every PAIRS_A_TASK of the pairs in which its
+    text comes first, and once to each in which it comes second."""
     need = written(pairs.select(F.col("a").alias(RID)).unionByName(pairs.select(F.col("b").alias(RID))).distinct(), "need")
-    if need.count() <= BROADCAST_IDS:  # else the texts are shuffled to their numbers
-        need = F.broadcast(need)
-    sets = written(docs.join(need, RID, "left_semi").mapInArrow(tidy(_make_sets(k)), f"{RID} long, s binary, short binary"), "sets")
+    few = need.count() <= BROADCAST_IDS  # else the texts are shuffled to their numbers
+    sets = written(docs.join(F.broadcast(need) if few else need, RID, "left_semi").mapInArrow(tidy(_make_sets(k)), f"{RID} long, s binary"), "sets")
+    turns = pairs.groupBy("a").agg(F.ceil(F.count("*") / PAIRS_A_TASK).cast("int").alias("turns"))
+    dealt = pairs.join(turns, "a").withColumn("turn", F.pmod(F.xxhash64("b"), F.col("turns")).cast("int"))
+    second = dealt.join(sets.withColumnRenamed(RID, "b"), "b").select("a", "turn", F.lit(1).alias("kind"), "b", "ca", "cb", "s")
     none = F.lit(None).cast("long")
-    for column in ("short", "s"):
-        own = sets.select(RID, F.col(column).alias("s"))
-        second = pairs.join(own.withColumnRenamed(RID, "b"), "b").select("a", F.lit(1).alias("kind"), "b", "ca", "cb", "s")
-        first = own.join(pairs.select(F.col("a").alias(RID)).distinct(), RID, "left_semi").select(F.col(RID).alias("a"), F.lit(0).alias("kind"), none.alias("b"), none.alias("ca"), none.alias("cb"), "s")
-        both = second.unionByName(first).repartition("a").sortWithinPartitions("a", "kind")
-        pairs = written(both.mapInArrow(tidy(_compared(t, column == "short")), "a long, b long, ca long, cb long"), "verified")
-    dropped(sets)
-    return pairs
+    first = sets.withColumnRenamed(RID, "a").join(turns, "a").select("a", F.explode(F.sequence(F.lit(0), F.col("turns") - 1)).alias("turn"), F.lit(0).alias("kind"), none.alias("b"), none.alias("ca"), none.alias("cb"), "s")
+    both = second.unionByName(first).repartition("a", "turn").sortWithinPartitions("a", "turn", "kind")
+    out = written(both.mapInArrow(tidy(_compared(t)), "a long, b long, ca long, cb long"), "verified")
+    dropped(sets, need)
+    return out
+
+
+def _placed(regions: DataFrame, nodes: DataFrame, t: Fraction, block: int) -> DataFrame:
+    """Members of regions of two nodes at least: g, rid, own band (of sizes) and sub of a region with more than `block`
+    members, else 0, 0; and the number of subs of the bands beside it. Linked texts are at most one band apart."""
+    width = -math.log(float(t)) * (1 + 1e-9) if t < 1 else 1e-9
+    sized = regions.join(nodes.select(RID, F.floor(F.log("n") / width).cast("int").alias("band")), RID)
+    m = regions.groupBy("g").agg(F.count("*").alias("m")).where("m > 1")
+    sized = sized.join(m, "g").select("g", RID, (F.col("m") > block).alias("big"), F.when(F.col("m") > block, F.col("band")).otherwise(0).alias("band"))
+    subs = sized.where("big").groupBy("g", "band").agg(F.ceil(F.count("*") / block).cast("int").alias("subs"))
+    out = sized.join(subs, ["g", "band"], "left").withColumn("subs", F.coalesce("subs", F.lit(1)))
+    return out.select("g", RID, "big", "band", F.pmod(F.xxhash64(RID), F.col("subs")).cast("int").alias("sub"), "subs")
 
 
 def _mixed(members: DataFrame, labels: DataFrame) -> DataFrame:
-    """Members of group blocks that hold more than one component still, with their components' present labels."""
+    """Members of regions that hold more than one component still, with their components' present labels."""
     now = members.join(labels.select(F.col("node").alias("comp"), "label"), "comp", "left").withColumn("comp", F.coalesce("label", "comp")).drop("label")
-    several = now.groupBy("g", "part").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("g", "part")
-    return written(now.join(several, ["g", "part"], "left_semi"), "members")
+    several = now.groupBy("g").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("g")
+    return written(now.join(several, "g", "left_semi"), "members")
 
 
-def _thinned(members: DataFrame, turn: int) -> DataFrame:
-    """About THINNED members of each component of each group block, others in every turn."""
-    size = members.groupBy("g", "part", "comp").agg(F.count("*").alias("c")).where(F.col("c") > THINNED)
+def _thinned(members: DataFrame) -> DataFrame:
+    """About THINNED members of each component of each region."""
+    size = members.groupBy("g", "comp").agg(F.count("*").alias("c")).where(F.col("c") > THINNED)
     one_in = F.ceil(F.coalesce("c", F.lit(1)) / THINNED).cast("int")
-    return members.join(size, ["g", "part", "comp"], "left").where(F.pmod(F.xxhash64(RID, "g", F.lit(turn)), one_in) == 0).drop("c")
-
-
-def similarity_links(docs: DataFrame, t: Fraction, k: int, block: int = 20_000) -> tuple[DataFrame, DataFrame]:
+    return members.join(size, ["g", "comp"], "left").where(F.pmod(F.xxhash64(RID, "g"), one_in) == 0).drop("c")
+
+
+def _seated(members: DataFrame, cover: bool, block: int) -> DataFrame:
+    """Members in the blocks where they ask or are asked: g, band, sub, chunk, rid, comp, ask, asked, top."""
+    yes, no, zero = F.lit(True), F.lit(False), F.lit(0)
+    if cover:
+        return members.select("g", "band", "sub", zero.alias("chunk"), RID, "comp", yes.alias("ask"), yes.alias("asked"), no.alias("top"))
+    largest = members.groupBy("g", "comp").agg(F.count("*").alias("c")).groupBy("g").agg(F.max_by("comp", F.struct("c", "comp")).alias("largest"), F.greatest(F.lit(1), F.ceil((F.sum("c") - F.max("c")) / (8 * block)).cast("int")).alias("chunks"))
+    known = members.join(largest, "g").withColumn("top", F.col("comp") == F.col("largest"))
+    small = known.where("not big").select("g", "band", "sub", zero.alias("chunk"), RID, "comp", (~F.col("top")).alias("ask"), yes.alias("asked"), "top")
+    big = known.where("big")
+    asked = big.select("g", "band", "sub", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("chunk"), RID, "comp", no.alias("ask"), yes.alias("asked"), "top")
+    subs = big.groupBy("g", "band").agg(F.max("subs").alias("subs"))
+    askers = big.where("not top").withColumn("chunk", F.pmod(F.xxhash64(RID, F.lit(7)), F.col("chunks")).cast("int")).drop("subs")
+    askers = askers.withColumn("band", F.explode(F.array(F.col("band") - 1, F.col("band"), F.col("band") + 1))).join(subs, ["g", "band"])
+    askers = askers.select("g", "band", F.explode(F.sequence(F.lit(0), F.col("subs") - 1)).alias("sub"), "chunk", RID, "comp", yes.alias("ask"), no.alias("asked"), "top")
+    return small.unionByName(asked).unionByName(askers)
+
+
+def similarity_links(docs: DataFrame, t: Fraction, k: int, block: int = BLOCK) -> tuple[DataFrame, DataFrame]:
     """docs: RID, text -> (one row per text: RID, n, comp), (label of comps: node, label). Texts are connected by links
     of Jaccard >= t exactly when the labels of their comps are equal (a comp without a row is its own label)."""
     spark = docs.sparkSession
     parts = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    first = docs.mapInArrow(tidy(_local_leaders(t, k)), f"key long, n long, text {docs.schema['text'].dataType.simpleString()}")
+    often = docs.mapInArrow(tidy(_frequent(k)), "key long, n long").groupBy("key").agg(F.sum("n").alias("n"))
     floor = max(20, docs.count() // FREQUENT)
-    first = first.repartition("key").sortWithinPartitions("key").mapInArrow(tidy(_shared_leaders(t, k, floor)), "kind long, a long, b long")
-    first = written(first, "leaders")
-    release(spark)
-    heavy = first.where("kind = 1").orderBy(F.desc("b"), "a").limit(100_000).select("a", "b").collect()  # order only
-    frequent = np.array([r["a"] for r in heavy], np.int64).view(np.uint64)
-    counts = np.array([r["b"] for r in heavy], np.int64)
+    heavy = often.where(F.col("n") >= floor).orderBy(F.desc("n"), "key").limit(LISTED).collect()  # order only
+    frequent = np.array([r["key"] for r in heavy], np.int64).view(np.uint64)
+    counts = np.array([r["n"] for r in heavy], np.int64)
     order = np.argsort(frequent)
     frequent, counts = frequent[order], counts[order]
 
-    texts = written(docs.mapInArrow(tidy(_describe(t, k, frequent, counts)), f"{RID} long, n long, leader long, prefix binary, point binary, excess long, fine binary"), "texts")
-    alias = first.where("kind = 0").select(F.col("a").alias("leader"), F.col("b").alias("further"))
-    comps = written(texts.select(RID, "n", "leader").join(alias, "leader", "left").select(RID, "n", F.coalesce("further", "leader").alias("comp")), "comps")
+    texts = written(docs.mapInArrow(tidy(_describe(t, k, frequent, counts)), f"{RID} long, n long, first long, digest binary, rare binary, late binary, point binary, excess long, fine binary"), "texts")
+    named = texts.where("digest is not null").select(RID, "n", "digest")
+    equal = named.groupBy("n", "digest").agg(F.min(RID).alias("comp"))  # a row per task and set at most goes in
+    equal = written(named.join(equal, ["n", "digest"]).select(RID, "comp"), "equal")
+    comps = written(texts.select(RID, "n", "first").join(equal.withColumnRenamed(RID, "first"), "first", "left").select(RID, "n", F.coalesce("comp", "first").alias("comp")), "comps")
+    points = texts.where("digest is not null").select(RID, "n", "point", "excess", "fine")
+    nodes = texts.where("digest is not null").join(equal.where(F.col(RID) == F.col("comp")).select(RID), RID, "left_semi")
 
-    prefixes = texts.where("prefix is not null").select(RID, "prefix")
-    total = texts.agg(F.sum(F.octet_length("prefix"))).first()[0] or 0
+    total = texts.agg(F.sum(F.octet_length("rare"))).first()[0] or 0
     buckets = max(parts, -(-total // 8 // 4_000_000))
-    dealt = prefixes.mapInArrow(tidy(_deal_keys(buckets)), "bucket int, keys binary, rids binary").repartition(buckets, "bucket")
-    groups = written(dealt.mapInArrow(tidy(_groups), f"g long, {RID} long").distinct(), "groups")
-    member = groups.join(comps.select(RID, "comp"), RID)
-    mixed = member.groupBy("g").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("m")).where("lo <> hi").select("g", "m")
-    member = member.join(mixed, "g").withColumn("nb", F.ceil(F.col("m") / block).cast("int"))
-    # A group of more than `block` members is searched block against block: a member goes to every pair of its block.
-    own = F.pmod(F.xxhash64(RID), F.col("nb")).cast("int")
-    member = member.withColumn("own", own).withColumn("o", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)))
-    lo, hi = F.least("own", "o"), F.greatest("own", "o")
-    member = member.select("g", (lo * F.col("nb") + hi).alias("part"), ((F.col("own") == hi) & (lo != hi)).alias("side"), RID, "comp")
-    members = written(member, "members")
-    del member, mixed, dealt, prefixes
+    dealt = nodes.select(RID, "rare").mapInArrow(tidy(_deal_keys(buckets)), "bucket int, keys binary, rids binary").repartition(buckets, "bucket")
+    regions = dealt.mapInArrow(tidy(_regions), f"g long, {RID} long").distinct().unionByName(nodes.where("octet_length(late) > 0").select(RID, "late").mapInArrow(tidy(_late_regions), f"g long, {RID} long"))
+    regions = written(regions, "regions")
+    members = written(_placed(regions, points, t, block).withColumn("comp", F.col(RID)), "members")
+    dropped(regions)
+    del dealt, nodes
     release(spark)
-    # Should a further leader have met another local leader in pass 2 than in pass 1, its own comp is a link too.
-    moved = alias.select(F.col("further").alias(RID)).distinct().join(comps.select(RID, "comp"), RID).where(F.col(RID) != F.col("comp")).select(F.col(RID).alias("a"), F.col("comp").alias("b"))
-    known, labels = moved, label_components(moved)
-    points = texts.where("point is not null").select(RID, "n", "point", "excess", "fine")
-    for turn, mode in enumerate(ROUNDS):
-        left = _mixed(members, labels)
-        dropped(members)
-        members = left
-        some = members if mode == "all" else _thinned(members, turn)
-        full = some.join(points.drop("fine"), RID).repartition("g", "part").sortWithinPartitions("g", "part")
+    tried, known, labels, done = None, None, None, []
+    for mode in ROUNDS:
+        if labels is not None:
+            left = _mixed(members, labels)
+            dropped(members, labels)
+            members = left
+        seats = _seated(_thinned(members) if mode == "best" else members, mode == "cover", block)
+        full = seats.join(points.drop("fine"), RID).repartition("g", "band", "sub", "chunk").sortWithinPartitions("g", "band", "sub", "chunk")
         pairs = full.mapInArrow(tidy(_pairs(t, mode)), "a long, b long, ca long, cb long, spare long")
-        if mode == "component":  # over all groups, one pair of each component
-            pairs = pairs.groupBy("ca").agg(F.max_by(F.struct("a", "b", "cb"), F.struct("spare", "a", "b")).alias("p")).select("p.a", "p.b", "ca", "p.cb")
+        if mode == "best":
+            low, high = F.least("ca", "cb"), F.greatest("ca", "cb")
+            pairs = pairs.groupBy(low.alias("lo"), high.alias("hi")).agg(F.max_by(F.struct("a", "b", "ca", "cb"), F.struct("spare", "a", "b")).alias("p")).select("p.*")
         low, high = F.struct(F.col("a").alias("r"), F.col("ca").alias("c")), F.struct(F.col("b").alias("r"), F.col("cb").alias("c"))
         pairs = pairs.select(F.least(low, high).alias("x"), F.greatest(low, high).alias("y")).select(F.col("x.r").alias("a"), F.col("y.r").alias("b"), F.col("x.c").alias("ca"), F.col("y.c").alias("cb")).distinct()
+        if tried is not None:
+            pairs = pairs.join(tried, ["a", "b"], "left_anti")
         pairs = written(pairs, "pairs")
-        del full, some
-        release(spark)
-        if mode == "all":
-            pairs = _closer(pairs, points, t)
-        if not pairs.isEmpty():
-            found = _verify(pairs, docs, t, k)
-            known = known.unionByName(found.select(F.col("ca").alias("a"), F.col("cb").alias("b")))
-            labels = label_components(known)
-        dropped(pairs)
+        done.append(pairs)
+        tried = pairs.select("a", "b") if tried is None else tried.unionByName(pairs.select("a", "b"))
+        close = _closer(pairs, points, t)
+        found = _verify(close, docs, t, k) if not close.isEmpty() else close
+        done.append(found)
+        links = found.select(F.col("ca").alias("a"), F.col("cb").alias("b"))
+        known = links if known is None else known.unionByName(links)
+        labels = label_components(known)
+        if found is not close:
+            dropped(close)
+        del full, seats
         release(spark)
-    dropped(texts, groups, members)
+    dropped(texts, equal, members, *done)
     return comps, labels
 
 
