@@ -471,9 +471,18 @@ def _compared(t: Fraction):
     return run
 
 
-def _verify(pairs: DataFrame, docs: DataFrame, t: Fraction, k: int) -> DataFrame:
+def _composed(labels: DataFrame, new: DataFrame) -> DataFrame:
+    """Labels of nodes after their labels have got new ones."""
+    now = labels.join(new.select(F.col("node").alias("label"), F.col("label").alias("now")), "label", "left").select("node", F.coalesce("now", "label").alias("label"))
+    return written(now.unionByName(new.join(labels, "node", "left_anti")), "labels")
+
+
+def _verify(pairs: DataFrame, points: DataFrame, docs: DataFrame, t: Fraction, k: int) -> DataFrame:
     """Pairs whose shingle sets reach the threshold. A set travels once to every PAIRS_A_TASK of the pairs in which its
     text comes first, and once to each in which it comes second."""
+    if pairs.isEmpty():
+        return pairs
+    pairs = _closer(pairs, points, t)
     need = written(pairs.select(F.col("a").alias(RID)).unionByName(pairs.select(F.col("b").alias(RID))).distinct(), "need")
     few = need.count() <= BROADCAST_IDS  # else the texts are shuffled to their numbers
     sets = written(docs.join(F.broadcast(need) if few else need, RID, "left_semi").mapInArrow(tidy(_make_sets(k)), f"{RID} long, s binary"), "sets")
@@ -484,7 +493,7 @@ def _verify(pairs: DataFrame, docs: DataFrame, t: Fraction, k: int) -> DataFrame
     first = sets.withColumnRenamed(RID, "a").join(turns, "a").select("a", F.explode(F.sequence(F.lit(0), F.col("turns") - 1)).alias("turn"), F.lit(0).alias("kind"), none.alias("b"), none.alias("ca"), none.alias("cb"), "s")
     both = second.unionByName(first).repartition("a", "turn").sortWithinPartitions("a", "turn", "kind")
     out = written(both.mapInArrow(tidy(_compared(t)), "a long, b long, ca long, cb long"), "verified")
-    dropped(sets, need)
+    dropped(pairs, sets, need)
     return out
 
 
@@ -561,12 +570,13 @@ def similarity_links(docs: DataFrame, t: Fraction, k: int, block: int = BLOCK) -
     dropped(regions)
     del dealt, nodes
     release(spark)
-    tried, known, labels, done = None, None, None, []
+    tried, labels, found, done = None, label_components(equal.limit(0).select(F.col(RID).alias("a"), F.col("comp").alias("b"))), None, []
     for mode in ROUNDS:
-        if labels is not None:
-            left = _mixed(members, labels)
-            dropped(members, labels)
-            members = left
+        if found is not None and not found.isEmpty():
+            new = label_components(found.select(F.col("ca").alias("a"), F.col("cb").alias("b")))
+            left, both = _mixed(members, new), _composed(labels, new)
+            dropped(members, labels, new)
+            members, labels = left, both
         seats = _seated(_thinned(members) if mode == "best" else members, mode == "cover", block)
         full = seats.join(points.drop("fine"), RID).repartition("g", "band", "sub", "chunk").sortWithinPartitions("g", "band", "sub", "chunk")
         pairs = full.mapInArrow(tidy(_pairs(t, mode)), "a long, b long, ca long, cb long, spare long")
@@ -578,18 +588,16 @@ def similarity_links(docs: DataFrame, t: Fraction, k: int, block: int = BLOCK) -
         if tried is not None:
             pairs = pairs.join(tried, ["a", "b"], "left_anti")
         pairs = written(pairs, "pairs")
-        done.append(pairs)
         tried = pairs.select("a", "b") if tried is None else tried.unionByName(pairs.select("a", "b"))
-        close = _closer(pairs, points, t)
-        found = _verify(close, docs, t, k) if not close.isEmpty() else close
-        done.append(found)
-        links = found.select(F.col("ca").alias("a"), F.col("cb").alias("b"))
-        known = links if known is None else known.unionByName(links)
-        labels = label_components(known)
-        if found is not close:
-            dropped(close)
+        found = _verify(pairs, points, docs, t, k)
+        done += [pairs, found]
         del full, seats
         release(spark)
+    if not found.isEmpty():
+        new = label_components(found.select(F.col("ca").alias("a"), F.col("cb").alias("b")))
+        both = _composed(labels, new)
+        dropped(labels, new)
+        labels = both
     dropped(texts, equal, members, *done)
     return comps, labels
 
