@@ -1,7 +1,8 @@
 """Exact n-gram Jaccard join over count vectors in R-trees, and the components of its links.
 
-A text's distinct 5-word shingles are hashed to 64 bits, whose top bits deal them into 256 groups; the groups' counts are
-the text's point. For two texts the summed minima of their coordinates bound the overlap from above, and an R-tree node,
+A text's distinct 5-word shingles are hashed to 64 bits, whose top bits deal them into groups; the groups' counts are the
+text's point. Sets of fewer than 2048 shingles have 256 groups, and each class of four times larger sets has four times
+more; a set just above a limit also has a point of the class below, for partners there. For two texts the summed minima of their coordinates bound the overlap from above, and an R-tree node,
 which stores the coordinate maxima and the size range of its points, bounds it for all points below it. Counts are bytes;
 what goes beyond 255 is summed as the point's excess, whose minimum joins the bound.
 
@@ -14,10 +15,11 @@ what goes beyond 255 is summed as the point's excess, whose minimum joins the bo
    with a root per block, and every pair that is verified comes out of a search of that tree.
 3. The search has three rounds, as pairs are wanted that connect components, not all pairs of a group:
    "cover": the first node of a block that nothing covers yet asks for its neighbours, which then are covered: at most
-   one pair a node and block. "best": blocks that hold several components still, up to THINNED members of each of them in
-   a region, give the best pair of any two components. "all": what holds several components still gives all pairs of
-   different components, and this round is complete. In the last two, the members of a region's largest component need
-   not ask, and nodes ask in all blocks whose size range they may link with.
+   one pair a node and block. Nodes with other neighbours in their block stay open, all others are done there. "best":
+   regions whose open nodes are in several components give the best pair of any two components, among up to THINNED
+   members of each. "all": what is in several components still gives all pairs of different components, and this round is
+   complete. In the last two, the members of a region's largest component need not ask, and nodes ask in all blocks whose
+   size range they may link with.
 4. After each round pairs are bounded once more by points of about as many groups as the texts have shingles, then
    verified on the shingle sets; linked components become one, by large-star and small-star steps on tables.
 
@@ -43,7 +45,7 @@ from codetrees.llm.common import RID, dropped, keyed, mix64, release, tidy, writ
 from codetrees.llm.components import label_components
 from codetrees.llm.textbytes import byte_columns, shingles
 
-GROUPS = 256
+GROUPS, LARGE = 256, 2048  # groups of the smallest class of sets, and its limit
 COUNTED = 3_000_000  # shingles counted together in a task
 NAMED = 500_000  # sets that a task remembers to name copies; a forgotten one is named again
 BROADCAST_IDS = 1_000_000  # 8 MB of row numbers
@@ -52,8 +54,8 @@ THINNED = 48  # members of a component that take part in the second round of a r
 FREQUENT, LISTED = 500, 100_000  # shingles in more than one of so many texts come last in the order; at most so many of them
 LEAF, FAN = 8, 8  # points of a leaf, children of a node
 BLOCK = 1024  # nodes of a region that are searched together
-LOADED = 20_000  # points in one tree, about
-BOUNDS = 1 << 15  # bounds computed at once
+LOADED = 10 << 20  # bytes of points in one tree, about
+BOUNDS = 8 << 20  # bytes of bounds computed at once
 PAIRS_A_TASK = 1000  # pairs of one text that are verified together
 
 
@@ -73,6 +75,20 @@ def count_vector(s: np.ndarray, bits: int = 8) -> tuple[np.ndarray, int]:
     return np.minimum(c, 255).astype(np.uint8), int(np.maximum(c - 255, 0).sum())
 
 
+def size_class(n: int) -> int:
+    return 0 if n < LARGE else ((n // LARGE).bit_length() + 1) // 2
+
+
+def points_of(s: np.ndarray, t: Fraction) -> list[dict]:
+    """The points of a set: of its class, and of the class of the smallest set that it may link with."""
+    own, below = size_class(len(s)), size_class(-(-t.numerator * len(s) // t.denominator))
+    out = []
+    for c in {own, below}:
+        point, excess = count_vector(s, 8 + 2 * c)
+        out.append({"cls": c, "point": zlib.compress(point.tobytes(), 1), "excess": excess})
+    return out
+
+
 def fine_vector(s: np.ndarray) -> bytes:
     """A point of n to 2n groups, but 256 at least, with its excess in front."""
     c, excess = count_vector(s, max(8, len(s).bit_length()))
@@ -154,18 +170,19 @@ class CountRTree:
         query = np.flatnonzero(np.append(self.blocks, -1)[root] == block) if len(self.sizes) else np.zeros(0, np.int64)
         todo = [(query, self.root[root[query]])] if len(query) else []
         size, excess = size.astype(np.int64), excess.astype(np.int64)
+        step = max(1, BOUNDS // max(1, self.points.shape[1]))
 
         def reach(q, least, most):
             return (most * t.denominator >= size[q] * t.numerator) & (size[q] * t.denominator >= least * t.numerator)
 
         while todo:
             q, node = todo.pop()
-            if len(q) > BOUNDS:
-                todo += [(q[BOUNDS:], node[BOUNDS:])]
-                q, node = q[:BOUNDS], node[:BOUNDS]
+            if len(q) > step:
+                todo += [(q[step:], node[step:])]
+                q, node = q[:step], node[:step]
             ok = reach(q, self.least_size[node], self.most_size[node])
             q, node = q[ok], node[ok]
-            bound = np.minimum(self.most[node], point[q]).sum(1, dtype=np.uint16) + np.minimum(self.most_excess[node], excess[q])
+            bound = np.minimum(self.most[node], point[q]).sum(1, dtype=np.uint32) + np.minimum(self.most_excess[node], excess[q])
             ok = bound >= needed_overlap(size[q], np.maximum(self.least_size[node], -(-size[q] * t.numerator // t.denominator)), t)
             q, node = q[ok], node[ok]
             if not len(q):
@@ -182,9 +199,9 @@ class CountRTree:
                 child = self.order[child]
                 ok = reach(q2, self.sizes[child], self.sizes[child])
                 q2, child = q2[ok], child[ok]
-                for a in range(0, len(q2), BOUNDS):
-                    i, j = q2[a : a + BOUNDS], child[a : a + BOUNDS]
-                    spare = np.minimum(self.points[j], point[i]).sum(1, dtype=np.uint16) + np.minimum(self.excess[j], excess[i]) - needed_overlap(size[i], self.sizes[j], t)
+                for a in range(0, len(q2), step):
+                    i, j = q2[a : a + step], child[a : a + step]
+                    spare = np.minimum(self.points[j], point[i]).sum(1, dtype=np.uint32) + np.minimum(self.excess[j], excess[i]) - needed_overlap(size[i], self.sizes[j], t)
                     ok = spare >= 0
                     out.append(np.stack([i[ok], j[ok], spare[ok]]))
         return tuple(np.concatenate(out, 1))
@@ -244,7 +261,8 @@ def _describe(t: Fraction, k: int, frequent: np.ndarray, rank: np.ndarray):
         import pyarrow as pa
 
         named: dict[bytes, int] = {}
-        kinds = [pa.int64(), pa.int64(), pa.binary(), pa.binary(), pa.binary(), pa.binary(), pa.int64(), pa.binary()]
+        points = pa.list_(pa.struct([("cls", pa.int32()), ("point", pa.binary()), ("excess", pa.int64())]))
+        kinds = [pa.int64(), pa.int64(), pa.binary(), pa.binary(), pa.binary(), points, pa.binary()]
         for b in _parts(batches):
             rids, rows = b.column(RID).to_pylist(), []
             if len(named) > NAMED:
@@ -254,7 +272,7 @@ def _describe(t: Fraction, k: int, frequent: np.ndarray, rank: np.ndarray):
                 digest = hashlib.blake2b(s, digest_size=16).digest()
                 to = named.setdefault(digest, rid) if n else rid
                 if not n or to != rid:
-                    rows.append((n, to, *[None] * 6))
+                    rows.append((n, to, *[None] * 5))
                     continue
                 p = prefix_length(n, t)
                 at = np.searchsorted(frequent, s)
@@ -266,9 +284,8 @@ def _describe(t: Fraction, k: int, frequent: np.ndarray, rank: np.ndarray):
                 if len(rare) < p:
                     late = s[common]
                     late = late[np.argsort(rank[at[common]], kind="stable")][: p - len(rare)]
-                point, excess = count_vector(s)
-                rows.append((n, to, digest, rare.tobytes(), late.tobytes(), zlib.compress(point.tobytes(), 1), excess, zlib.compress(fine_vector(s), 1)))
-            yield pa.RecordBatch.from_arrays([b.column(RID), *(pa.array([r[c] for r in rows], kind) for c, kind in enumerate(kinds))], names=[RID, "n", "first", "digest", "rare", "late", "point", "excess", "fine"])
+                rows.append((n, to, digest, rare.tobytes(), late.tobytes(), points_of(s, t), zlib.compress(fine_vector(s), 1)))
+            yield pa.RecordBatch.from_arrays([b.column(RID), *(pa.array([r[c] for r in rows], kind) for c, kind in enumerate(kinds))], names=[RID, "n", "first", "digest", "rare", "late", "points", "fine"])
 
     return run
 
@@ -350,8 +367,9 @@ class Blocks:
         q, j, spare = self.tree.search_all(self.point[some], self.n[some], self.excess[some], self.block[some], self.t)
         return np.stack([some[q], self.at[j], spare])
 
-    def covers(self) -> np.ndarray:
-        """In waves, the first uncovered row of every block covers its uncovered neighbours: pairs (row, row, surplus)."""
+    def covers(self) -> tuple[np.ndarray, np.ndarray]:
+        """In waves, the first uncovered row of every block covers its uncovered neighbours: pairs (row, row, surplus);
+        and which rows have other neighbours."""
         order = np.lexsort((self.rid, self.block))
         covered, out = np.zeros(len(order), bool), []
         while len(order):
@@ -363,7 +381,15 @@ class Blocks:
             out.append(np.stack([i, j, spare])[:, fresh])
             covered[j] = True
             order = order[~covered[order]]
-        return np.concatenate(out, 1) if out else np.zeros((3, 0), np.int64)
+        out = np.concatenate(out, 1) if out else np.zeros((3, 0), np.int64)
+        by = np.full(len(covered), -1)
+        by[out[1]] = out[0]
+        other = np.zeros(len(covered), bool)
+        for a in range(0, len(covered), 2048):
+            i, j, _ = self._search(np.arange(a, min(a + 2048, len(covered))))
+            left = (i != j) & (by[i] != j) & (by[j] != i)
+            other[i[left]] = other[j[left]] = True
+        return out, other
 
     def crossing(self, best: bool) -> np.ndarray:
         """Pairs of different components; with best, the best one of any two components."""
@@ -385,36 +411,49 @@ class Blocks:
 
 
 def _pairs(t: Fraction, mode: str):
-    """Sorted by block: pairs out of R-trees over some blocks at a time."""
+    """Sorted by class and block: pairs out of R-trees over some blocks at a time; in "cover" also open nodes (g, a)."""
 
     def run(batches):
         import pyarrow as pa
 
-        held, rows = [], 0
+        def made(*cols):
+            k = next(len(c) for c in cols if c is not None)
+            return pa.RecordBatch.from_arrays([pa.nulls(k, pa.int64()) if c is None else pa.array(c.astype(np.int64)) for c in cols], names=["g", "a", "b", "ca", "cb", "spare"])
 
         def found(cols, names):
-            change = np.concatenate([[False], (np.diff(names, axis=0) != 0).any(1)])
-            b = Blocks(cols, np.cumsum(change), t)
-            i, j, spare = b.covers() if mode == "cover" else b.crossing(mode == "best")
-            return pa.RecordBatch.from_arrays([pa.array(x) for x in (b.rid[i], b.rid[j], b.comp[i], b.comp[j], spare)], names=["a", "b", "ca", "cb", "spare"])
-
-        for b in batches:
-            if not b.num_rows:
-                continue
-            point = np.frombuffer(b"".join(map(zlib.decompress, b.column("point").to_pylist())), np.uint8).reshape(-1, GROUPS)
-            cols = [*(b.column(c).to_numpy() for c in (RID, "comp", "n")), point, b.column("excess").to_numpy(), *(b.column(c).to_numpy(zero_copy_only=False) for c in ("ask", "asked", "top"))]
-            held.append((cols, np.stack([b.column(c).to_numpy() for c in ("g", "band", "sub", "chunk")], 1)))
-            rows += b.num_rows
-            if rows < LOADED:
-                continue
-            cols, names = [np.concatenate(x) for x in zip(*(h[0] for h in held), strict=True)], np.concatenate([h[1] for h in held])
-            whole = np.flatnonzero((names != names[-1]).any(1))  # the last block may go on
-            cut = int(whole[-1]) + 1 if len(whole) else 0
-            if cut:
-                yield found([c[:cut] for c in cols], names[:cut])
-            held, rows = [([c[cut:] for c in cols], names[cut:])], 0
+            b = Blocks(cols, np.cumsum(np.concatenate([[False], (np.diff(names, axis=0) != 0).any(1)])), t)
+            if mode == "cover":
+                (i, j, spare), other = b.covers()
+                yield made(names[other, 1], b.rid[other], None, None, None, None)
+            else:
+                i, j, spare = b.crossing(mode == "best")
+            yield made(None, b.rid[i], b.rid[j], b.comp[i], b.comp[j], spare)
+
+        def whole(held):
+            return [np.concatenate(x) for x in zip(*(h[0] for h in held), strict=True)], np.concatenate([h[1] for h in held])
+
+        held, size = [], 0
+        for batch in batches:
+            for a, z in zip(*_runs(batch.column("cls").to_numpy()), strict=True):
+                b = batch.slice(a, z)
+                groups = GROUPS << 2 * b.column("cls")[0].as_py()
+                point = np.frombuffer(b"".join(map(zlib.decompress, b.column("point").to_pylist())), np.uint8).reshape(-1, groups)
+                cols = [*(b.column(c).to_numpy() for c in (RID, "comp", "n")), point, b.column("excess").to_numpy(), *(b.column(c).to_numpy(zero_copy_only=False) for c in ("ask", "asked", "top"))]
+                if held and held[0][0][3].shape[1] != groups:
+                    yield from found(*whole(held))
+                    held, size = [], 0
+                held.append((cols, np.stack([b.column(c).to_numpy() for c in ("cls", "g", "band", "sub", "chunk")], 1)))
+                size += point.nbytes
+                if size < LOADED:
+                    continue
+                cols, names = whole(held)
+                before = np.flatnonzero((names != names[-1]).any(1))  # the last block may go on
+                cut = int(before[-1]) + 1 if len(before) else 0
+                if cut:
+                    yield from found([c[:cut] for c in cols], names[:cut])
+                held, size = [([c[cut:] for c in cols], names[cut:])], 0
         if held:
-            yield found([np.concatenate(x) for x in zip(*(h[0] for h in held), strict=True)], np.concatenate([h[1] for h in held]))
+            yield from found(*whole(held))
 
     return run
 
@@ -477,12 +516,12 @@ def _composed(labels: DataFrame, new: DataFrame) -> DataFrame:
     return written(now.unionByName(new.join(labels, "node", "left_anti")), "labels")
 
 
-def _verify(pairs: DataFrame, points: DataFrame, docs: DataFrame, t: Fraction, k: int) -> DataFrame:
+def _verify(pairs: DataFrame, fine: DataFrame, docs: DataFrame, t: Fraction, k: int) -> DataFrame:
     """Pairs whose shingle sets reach the threshold. A set travels once to every PAIRS_A_TASK of the pairs in which its
     text comes first, and once to each in which it comes second."""
     if pairs.isEmpty():
         return pairs
-    pairs = _closer(pairs, points, t)
+    pairs = _closer(pairs, fine, t)
     need = written(pairs.select(F.col("a").alias(RID)).unionByName(pairs.select(F.col("b").alias(RID))).distinct(), "need")
     few = need.count() <= BROADCAST_IDS  # else the texts are shuffled to their numbers
     sets = written(docs.join(F.broadcast(need) if few else need, RID, "left_semi").mapInArrow(tidy(_make_sets(k)), f"{RID} long, s binary"), "sets")
@@ -497,46 +536,48 @@ def _verify(pairs: DataFrame, points: DataFrame, docs: DataFrame, t: Fraction, k
     return out
 
 
-def _placed(regions: DataFrame, nodes: DataFrame, t: Fraction, block: int) -> DataFrame:
-    """Members of regions of two nodes at least: g, rid, own band (of sizes) and sub of a region with more than `block`
-    members, else 0, 0; and the number of subs of the bands beside it. Linked texts are at most one band apart."""
+def _placed(regions: DataFrame, points: DataFrame, t: Fraction, block: int) -> DataFrame:
+    """Members of regions, by class of sizes, with two nodes at least: cls, g, rid, own band (of sizes) and sub of a
+    region with more than `block` members, else 0, 0; and the number of subs of the band. Linked texts are at most one
+    band apart."""
     width = -math.log(float(t)) * (1 + 1e-9) if t < 1 else 1e-9
-    sized = regions.join(nodes.select(RID, F.floor(F.log("n") / width).cast("int").alias("band")), RID)
-    m = regions.groupBy("g").agg(F.count("*").alias("m")).where("m > 1")
-    sized = sized.join(m, "g").select("g", RID, (F.col("m") > block).alias("big"), F.when(F.col("m") > block, F.col("band")).otherwise(0).alias("band"))
-    subs = sized.where("big").groupBy("g", "band").agg(F.ceil(F.count("*") / block).cast("int").alias("subs"))
-    out = sized.join(subs, ["g", "band"], "left").withColumn("subs", F.coalesce("subs", F.lit(1)))
-    return out.select("g", RID, "big", "band", F.pmod(F.xxhash64(RID), F.col("subs")).cast("int").alias("sub"), "subs")
+    sized = regions.join(points.select(RID, "cls", F.floor(F.log("n") / width).cast("int").alias("band")), RID)
+    m = sized.groupBy("cls", "g").agg(F.count("*").alias("m")).where("m > 1")
+    sized = sized.join(m, ["cls", "g"]).select("cls", "g", RID, (F.col("m") > block).alias("big"), F.when(F.col("m") > block, F.col("band")).otherwise(0).alias("band"))
+    subs = sized.where("big").groupBy("cls", "g", "band").agg(F.ceil(F.count("*") / block).cast("int").alias("subs"))
+    out = sized.join(subs, ["cls", "g", "band"], "left").withColumn("subs", F.coalesce("subs", F.lit(1)))
+    return out.select("cls", "g", RID, "big", "band", F.pmod(F.xxhash64(RID), F.col("subs")).cast("int").alias("sub"), "subs")
 
 
 def _mixed(members: DataFrame, labels: DataFrame) -> DataFrame:
     """Members of regions that hold more than one component still, with their components' present labels."""
     now = members.join(labels.select(F.col("node").alias("comp"), "label"), "comp", "left").withColumn("comp", F.coalesce("label", "comp")).drop("label")
-    several = now.groupBy("g").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("g")
-    return written(now.join(several, "g", "left_semi"), "members")
+    several = now.groupBy("cls", "g").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("cls", "g")
+    return now.join(several, ["cls", "g"], "left_semi")
 
 
 def _thinned(members: DataFrame) -> DataFrame:
     """About THINNED members of each component of each region."""
-    size = members.groupBy("g", "comp").agg(F.count("*").alias("c")).where(F.col("c") > THINNED)
+    size = members.groupBy("cls", "g", "comp").agg(F.count("*").alias("c")).where(F.col("c") > THINNED)
     one_in = F.ceil(F.coalesce("c", F.lit(1)) / THINNED).cast("int")
-    return members.join(size, ["g", "comp"], "left").where(F.pmod(F.xxhash64(RID, "g"), one_in) == 0).drop("c")
+    return members.join(size, ["cls", "g", "comp"], "left").where(F.pmod(F.xxhash64(RID, "g"), one_in) == 0).drop("c")
 
 
 def _seated(members: DataFrame, cover: bool, block: int) -> DataFrame:
-    """Members in the blocks where they ask or are asked: g, band, sub, chunk, rid, comp, ask, asked, top."""
+    """Members in the blocks where they ask or are asked: block key, rid, comp, ask, asked, top."""
     yes, no, zero = F.lit(True), F.lit(False), F.lit(0)
     if cover:
-        return members.select("g", "band", "sub", zero.alias("chunk"), RID, "comp", yes.alias("ask"), yes.alias("asked"), no.alias("top"))
-    largest = members.groupBy("g", "comp").agg(F.count("*").alias("c")).groupBy("g").agg(F.max_by("comp", F.struct("c", "comp")).alias("largest"), F.greatest(F.lit(1), F.ceil((F.sum("c") - F.max("c")) / (8 * block)).cast("int")).alias("chunks"))
-    known = members.join(largest, "g").withColumn("top", F.col("comp") == F.col("largest"))
-    small = known.where("not big").select("g", "band", "sub", zero.alias("chunk"), RID, "comp", (~F.col("top")).alias("ask"), yes.alias("asked"), "top")
+        return members.select("cls", "g", "band", "sub", zero.alias("chunk"), RID, "comp", yes.alias("ask"), yes.alias("asked"), no.alias("top"))
+    counts = members.groupBy("cls", "g", "comp").agg(F.count("*").alias("c")).groupBy("cls", "g")
+    chunks = F.greatest(F.lit(1), F.ceil((F.sum("c") - F.max("c")) / (8 * block)).cast("int"))
+    known = members.join(counts.agg(F.max_by("comp", F.struct("c", "comp")).alias("largest"), chunks.alias("chunks")), ["cls", "g"]).withColumn("top", F.col("comp") == F.col("largest"))
+    small = known.where("not big").select("cls", "g", "band", "sub", zero.alias("chunk"), RID, "comp", (~F.col("top")).alias("ask"), yes.alias("asked"), "top")
     big = known.where("big")
-    asked = big.select("g", "band", "sub", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("chunk"), RID, "comp", no.alias("ask"), yes.alias("asked"), "top")
-    subs = big.groupBy("g", "band").agg(F.max("subs").alias("subs"))
+    asked = big.select("cls", "g", "band", "sub", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("chunk"), RID, "comp", no.alias("ask"), yes.alias("asked"), "top")
+    subs = big.groupBy("cls", "g", "band").agg(F.max("subs").alias("subs"))
     askers = big.where("not top").withColumn("chunk", F.pmod(F.xxhash64(RID, F.lit(7)), F.col("chunks")).cast("int")).drop("subs")
-    askers = askers.withColumn("band", F.explode(F.array(F.col("band") - 1, F.col("band"), F.col("band") + 1))).join(subs, ["g", "band"])
-    askers = askers.select("g", "band", F.explode(F.sequence(F.lit(0), F.col("subs") - 1)).alias("sub"), "chunk", RID, "comp", yes.alias("ask"), no.alias("asked"), "top")
+    askers = askers.withColumn("band", F.explode(F.array(F.col("band") - 1, F.col("band"), F.col("band") + 1))).join(subs, ["cls", "g", "band"])
+    askers = askers.select("cls", "g", "band", F.explode(F.sequence(F.lit(0), F.col("subs") - 1)).alias("sub"), "chunk", RID, "comp", yes.alias("ask"), no.alias("asked"), "top")
     return small.unionByName(asked).unionByName(askers)
 
 
@@ -553,12 +594,13 @@ def similarity_links(docs: DataFrame, t: Fraction, k: int, block: int = BLOCK) -
     order = np.argsort(frequent)
     frequent, counts = frequent[order], counts[order]
 
-    texts = written(docs.mapInArrow(tidy(_describe(t, k, frequent, counts)), f"{RID} long, n long, first long, digest binary, rare binary, late binary, point binary, excess long, fine binary"), "texts")
+    texts = written(docs.mapInArrow(tidy(_describe(t, k, frequent, counts)), f"{RID} long, n long, first long, digest binary, rare binary, late binary, points array<struct<cls int, point binary, excess long>>, fine binary"), "texts")
     named = texts.where("digest is not null").select(RID, "n", "digest")
     equal = named.groupBy("n", "digest").agg(F.min(RID).alias("comp"))  # a row per task and set at most goes in
     equal = written(named.join(equal, ["n", "digest"]).select(RID, "comp"), "equal")
     comps = written(texts.select(RID, "n", "first").join(equal.withColumnRenamed(RID, "first"), "first", "left").select(RID, "n", F.coalesce("comp", "first").alias("comp")), "comps")
-    points = texts.where("digest is not null").select(RID, "n", "point", "excess", "fine")
+    fine = texts.where("digest is not null").select(RID, "n", "fine")
+    points = texts.where("digest is not null").select(RID, "n", F.inline("points"))
     nodes = texts.where("digest is not null").join(equal.where(F.col(RID) == F.col("comp")).select(RID), RID, "left_semi")
 
     total = texts.agg(F.sum(F.octet_length("rare"))).first()[0] or 0
@@ -571,15 +613,24 @@ def similarity_links(docs: DataFrame, t: Fraction, k: int, block: int = BLOCK) -
     del dealt, nodes
     release(spark)
     tried, labels, found, done = None, label_components(equal.limit(0).select(F.col(RID).alias("a"), F.col("comp").alias("b"))), None, []
+    key = ["cls", "g", "band", "sub", "chunk"]
     for mode in ROUNDS:
         if found is not None and not found.isEmpty():
             new = label_components(found.select(F.col("ca").alias("a"), F.col("cb").alias("b")))
-            left, both = _mixed(members, new), _composed(labels, new)
+            left, both = written(_mixed(members, new), "members"), _composed(labels, new)
             dropped(members, labels, new)
             members, labels = left, both
         seats = _seated(_thinned(members) if mode == "best" else members, mode == "cover", block)
-        full = seats.join(points.drop("fine"), RID).repartition("g", "band", "sub", "chunk").sortWithinPartitions("g", "band", "sub", "chunk")
-        pairs = full.mapInArrow(tidy(_pairs(t, mode)), "a long, b long, ca long, cb long, spare long")
+        full = seats.join(points, [RID, "cls"]).repartition(*key).sortWithinPartitions(*key)
+        pairs = full.mapInArrow(tidy(_pairs(t, mode)), "g long, a long, b long, ca long, cb long, spare long")
+        if mode == "cover":
+            pairs = written(pairs, "covers")
+            done.append(pairs)
+            still = pairs.where("b is null").select("g", F.col("a").alias(RID))
+            left = written(members.where("not big").join(still, ["g", RID], "left_semi").unionByName(members.where("big")), "members")
+            dropped(members)
+            members = left
+        pairs = pairs.where("b is not null").drop("g")
         if mode == "best":
             low, high = F.least("ca", "cb"), F.greatest("ca", "cb")
             pairs = pairs.groupBy(low.alias("lo"), high.alias("hi")).agg(F.max_by(F.struct("a", "b", "ca", "cb"), F.struct("spare", "a", "b")).alias("p")).select("p.*")
@@ -589,7 +640,7 @@ def similarity_links(docs: DataFrame, t: Fraction, k: int, block: int = BLOCK) -
             pairs = pairs.join(tried, ["a", "b"], "left_anti")
         pairs = written(pairs, "pairs")
         tried = pairs.select("a", "b") if tried is None else tried.unionByName(pairs.select("a", "b"))
-        found = _verify(pairs, points, docs, t, k)
+        found = _verify(pairs, fine, docs, t, k)
         done += [pairs, found]
         del full, seats
         release(spark)
