@@ -17,8 +17,11 @@ RID = "__rid"
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share (spark.checkpoint.dir); a temporary one only where it is unset."""
+    """The folder all executors share: spark.checkpoint.dir; where it is unset, a temporary one if driver and executors
+    are one process, else the warehouse."""
     base = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
+    if not base and spark.sparkContext.master.split("[")[0] != "local":
+        base = spark.conf.get("spark.sql.warehouse.dir")
     if not base:
         base = worker_cache().setdefault("own_shared_dir", None) or tempfile.mkdtemp(prefix="codetrees-")
         worker_cache()["own_shared_dir"] = base
@@ -89,14 +92,22 @@ def ascii_lower(c: Column) -> Column:
     return F.translate(c, UPPER, UPPER.lower())
 
 
-def keyed(df: DataFrame, id_col: str, cols: list[str]) -> DataFrame:
-    """df's cols plus a unique long RID. A RID that df has already is taken over; else the id itself serves when it is an
-    integer, never null and never repeated (one aggregation over the id column decides); else rows are numbered and
-    written once, so that the numbers stay."""
+def fresh(name: str, *tables: DataFrame) -> str:
+    """name, with underscores added until no table has such a column."""
+    have = {c.lower() for t in tables for c in t.columns}
+    while name.lower() in have:
+        name += "_"
+    return name
+
+
+def keyed(df: DataFrame, id_col: str, cols: list[str], row_col: str | None = None) -> DataFrame:
+    """df's cols plus a unique long RID: the column row_col, if the caller names one that is unique and never null; else
+    the id itself when it is an integer, never null and never repeated (one aggregation over the id column decides); else
+    rows are numbered and written once, so that the numbers stay. A column of df that is itself called RID is left out."""
     small_batches(df.sparkSession)
-    cols = list(dict.fromkeys([id_col, *cols]))
-    if RID in df.columns:
-        return df.select(RID, *(c for c in cols if c != RID))
+    cols = [c for c in dict.fromkeys([id_col, *cols]) if c != RID]
+    if row_col:
+        return df.select(F.col(row_col).cast("long").alias(RID), *(c for c in cols if c != RID))
     if df.schema[id_col].dataType.typeName() in ("byte", "short", "integer", "long"):
         ids = df.groupBy(id_col).count().where((F.col("count") > 1) | F.col(id_col).isNull())
         if ids.isEmpty():

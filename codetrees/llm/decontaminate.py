@@ -1,14 +1,15 @@
 """Benchmark decontamination with DataFrame functions only.
 
-Benchmark windows (13 consecutive normalised words; a shorter item is one window of its own length) become three literal
-sets inside the scan expression: outer words, 64-bit window hashes and window texts. A document position is hit when its
-window passes the cheap outer-word test, then the hash set, then the text set, which is the exact check. All of it is
-evaluated inside the row, so contamination is decided in the scan, without a shuffle. The literals are used only while
-the benchmark has at most `max_literals` windows; beyond that, windows are exploded and joined by hash and text.
+Benchmark windows (13 consecutive normalised words; a shorter item is one window of its own length) are tested in the scan
+of the documents. While they are at most `max_literals`, they are sets inside the scan expression, which Spark keeps as
+hash sets: a document position is hit when its outer words and then its window's text are in them. More windows are a
+broadcast table of 64-bit hashes, while they are at most BROADCAST (checked by a count): the hashes of a document's
+windows are probed in the scan, and the few positions that are left are verified by the windows' texts. Beyond that, the
+hashes of all windows, without their texts, are shuffled to the benchmark's.
 
 Edge rules: null text and null items have no words and never match; null item ids are skipped; repeated benchmark rows
 count once per item id; repeated documents each get a row; empty tables give empty results (an empty benchmark leaves
-all documents clean); extra columns are ignored or, in decontaminate(), passed through.
+all documents clean); extra columns, whatever their names, are ignored or, in decontaminate(), passed through.
 """
 
 from __future__ import annotations
@@ -16,10 +17,11 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from codetrees.llm.common import RID, ascii_lower, written
+from codetrees.llm.common import ascii_lower, fresh, written
 
 WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 N = 13
+BROADCAST = 2_000_000  # distinct windows whose hashes are broadcast: 16 MB of longs
 
 
 def words(c: Column) -> Column:
@@ -42,16 +44,16 @@ def _in(values) -> str:
     return "(" + ",".join(values) + ")"
 
 
-def _hits_expr(windows: list[tuple[int, str]]) -> str:
+def _hits_expr(windows: list[tuple[int, str]], w: str) -> str:
     """SQL for array<struct<i int, width int, win string>>: hit windows of array column w. Texts hold no quotes."""
     found = []
     for width in sorted({k for k, _ in windows}):
         texts = sorted({t for k, t in windows if k == width})
         heads, tails = sorted({t.split(" ")[0] for t in texts}), sorted({t.split(" ")[-1] for t in texts})
         quoted = lambda xs: _in(f"'{x}'" for x in xs)
-        here = f"array_join(slice(w, i, {width}), ' ')"
-        test = f"w[i - 1] IN {quoted(heads)} AND w[i + {width - 2}] IN {quoted(tails)} AND {here} IN {quoted(texts)}"
-        found.append(f"transform(filter(if(size(w) >= {width}, sequence(1, size(w) - {width - 1}), cast(array() as array<int>)), i -> {test}), i -> struct(i, {width} as width, {here} as win))")
+        here = f"array_join(slice({w}, i, {width}), ' ')"
+        test = f"{w}[i - 1] IN {quoted(heads)} AND {w}[i + {width - 2}] IN {quoted(tails)} AND {here} IN {quoted(texts)}"
+        found.append(f"transform(filter(if(size({w}) >= {width}, sequence(1, size({w}) - {width - 1}), cast(array() as array<int>)), i -> {test}), i -> struct(i, {width} as width, {here} as win))")
     return f"concat({', '.join(found)})" if found else "cast(array() as array<struct<i: int, width: int, win: string>>)"
 
 
@@ -63,65 +65,72 @@ def _n_hit(hits: str) -> str:
     )
 
 
-def with_hits(docs: DataFrame, benchmark: DataFrame, text_col: str, max_literals: int = 50_000, item_col: str = "item_id", bench_text: str = "text") -> tuple[DataFrame, DataFrame]:
-    """(docs plus struct __c: n_words, n_hit, hits; the benchmark's windows). Narrow while windows are few."""
+HITS = "array<struct<i: int, width: int, win: string>>"
+
+
+def with_hits(docs: DataFrame, benchmark: DataFrame, text_col: str, max_literals: int = 50_000, item_col: str = "item_id", bench_text: str = "text", broadcast: int = BROADCAST) -> tuple[DataFrame, str, DataFrame]:
+    """(docs plus a struct: n_words, n_hit, wins, spans; its name; the benchmark's windows)."""
     windows = written(benchmark_windows(benchmark, item_col, bench_text), "windows")
     few = windows.select("width", "win").distinct().limit(max_literals + 1).collect()
+    w, h = fresh("__words", docs), fresh("__hits", docs)
     if len(few) > max_literals:
-        return _joined_hits(docs, windows, text_col), windows
-    hits = _hits_expr([(r[0], r[1]) for r in few])
-    out = docs.withColumn("__w", words(F.col(text_col)))
-    out = out.withColumn("__h", F.expr(hits.replace("size(w)", "size(__w)").replace("slice(w,", "slice(__w,").replace("w[", "__w[")))
-    made = F.struct(F.size("__w").cast("long").alias("n_words"), F.expr(_n_hit("__h")).alias("n_hit"), F.expr("array_distinct(transform(__h, h -> h.win))").alias("wins"), F.expr("transform(__h, h -> struct(h.i as i, h.width as width))").alias("spans"))
-    return _fixed(out, made).drop("__w", "__h"), windows
-
-
-def _fixed(out: DataFrame, made: Column) -> DataFrame:
-    """Adds made as __c, and a row number __r: a filter that reads __r is not pushed below, where the optimizer would
-    put the whole window scan in place of each use of __c."""
-    return out.select("*", made.alias("__c"), F.monotonically_increasing_id().alias("__r"))
-
-
-def _joined_hits(docs: DataFrame, windows: DataFrame, text_col: str) -> DataFrame:
-    """The way for large benchmarks: windows of all documents are joined with the benchmark's by hash and text."""
-    docs = written(docs.withColumn(RID, F.monotonically_increasing_id()), "docs")
-    widths = [r[0] for r in windows.select("width").distinct().collect()]
-    w = docs.select(RID, words(F.col(text_col)).alias("w"))
-    distinct = windows.select("width", "win").distinct().withColumn("h", F.xxhash64("win"))
-    hits = None
+        docs, hits = _probed_hits(docs, windows, text_col, broadcast)
+        row = hits.columns[0]
+        per = hits.groupBy(row).agg(F.collect_list(F.struct("i", "width", "win")).alias(h))
+        out = docs.join(per, row, "left").drop(row).withColumn(w, words(F.col(text_col))).withColumn(h, F.coalesce(F.col(h), F.expr(f"cast(array() as {HITS})")))
+    else:
+        out = docs.withColumn(w, words(F.col(text_col))).withColumn(h, F.expr(_hits_expr([(r[0], r[1]) for r in few], w)))
+    made = F.struct(F.size(w).cast("long").alias("n_words"), F.expr(_n_hit(h)).alias("n_hit"), F.expr(f"array_distinct(transform({h}, h -> h.win))").alias("wins"), F.expr(f"transform({h}, h -> struct(h.i as i, h.width as width))").alias("spans"))
+    found = fresh("__found", docs)
+    return out.withColumn(found, made).drop(w, h), found, windows
+
+
+def _probed_hits(docs: DataFrame, windows: DataFrame, text_col: str, broadcast: int) -> tuple[DataFrame, DataFrame]:
+    """(docs with a row number, first column; hits: row, i, width, win) by hashes of windows first, then by their texts."""
+    row = fresh("__row", docs)
+    docs = written(docs.select(F.monotonically_increasing_id().alias(row), "*"), "docs")
+    distinct = windows.select("width", "win").distinct()
+    hashes = windows.select("width", F.xxhash64("win").alias("h")).distinct()
+    hashes = F.broadcast(hashes) if hashes.limit(broadcast + 1).count() <= broadcast else hashes
+    w = docs.select(row, words(F.col(text_col)).alias("w"))
+    widths = [r[0] for r in windows.select("width").distinct().collect()]  # at most N
+    hit = None
     for width in widths:
-        at = w.select(RID, F.posexplode(F.transform(_windows(F.lit(width), F.size("w")), lambda i: F.array_join(F.slice(F.col("w"), i, F.lit(width)), " "))).alias("p", "win"))
-        hit = at.withColumn("h", F.xxhash64("win")).join(distinct.where(f"width = {width}"), ["h", "win"]).select(RID, (F.col("p") + 1).alias("i"), "width", "win")
-        hits = hit if hits is None else hits.unionByName(hit)
-    per = hits.groupBy(RID).agg(F.collect_list(F.struct("i", "width", "win")).alias("__h"))
-    out = docs.join(per, RID, "left").withColumn("__h", F.coalesce("__h", F.expr("cast(array() as array<struct<i: int, width: int, win: string>>)")))
-    made = F.struct(F.size(words(F.col(text_col))).cast("long").alias("n_words"), F.expr(_n_hit("__h")).alias("n_hit"), F.expr("array_distinct(transform(__h, h -> h.win))").alias("wins"), F.expr("transform(__h, h -> struct(h.i as i, h.width as width))").alias("spans"))
-    return _fixed(out, made).drop("__h", RID)
+        at = w.select(row, F.posexplode(F.expr(f"transform(if(size(w) >= {width}, sequence(1, size(w) - {width - 1}), cast(array() as array<int>)), i -> xxhash64(array_join(slice(w, i, {width}), ' ')))")).alias("p", "h"))
+        at = at.join(hashes.where(f"width = {width}"), "h", "left_semi").select(row, (F.col("p") + 1).alias("i"), F.lit(width).alias("width"))
+        hit = at if hit is None else hit.unionByName(at)
+    places = written(hit, "places").groupBy(row).agg(F.collect_list(F.struct("i", "width")).alias("at"))
+    texts = w.join(places, row).select(row, "w", F.inline("at")).select(row, "i", "width", F.array_join(F.slice("w", F.col("i"), F.col("width")), " ").alias("win"))
+    return docs, written(texts.join(distinct, ["width", "win"], "left_semi").select(row, "i", "width", "win"), "hits")
 
 
-CONTAMINATED = "(__c.n_hit > 0 and 20 * __c.n_hit >= __c.n_words)"
+def _contaminated(c: str) -> str:
+    return f"({c}.n_hit > 0 and 20 * {c}.n_hit >= {c}.n_words)"
 
 
-def contamination(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", max_literals: int = 50_000) -> DataFrame:
+def contamination(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", max_literals: int = 50_000, broadcast: int = BROADCAST) -> DataFrame:
     """One row per document: id, n_words, n_hit, n_items, items_sha256, contaminated."""
-    hit, windows = with_hits(docs.select(id_col, text_col), benchmark, text_col, max_literals)
-    small = written(hit.select(F.monotonically_increasing_id().alias(RID), id_col, "__c.n_words", "__c.n_hit", "__c.wins", F.expr(CONTAMINATED).alias("contaminated")), "hits")
-    found = small.where("n_hit > 0").select(RID, F.explode("wins").alias("win")).join(windows.select("win", "item"), "win")
-    items = found.groupBy(RID).agg(F.array_sort(F.collect_set("item")).alias("items"))
-    out = small.drop("wins").join(items, RID, "left").withColumn("items", F.coalesce("items", F.array().cast("array<string>")))
-    return out.select(id_col, "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.encode(F.array_join("items", ","), "UTF-8"), 256).alias("items_sha256"), "contaminated")
+    hit, c, windows = with_hits(docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")), benchmark, "text", max_literals, broadcast=broadcast)
+    small = written(hit.select(F.monotonically_increasing_id().alias("row"), "id", f"{c}.n_words", f"{c}.n_hit", f"{c}.wins", F.expr(_contaminated(c)).alias("contaminated")), "hits")
+    found = small.where("n_hit > 0").select("row", F.explode("wins").alias("win")).join(windows.select("win", "item"), "win")
+    items = found.groupBy("row").agg(F.array_sort(F.collect_set("item")).alias("items"))
+    out = small.drop("wins").join(items, "row", "left").withColumn("items", F.coalesce("items", F.array().cast("array<string>")))
+    return out.select(F.col("id").alias(id_col), "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.encode(F.array_join("items", ","), "UTF-8"), 256).alias("items_sha256"), "contaminated")
 
 
-def decontaminate(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", mode: str = "document", max_literals: int = 50_000) -> DataFrame:
+def decontaminate(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", mode: str = "document", max_literals: int = 50_000, broadcast: int = BROADCAST) -> DataFrame:
     """mode "document" drops contaminated documents; "span" removes every hit word from the texts of documents with hits
     (their text becomes the remaining normalised words joined by a space); all other columns pass through."""
-    hit, _ = with_hits(docs, benchmark, text_col, max_literals)
+    hit, c, _ = with_hits(docs, benchmark, text_col, max_literals, broadcast=broadcast)
+    # The row number keeps the filter above the window scan, which the optimizer would put in place of each use of c.
+    hit = hit.withColumn(r := fresh("__number", hit), F.monotonically_increasing_id())
     if mode == "document":
-        return hit.where(F.expr(f"__r >= 0 and not {CONTAMINATED}")).select(*docs.columns)
-    kept = F.expr("filter(sequence(1, size(__v)), k -> not exists(__c.spans, s -> k >= s.i and k < s.i + s.width))")
-    left = F.expr("array_join(transform(__k, k -> __v[k - 1]), ' ')")
-    cut = hit.withColumn("__v", words(F.col(text_col))).withColumn("__k", F.when(F.expr("__c.n_hit > 0"), kept))
-    return cut.withColumn(text_col, F.when(F.expr("__c.n_hit > 0"), left).otherwise(F.col(text_col))).select(*docs.columns)
+        return hit.where(F.expr(f"{r} >= 0 and not {_contaminated(c)}")).select(*docs.columns)
+    v, k = fresh("__all", hit), fresh("__kept", hit)
+    kept = F.expr(f"filter(sequence(1, size({v})), k -> not exists({c}.spans, s -> k >= s.i and k < s.i + s.width))")
+    left = F.expr(f"array_join(transform({k}, k -> {v}[k - 1]), ' ')")
+    cut = hit.withColumn(v, words(F.col(text_col))).withColumn(k, F.when(F.expr(f"{c}.n_hit > 0"), kept))
+    return cut.withColumn(text_col, F.when(F.expr(f"{c}.n_hit > 0"), left).otherwise(F.col(text_col))).select(*docs.columns)
 
 
 def op7_decontaminate(spark, sf_dir: str) -> DataFrame:

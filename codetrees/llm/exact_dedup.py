@@ -8,22 +8,23 @@ other rows then have their bytes compared with the stayer's; should a comparison
 digest's rows are grouped again by the texts themselves.
 
 Edge rules: null text counts as empty; ties on the identifier go to the smaller internal row number; repeated rows are
-copies of each other; null ids order last; an empty table gives an empty result; extra columns are ignored.
+copies of each other; null ids order last; ids of any type that can be ordered serve; an empty table gives an empty result; extra columns are ignored.
 """
 
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from codetrees.llm.common import RID, ascii_lower, dropped, keyed, small_batches, tidy, written
+from codetrees.llm.common import RID, ascii_lower, dropped, fresh, keyed, small_batches, tidy, written
 
+KNOWN = 1_000_000  # digests that are broadcast
 ENTRY = np.dtype([("d", "S32"), ("order", "<i8"), ("rid", "<i8"), ("n", "<i8")])
 
 
 class BloomFilter:
-    """Bits over 64-bit digest heads; `bits_per_key` sets the false-positive rate."""
+    """A byte a place over 64-bit digest heads; `bits_per_key` places a key set the false-positive rate."""
 
     def __init__(self, heads: np.ndarray, bits_per_key: int = 10, hashes: int = 5):
         self.size, self.hashes = max(64, len(heads) * bits_per_key), hashes
@@ -144,15 +145,26 @@ def digest_index(digests: DataFrame, memtable_rows: int = 500_000) -> DataFrame:
     return runs.repartition(shards, "shard").mapInArrow(tidy(_compact), "digest binary, keep_rid long, group_size long")
 
 
-def exact_dedup(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "smallest", digest_bytes: int = 32) -> DataFrame:
+def _ordered(docs: DataFrame, id_col: str) -> tuple[DataFrame, Column]:
+    """docs with the ids' order as a long: integers are their own; other ids are numbered after one range partitioning."""
+    if docs.schema[id_col].dataType.typeName() in ("byte", "short", "integer", "long"):
+        return docs, F.col(id_col).cast("long")
+    place = fresh("__place", docs)
+    ids = docs.select(id_col).where(F.col(id_col).isNotNull()).distinct()
+    ids = written(ids.repartitionByRange(id_col).sortWithinPartitions(id_col).withColumn(place, F.monotonically_increasing_id()), "places")
+    return docs.join(ids, id_col, "left"), F.col(place)
+
+
+def exact_dedup(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "smallest", digest_bytes: int = 32, row_col: str | None = None) -> DataFrame:
     """One row per input row: RID, id, keep_id, group_size, kept, text_sha256. Texts are equal when identical after
     lower-casing A-Z. keep: "smallest" or "largest" id stays. digest_bytes: digest length used by the index (short ones,
     for tests, make collisions that the byte comparison must find)."""
-    docs = keyed(df, id_col, [text_col])
+    docs = keyed(df, id_col, [text_col], row_col)
     low = ascii_lower(F.coalesce(F.col(text_col), F.lit("")))
     sha = F.sha2(F.encode(low, "UTF-8"), 256)
     sign = 1 if keep == "smallest" else -1
-    order = F.coalesce(sign * F.col(id_col).cast("long"), F.lit((1 << 63) - 1))
+    docs, number = _ordered(docs, id_col)
+    order = F.coalesce(sign * number, F.lit((1 << 63) - 1))
     pad = "00" * (32 - digest_bytes)
     digests = written(docs.select(RID, F.col(id_col).alias("id"), order.alias("order"), sha.alias("text_sha256")), "digests")
     digests = digests.withColumn("digest", F.unhex(F.concat(F.substring("text_sha256", 1, 2 * digest_bytes), F.lit(pad))))
@@ -167,16 +179,19 @@ def exact_dedup(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", k
     found = written(found, "found")
 
     # Byte comparison, pre-aggregated before its shuffle: all texts of a digest are equal when the least is the greatest.
-    texts = docs.select(RID, low.alias("t"))
-    hits = found.where("group_size > 1").select(RID, "digest").join(texts, RID)
+    # Digests of several rows are broadcast while they are at most KNOWN (32 MB), so that other texts stay where they are.
+    texts = docs.select(RID, F.unhex(F.concat(F.substring(sha, 1, 2 * digest_bytes), F.lit(pad))).alias("digest"), low.alias("t"))
+    several = again.select("digest")
+    several = F.broadcast(several) if several.count() <= KNOWN else several
+    hits = texts.join(several, "digest", "left_semi")
     wrong = hits.groupBy("digest").agg(F.min("t").alias("least"), F.max("t").alias("most")).where(F.col("least") != F.col("most")).select("digest")
     wrong = written(wrong, "collided")
     if not wrong.isEmpty():  # one digest, several texts: group these rows by the text itself
-        bad = found.join(wrong, "digest").select(RID, "id", "digest", "text_sha256").join(texts, RID)
+        bad = found.join(wrong, "digest").select(RID, "id", "digest", "text_sha256").join(texts.select(RID, "t"), RID).join(digests.select(RID, "order"), RID)
         w = Window.partitionBy("digest", "t")
-        o = F.struct(F.coalesce(sign * F.col("id").cast("long"), F.lit((1 << 63) - 1)), F.col(RID))
+        o = F.struct(F.col("order"), F.col(RID))
         bad = bad.select(RID, "id", "digest", "text_sha256", F.min(o).over(w)[RID].alias("keep_rid"), F.count("*").over(w).alias("group_size"))
-        found = found.join(wrong, "digest", "left_anti").unionByName(bad)
+        found = written(found.join(wrong, "digest", "left_anti").unionByName(bad), "regrouped")
     found = found.withColumn("kept", F.col("keep_rid") == F.col(RID))
     if getattr(docs, "_codetrees_rid_is_id", False):
         out = found.withColumn("keep_id", F.col("keep_rid").cast(df.schema[id_col].dataType))

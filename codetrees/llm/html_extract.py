@@ -7,6 +7,11 @@ its ancestors, less with each level. The container with the most points after it
 an <article> or <main>, that element is taken. Siblings that score well or are long, link-poor paragraphs are kept too.
 Blocks are joined in page order.
 
+Elements are furniture by tag, role or hiding attribute, or by a class or id whose last word says so ("site-footer"), or
+its first word when only words of layout follow ("related-posts", not "menu-item-description"). Words behind "no", "has",
+"with" and the like say how a page is laid out and do not count. A name alone never takes away the element that holds
+most of a page's text: unless it names comments, such an element is judged by its score like any other.
+
 Edge rules: null html is empty; a page without text gives an empty string; broken or unclosed markup is read leniently;
 nesting of any depth and pages of any length are handled without recursion; repeated pages give repeated rows; an empty
 table gives an empty result; extra columns are ignored.
@@ -35,43 +40,74 @@ JUNK_WORDS = {
     "ad", "ads", "advert", "adverts", "advertisement", "advertising", "banner", "breadcrumb", "breadcrumbs", "comment", "comments", "consent", "cookie", "cookies", "copyright", "disqus", "footer", "gdpr", "hidden", "login", "menu", "modal", "nav", "navbar", "navigation",
     "newsletter", "notice", "overlay", "pager", "pagination", "popup", "promo", "promotion", "recommended", "related", "replies", "reply", "respond", "share", "sharing", "sidebar", "signup", "skip", "social", "sponsor", "sponsored", "subscribe", "teaser", "toolbar", "widget",
 }
-JUNK_STARTS = ("advert", "breadcrumb", "comment", "cookie", "disqus", "navbar", "newsletter", "pagination", "sidebar", "sponsor", "subscri")
-JUNK_ENDS = ("banner", "comments", "cookies", "footer", "navbar", "navigation", "popup", "sidebar")
+JUNK_STARTS = ("advert", "breadcrumb", "cookie", "navbar", "newsletter", "pagination", "sidebar", "sponsor", "subscri")
+JUNK_ENDS = ("banner", "cookies", "footer", "navbar", "navigation", "popup", "sidebar")
+COMMENT_WORDS = {"comment", "comments", "commentlist", "disqus", "replies", "reply", "respond"}
 HEADER_WORDS = {"header", "masthead"}
 CONTENT_WORDS = {"article", "body", "content", "entry", "main", "post", "story", "text"}
+LAYOUT_MARKS = {"no", "non", "not", "without", "has", "have", "with", "hide", "show", "enable", "disable", "is", "js"}
+LAYOUT_WORDS = {
+    "area", "articles", "author", "avatar", "bar", "block", "body", "bottom", "box", "btn", "button", "buttons", "col", "column", "container", "content", "count", "form", "group", "holder", "icon", "icons", "inner", "item", "items", "label", "left", "link", "links", "list", "lists", "main", "meta", "nav", "news", "outer", "panel", "placeholder", "posts",
+    "primary", "right", "row", "secondary", "section", "slot", "space", "stories", "text", "thread", "title", "toggle", "top", "topics", "unit", "wrap", "wrapper", "zone",
+}
 
 TOKEN = re.compile(r"<!--.*?(?:-->|$)|<![^>]*>|<\?[^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
-ATTRIBUTE = re.compile(r"(class|id|role|aria-hidden|hidden|style)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?(?=[\s/>]|$)", re.I)
+ATTRIBUTE = re.compile(r"([^\s\"'<>/=]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?")
 HIDES = re.compile(r"display\s*:\s*none|visibility\s*:\s*hidden", re.I)
-WORDS = re.compile(r"[a-z]+")
+WORDS = re.compile(r"[A-Z]?[a-z]+|[A-Z]+(?![a-z])")
 SPACE = re.compile(r"\s+")
 
 
-def is_junk(tag: str, attrs: str, in_article: bool) -> bool:
-    """Whether an element is page furniture."""
+def attributes(source: str) -> dict[str, str]:
+    """Attributes of a tag by lower-case name; of repeated ones the first."""
+    out: dict[str, str] = {}
+    for m in ATTRIBUTE.finditer(source):
+        out.setdefault(m[1].lower(), m[2] or m[3] or m[4] or "")
+    return out
+
+
+def _says_junk(word: str) -> bool:
+    return word in JUNK_WORDS or word in COMMENT_WORDS or word.startswith(JUNK_STARTS) or word.endswith(JUNK_ENDS)
+
+
+def name_kind(names: list[str]) -> int:
+    """What classes and ids say of an element: 0 nothing, 1 page furniture, 2 comments."""
+    kind, header, content = 0, False, False
+    for name in names:
+        words = [w.lower() for w in WORDS.findall(name)]
+        words = words[: next((i for i, w in enumerate(words) if w in LAYOUT_MARKS), len(words))]
+        if not words:
+            continue
+        header, content = header or bool(HEADER_WORDS & set(words)), content or bool(CONTENT_WORDS & set(words))
+        rest = all(w in LAYOUT_WORDS or _says_junk(w) for w in words[1:])
+        if words[-1] in COMMENT_WORDS or words[0] in COMMENT_WORDS and rest:
+            return 2
+        if _says_junk(words[-1]) or _says_junk(words[0]) and rest:
+            kind = 1
+    return max(kind, int(header and not content))
+
+
+HARD = 2
+
+
+def junk_kind(tag: str, attrs: str, in_article: bool) -> int:
+    """Whether an element is page furniture: 0 no, 1 by its name alone, HARD surely."""
     if tag in JUNK_TAGS or tag == "header" and not in_article:
-        return True
+        return HARD
     if not attrs or tag in ("html", "body"):
-        return False
-    words: set[str] = set()
-    for m in ATTRIBUTE.finditer(attrs):
-        name, value = m[1].lower(), (m[2] or m[3] or m[4] or "").lower()
-        if name == "hidden" or name == "aria-hidden" and value == "true" or name == "style" and HIDES.search(value) or name == "role" and value in JUNK_ROLES:
-            return True
-        if name in ("class", "id"):
-            words.update(WORDS.findall(value))
-    if tag in ("article", "main"):
-        return bool(words & {"comment", "comments", "reply", "replies"})
-    if any(w.startswith(JUNK_STARTS) or w.endswith(JUNK_ENDS) for w in words):
-        return True
-    return bool(words & JUNK_WORDS) or bool(words & HEADER_WORDS) and not words & CONTENT_WORDS
+        return 0
+    found = attributes(attrs)
+    if "hidden" in found or found.get("aria-hidden", "").lower() == "true" or HIDES.search(found.get("style", "")) or found.get("role", "").lower() in JUNK_ROLES:
+        return HARD
+    kind = name_kind([*found.get("class", "").split(), *found.get("id", "").split()])
+    return kind if tag not in ("article", "main") or kind == HARD else 0
 
 
 class Page:
-    """Elements as parallel lists (tag, parent, junk, article) and blocks as (owner, text, link characters)."""
+    """Elements as parallel lists (tag, parent, junk kind, article) and blocks as (owner, text, link characters)."""
 
     def __init__(self, source: str):
-        self.tag, self.parent, self.junk, self.article = ["#root"], [-1], [False], [-1]
+        self.tag, self.parent, self.junk, self.article = ["#root"], [-1], [0], [-1]
         self.blocks: list[tuple[int, str, int]] = []
         self._scan(source)
 
@@ -91,7 +127,7 @@ class Page:
         while at < end:
             m = TOKEN.search(source, at)
             stop = m.start() if m else end
-            if stop > at and not junk[stack[-1]]:
+            if stop > at and junk[stack[-1]] != HARD:
                 raw = source[at:stop]
                 text = html.unescape(raw) if "&" in raw else raw
                 if parts or not text.isspace():
@@ -123,9 +159,9 @@ class Page:
                     open_links = 1
                 elif name == "br":
                     parts.append(" ")
-                elif m[3] and name == "span" and not m[3].endswith("/") and is_junk(name, m[3], True):
-                    close = re.compile(rf"</{name}\s*>", re.I).search(source, at)
-                    at = close.end() if close else at
+                if m[3] and name not in VOID and not m[3].endswith("/") and junk_kind(name, m[3], True):
+                    at = self._behind(source, at, name)
+                    open_links = 0 if name == "a" else open_links
                 continue
             if name in VOID:
                 if name == "hr":
@@ -150,7 +186,7 @@ class Page:
             tag.append(name)
             parent.append(up)
             article.append(node if name in ("article", "main") and article[up] < 0 else article[up])
-            junk.append(junk[up] or is_junk(name, m[3], article[up] >= 0))
+            junk.append(HARD if junk[up] == HARD else junk_kind(name, m[3], article[up] >= 0))
             open_links = 0
             if name in RAW:
                 close = re.compile(rf"</{name}\s*>", re.I).search(source, at)
@@ -164,19 +200,56 @@ class Page:
         flush()
 
 
+    @staticmethod
+    def _behind(source: str, at: int, name: str) -> int:
+        """Where an inline element that is open ends: behind its own end tag, or before the next tag of a block."""
+        depth = 1
+        for m in TOKEN.finditer(source, at):
+            tag = (m[2] or "").lower()
+            if tag == name:
+                depth += -1 if m[1] else 1
+                if not depth:
+                    return m.end()
+            elif tag and tag not in INLINE:
+                return m.start()
+        return len(source)
+
+
 def points(text: str) -> float:
     """Points of a block: one for being there, one a comma, one a hundred characters up to three."""
     return 1 + text.count(",") + text.count("，") + min(len(text) // 100, 3)
 
 
+def _without_furniture(page: Page) -> list[tuple[int, str, int]]:
+    """Blocks outside of elements whose names say furniture, but for an element that holds most of the text in two
+    paragraphs at least and is no list of links."""
+    if not any(page.junk):
+        return page.blocks
+    n = len(page.tag)
+    size, link, some = [0] * n, [0] * n, [0] * n
+    for owner, text, links in page.blocks:
+        node = owner
+        while node >= 0:
+            size[node] += len(text)
+            link[node] += links
+            some[node] += page.tag[owner] in PARAGRAPH
+            node = page.parent[node]
+    gone = [False] * n
+    for i in range(1, n):
+        most = 2 * size[i] > size[0] and some[i] > 1 and 3 * link[i] < size[i]
+        gone[i] = gone[page.parent[i]] or page.junk[i] > 0 and not (page.junk[i] < HARD and most)
+    return [b for b in page.blocks if not gone[b[0]]]
+
+
 def main_text(source: str | None) -> str:
     """The main text of a page."""
     page = Page(source or "")
-    if not page.blocks:
-        return ""
     n = len(page.tag)
+    blocks = _without_furniture(page)
+    if not blocks:
+        return ""
     score, size, link = [0.0] * n, [0] * n, [0] * n
-    for owner, text, links in page.blocks:
+    for owner, text, links in blocks:
         gain = points(text) * (1 - links / len(text))
         node = page.parent[owner] if page.tag[owner] in PARAGRAPH and page.parent[owner] >= 0 else owner
         level = 0
@@ -206,7 +279,7 @@ def main_text(source: str | None) -> str:
     inside = [False] * n
     for i in range(n):
         inside[i] = i in keep or page.parent[i] >= 0 and inside[page.parent[i]]
-    return "\n".join(text for owner, text, _ in page.blocks if inside[owner])
+    return "\n".join(text for owner, text, _ in blocks if inside[owner])
 
 
 def _extract(batches):

@@ -169,12 +169,16 @@ def fit(rows: list[tuple[str, np.ndarray, np.ndarray]], dim: int = 16, epochs: i
 
 
 def train_language_model(df: DataFrame, text_col: str = "text", lang_col: str = "lang", order_col: str = "doc_id", max_rows: int = 2500, **options) -> Model | None:
-    """Fit on at most max_rows labelled rows (the documented bound), taken in hash order of order_col, whole texts."""
-    rows = df.where(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull()).orderBy(F.xxhash64(F.col(order_col).cast("string")), order_col)
+    """Fit on at most max_rows distinct labelled texts (the documented bound), taken in hash order of order_col, whole
+    texts. Repeated rows count once, as often as they may come."""
     small_batches(df.sparkSession)
-    ids = rows.select(order_col).limit(max_rows)
-    some = df.where(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull()).join(F.broadcast(ids.distinct()), order_col, "left_semi")
-    got = some.select(F.col(lang_col).cast("string").alias("lang"), F.col(text_col).alias("text"), order_col).drop(order_col).mapInArrow(tidy(_features), "lang string, idx binary, cnt binary").collect()
+    known = df.where(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(order_col).alias("o"), F.col(lang_col).cast("string").alias("lang"), F.col(text_col).cast("string").alias("text"))
+    known = known.withColumn("k", F.coalesce(F.col("o").cast("string"), F.lit(""))).withColumn("h", F.xxhash64("text"))
+    ids = known.select("k").distinct().orderBy(F.xxhash64("k"), "k").limit(max_rows)
+    known = known.join(F.broadcast(ids), "k", "left_semi")
+    first = known.select("k", "lang", "h").distinct().orderBy(F.xxhash64("k"), "k", "lang", "h").limit(max_rows)
+    some = known.join(F.broadcast(first), ["k", "lang", "h"], "left_semi").groupBy("k", "lang", "h").agg(F.min("text").alias("text"))
+    got = some.select("lang", "text").mapInArrow(tidy(_features), "lang string, idx binary, cnt binary").collect()
     data = sorted(((r["lang"], np.frombuffer(r["idx"], "<i4"), np.frombuffer(r["cnt"], "<f4")) for r in got), key=lambda r: (r[0], len(r[1]), r[1].tobytes()[:64]))
     rng = np.random.default_rng(3)
     data = [data[i] for i in rng.permutation(len(data))]

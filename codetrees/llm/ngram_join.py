@@ -653,10 +653,10 @@ def similarity_links(docs: DataFrame, t: Fraction, k: int, block: int = BLOCK) -
     return comps, labels
 
 
-def jaccard_components(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: Fraction = Fraction(3, 4), k: int = 5) -> DataFrame:
+def jaccard_components(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: Fraction = Fraction(3, 4), k: int = 5, row_col: str | None = None) -> DataFrame:
     """One row per input row: RID, id, n_shingles, component_id (least id reachable by links), representative (whether the
     row is the one of its component that stays: least id, then least RID)."""
-    docs = keyed(df, id_col, [text_col]).select(RID, F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
+    docs = keyed(df, id_col, [text_col], row_col).select(RID, F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
     comps, labels = similarity_links(docs.select(RID, "text"), threshold, k)
     named = comps.join(labels.select(F.col("node").alias("comp"), "label"), "comp", "left").select(RID, "n", F.coalesce("label", "comp").alias("comp"))
     rows = named.join(docs.select(RID, "id"), RID)

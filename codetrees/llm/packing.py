@@ -3,8 +3,9 @@
 One pass tokenizes each document once and cuts it into pieces; a piece knows its rank among its task's pieces of the
 same length. Only the length histogram (at most `size` numbers) reaches the driver. There all patterns of up to three
 lengths that fill a sequence exactly are enumerated, their repeat counts are fitted to the histogram by weighted
-non-negative least squares, rounded against what is left of each length, and the residual lengths are packed by best fit
-on the histogram. The plan is a list of rank ranges per length, and each piece finds its sequence and offset by its rank,
+non-negative least squares, a share of them is rounded along the list of patterns, never beyond what is left of each
+length, and the residual lengths are packed by best fit on the histogram. The share leaves the residual enough pieces of
+all lengths to fill its sequences; of a few shares and places where the rounding starts, the best plan is taken. The plan is a list of rank ranges per length, and each piece finds its sequence and offset by its rank,
 so no group of equal lengths ever meets in one task.
 
 Edge rules: null or empty text is one piece holding only the end token; repeated rows are packed each; null ids are kept
@@ -125,13 +126,18 @@ def fit_counts(p: np.ndarray, hist: np.ndarray, rounds: int = 200) -> np.ndarray
     return x
 
 
-def round_counts(p: np.ndarray, x: np.ndarray, hist: np.ndarray) -> tuple[list[tuple[tuple[int, ...], int]], np.ndarray]:
-    """Whole repeat counts, larger fits first, never more than what is left of each length; and what is left."""
+SHARES = (0.3, 0.45, 0.6, 0.75)
+STARTS = (0.05, 0.2, 0.35, 0.5, 0.65, 0.8, 0.95)
+
+
+def round_counts(p: np.ndarray, x: np.ndarray, hist: np.ndarray, share: float = 0.5, start: float = 0.5) -> tuple[list[tuple[tuple[int, ...], int]], np.ndarray]:
+    """Whole repeat counts whose running sums follow those of share * x from start on, never more than what is left of
+    each length; and what is left."""
     left, out = hist.copy(), []
-    for i in np.argsort(-x, kind="stable"):
+    counts = np.diff(np.floor(np.cumsum(x * share) + start).astype(np.int64), prepend=0)
+    for i in np.flatnonzero(counts):
         parts = [int(v) for v in p[i] if v]
-        most = min(int(left[v]) // parts.count(v) for v in parts)
-        n = min(most, max(1, int(np.rint(x[i]))))
+        n = min(int(counts[i]), *(int(left[v]) // parts.count(v) for v in parts))
         if n > 0:
             out.append((tuple(parts), n))
             for v in parts:
@@ -181,10 +187,15 @@ def plan(hist: np.ndarray, size: int = SIZE) -> list[tuple[tuple[int, ...], int]
     rest = hist.copy()
     rest[size] = 0
     p = patterns(np.flatnonzero(rest), size)
-    chosen, left = round_counts(p, fit_counts(p, rest), rest) if len(p) else ([], rest)
-    fitted = [*full, *chosen, *best_fit(left, size)]
-    plain = [*full, *best_fit(rest, size)]  # never worse than plain best fit
-    return min(fitted, plain, key=lambda x: sum(n for _, n in x))
+    x = fit_counts(p, rest) if len(p) else np.zeros(0)
+    best = None
+    for share in SHARES:
+        for start in STARTS:
+            chosen, left = round_counts(p, x, rest, share, start)
+            made = [*full, *chosen, *best_fit(left, size)]
+            if best is None or sum(n for _, n in made) < sum(n for _, n in best):
+                best = made
+    return best
 
 
 def slots(chosen: list[tuple[tuple[int, ...], int]]) -> dict[str, np.ndarray]:

@@ -217,11 +217,14 @@ def _passages(batches):
 
 
 def train_quality_model(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", max_rows: int = 4000, **options) -> GatedAttention | None:
-    """Fit on at most max_rows labelled rows (the documented bound), those with the least hash of their id."""
+    """Fit on at most max_rows distinct labelled texts (the documented bound): of the labelled ids with the least hashes,
+    the first texts by hash. Repeated rows count once, as often as they may come."""
     small_batches(docs.sparkSession)
     known = labels.where(F.col(label_col).isNotNull() & F.col(id_col).isNotNull()).groupBy(F.col(id_col).alias("id")).agg(F.max(F.col(label_col).cast("int")).alias("label"))
     some = known.orderBy(F.xxhash64(F.col("id").cast("string")), "id").limit(max_rows)
-    rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text")).join(F.broadcast(some), "id")
+    texts = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text")).join(F.broadcast(some), "id").withColumn("h", F.xxhash64("text"))
+    first = texts.select("id", "h").distinct().orderBy(F.xxhash64(F.col("id").cast("string")), "id", "h").limit(max_rows)
+    rows = texts.join(F.broadcast(first), ["id", "h"], "left_semi").groupBy("id", "h").agg(F.first("label").alias("label"), F.min("text").alias("text"))
     kind = rows.schema["id"].dataType.simpleString()
     got = rows.select("id", "label", "text").mapInArrow(tidy(_passages), f"id {kind}, label int, x binary").collect()
     got = sorted(got, key=lambda r: (r["id"], len(r["x"]), r["x"][:64]))

@@ -12,10 +12,12 @@ same occurrence of it form a segment. Equal windows thus lie in segments of one
 anchor. Segments whose whole content occurs twice are repeated throughout; only groups with different contents need
 suffix sorting, one copy of each content. Aligned at their anchors, equal windows start in the same column, so a round
 only has to order the suffixes that begin in its column, and the rounds are at most 2 * length. Groups of very many
-contents are divided once more by the bytes right of the anchor, for windows that lie mostly there, and left of it.
+contents, as of a line that many documents hold, are divided once more: windows that start in the same STRIP columns by
+the bytes that all of them hold, which are length - STRIP + 1. Should more than COLLECTION contents share even these, their
+windows (STRIP each at most) are compared by 128-bit digests, which need 360 bytes a content.
 
 What the method's external files are for, bounded memory and sequential passes, is left to Spark: segments and contents
-stream through shuffle files, each collection is a bounded block of groups.
+stream through shuffle files, each collection is a bounded block of groups, and its transform lives in memory.
 
 Edge rules: null and empty texts have no bytes; texts shorter than `length` are kept; repeated rows repeat each other
 and lose every byte if long enough; overlaps within a document count; documents longer than a block are cut into pieces
@@ -39,6 +41,7 @@ PIECE_BITS = 20
 PIECE = 1 << PIECE_BITS
 SPLIT = 5000  # contents of a group from which on it is divided
 FILED = 400_000  # segments compared within a task before they are dealt out
+STRIP = 10  # columns of a divided group
 COLLECTION = 20_000  # strings sorted together
 SEGMENT = np.dtype([("mh", "<u8"), ("c1", "<u8"), ("c2", "<u8"), ("rid", "<i8"), ("start", "<i8"), ("anchor", "<i4"), ("nwin", "<i4"), ("seen", "u1")])
 
@@ -213,7 +216,6 @@ def _cut_out(length: int):
     def run(batches):
         import pyarrow as pa
 
-        half = length // 2
         for b in batches:
             data, off = byte_columns(b.column("text"))
             rids, rows = b.column(RID).to_pylist(), []
@@ -225,12 +227,13 @@ def _cut_out(length: int):
                     if w["contents"] <= SPLIT:
                         rows.append((w["mh"], rids[i], s, a, text, 0, n))
                         continue
-                    # Window d bytes left of the anchor: with d <= half it holds the next `half` bytes from the anchor on.
-                    edge = max(0, a - half)  # windows from here on lie mostly right
-                    for lo, hi, part in ((edge, n, text[a : a + half]), (0, min(edge, n), text[max(0, a - half) : a])):
+                    # All windows that start in columns [c, c + STRIP) left of the anchor hold bytes c + STRIP - 1 to c + length.
+                    for strip in range((a - n + 1) // STRIP, a // STRIP + 1):
+                        lo, hi = max(0, a - strip * STRIP - STRIP + 1), min(n, a - strip * STRIP + 1)
                         if lo < hi:
-                            key = int.from_bytes(hashlib.blake2b(part, digest_size=8, key=b"%d" % w["mh"]).digest(), "little", signed=True)
-                            rows.append((key, rids[i], s, a, text, lo, hi))
+                            part = text[a - strip * STRIP : a - strip * STRIP - STRIP + 1 + length]
+                            key = int.from_bytes(hashlib.blake2b(part, digest_size=8, key=b"%d:%d" % (w["mh"], strip)).digest(), "little", signed=True)
+                            rows.append((key, rids[i], s + lo, a - lo, text[lo : hi - 1 + length], 0, hi - lo))
             for at in range(0, len(rows), 5000):
                 r = rows[at : at + 5000]
                 yield pa.RecordBatch.from_arrays([pa.array([x[c] for x in r], t) for c, t in enumerate((pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.binary(), pa.int32(), pa.int32()))], names=["g", "rid", "start", "anchor", "content", "lo", "hi"])
@@ -245,7 +248,7 @@ def sort_columns(texts: list[bytes], anchors: np.ndarray, group: np.ndarray, len
     n = len(texts)
     sizes = np.array([len(t) for t in texts], np.int64)
     left, right = int(anchors.max()), int((sizes - anchors).max())
-    grid = np.full((left + right, n), 256, np.int64)  # 256: no symbol
+    grid = np.full((left + right, n), 256, np.int16)  # 256: no symbol
     flat = np.frombuffer(b"".join(texts), np.uint8)
     at = np.repeat(left - anchors - (np.cumsum(sizes) - sizes), sizes) + np.arange(len(flat))
     grid[at, np.repeat(np.arange(n), sizes)] = flat
@@ -274,6 +277,25 @@ def sort_columns(texts: list[bytes], anchors: np.ndarray, group: np.ndarray, len
         yield c - left + anchors, shared
 
 
+def _windows_of(rows: list, length: int) -> np.ndarray:
+    """Digests of the windows of strings, with the place of each."""
+    out = [(hashlib.blake2b(text[o : o + length], digest_size=16).digest(), rid, start + o) for _, rid, start, _, text, lo, hi in rows for o in range(lo, hi)]
+    return np.array(out, np.dtype([("d", "S16"), ("rid", "<i8"), ("start", "<i8")]))
+
+
+def _same_windows(parts: list[np.ndarray]):
+    """Spans of windows whose digest occurs twice."""
+    import pyarrow as pa
+
+    w = np.concatenate(parts)
+    _, which, times = np.unique(w["d"], return_inverse=True, return_counts=True)
+    w = w[times[which] > 1]
+    s = np.zeros(len(w), SEGMENT)
+    s["rid"], s["start"], s["nwin"] = w["rid"], w["start"], 1
+    rids, blobs = _spans_by_row(s)
+    return pa.RecordBatch.from_arrays([pa.array(rids, pa.int64()), pa.array(blobs, pa.binary())], names=["rid", "blob"])
+
+
 def _sort(length: int):
     def run(batches):
         import pyarrow as pa
@@ -301,13 +323,32 @@ def _sort(length: int):
             return pa.RecordBatch.from_arrays([pa.array(rids, pa.int64()), pa.array(blobs, pa.binary())], names=["rid", "blob"])
 
         held: list = []
+        large: list = []  # windows of a group that is too large to be sorted at once
         for b in batches:
             for row in zip(*(b.column(c).to_pylist() for c in ("g", "rid", "start", "anchor", "content", "lo", "hi")), strict=True):
-                if len(held) >= COLLECTION and row[0] != held[-1][0]:
-                    yield spans(held)
-                    held = []
+                if held and len(held) >= COLLECTION:
+                    name = held[-1][0]
+                    if row[0] != name and not large:
+                        yield spans(held)
+                        held = []
+                    elif held[0][0] == name or row[0] == name:
+                        before = [r for r in held if r[0] != name]
+                        if before:
+                            yield spans(before)
+                        large.append(_windows_of([r for r in held if r[0] == name], length))
+                        held = []
+                        if row[0] != name:
+                            yield _same_windows(large)
+                            large = []
+                elif large and row[0] != last:
+                    large.append(_windows_of(held, length))
+                    yield _same_windows(large)
+                    held, large = [], []
+                last = row[0]
                 held.append(row)
-        if held:
+        if large:
+            yield _same_windows([*large, _windows_of(held, length)])
+        elif held:
             yield spans(held)
 
     return run

@@ -169,6 +169,24 @@ def test_plan_holds_every_length(kind):
         assert sum(n for _, n in chosen) <= 1.01 * -(-int(lengths.sum()) // 1024) + 1
 
 
+def test_fitted_plan_beats_plain_best_fit(spark, sf_dir):
+    """The plan is made of fitted patterns and a residual, and needs no more sequences than best fit alone."""
+    e = packing.encoder(packing.default_tokenizer())
+    hist = np.zeros(packing.SIZE + 1, np.int64)
+    for r in spark.read.parquet(f"{sf_dir}/documents.parquet").select("text").collect():
+        n = len(e(r["text"] or "")) + 1
+        hist[packing.SIZE] += n // packing.SIZE
+        hist[n % packing.SIZE] += n % packing.SIZE > 0
+    made = packing.plan(hist)
+    rest = hist.copy()
+    rest[packing.SIZE] = 0
+    plain = packing.best_fit(rest, packing.SIZE)
+    assert sum(n for _, n in made) <= sum(n for _, n in plain) + hist[packing.SIZE]
+    p = packing.patterns(np.flatnonzero(rest), packing.SIZE)
+    least = packing.round_counts(p, packing.fit_counts(p, rest), rest, min(packing.SHARES))[0]
+    assert sum(n for parts, n in made if sum(parts) == packing.SIZE) >= sum(n for _, n in least) > 0
+
+
 def test_encoder_agrees_with_the_tokenizers_library():
     e = packing.encoder(packing.default_tokenizer())
     r = np.random.default_rng(0)
@@ -177,6 +195,12 @@ def test_encoder_agrees_with_the_tokenizers_library():
         assert e(t) == e._slow(t)
 
 
+def test_encoder_agrees_on_whole_documents(spark, sf_dir):
+    e = packing.encoder(packing.default_tokenizer())
+    for r in spark.read.parquet(f"{sf_dir}/documents.parquet").select("text").collect():
+        assert e(r["text"] or "") == e._slow(r["text"] or "")
+
+
 # ---- decontamination
 
 
@@ -557,3 +581,142 @@ def test_passages_do_not_depend_on_blocks(monkeypatch):
     monkeypatch.setattr(quality, "BLOCK", 100)
     y, e = quality.encode_passages(data, off)
     assert (d == e).all() and np.allclose(x, y) and np.bincount(d, minlength=4).tolist() == [8, 0, 1, 2]
+
+
+# ---- further cases
+
+
+def test_broadcast_and_shuffled_windows_agree(spark):
+    """A benchmark of more windows than literals, probed by broadcast hashes and by shuffled ones."""
+    rows = [(i, prose(80, 50 + i)) for i in range(30)] + [(30, PASSAGE), (31, None)]
+    items = [(f"b{i}", prose(40, 5000 + i)) for i in range(60)] + [("hit", PASSAGE), ("part", " ".join(prose(80, 55).split()[20:40]))]
+    docs, bench = spark.createDataFrame(rows, SCHEMA), spark.createDataFrame(items, "item_id string, text string")
+    want = brute_contamination(rows, items)
+    for broadcast in (10**6, 0):
+        got = dc.contamination(docs, bench, max_literals=5, broadcast=broadcast)
+        assert Counter(map(tuple, got.select("doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated").collect())) == want
+
+
+def test_names_of_own_columns_may_occur(spark):
+    """Input columns named like internal ones are passed through or ignored."""
+    rows = [(1, "one two three four five six"), (2, "One two three four five six"), (3, PASSAGE)]
+    df = spark.createDataFrame(rows, SCHEMA)
+    for c in (RID, "__words", "__hits", "__found", "__number", "__all", "__kept", "__place", "row", "digest", "shard", "comp"):
+        df = df.withColumn(c, F.lit(0))
+    assert ed.exact_dedup(df).count() == 3 and ngram_join.jaccard_components(df).count() == 3
+    assert {r["group_size"] for r in ed.exact_dedup(df).collect()} == {1, 2}
+    assert sharding.extendible_shards(df).count() == suffix_dedup.remove_repeats(df).count() == 3
+    b = spark.createDataFrame([("q", PASSAGE)], "item_id string, text string")
+    for literals in (0, 1000):
+        for mode, n in (("document", 2), ("span", 3)):
+            left = dc.decontaminate(df, b, mode=mode, max_literals=literals)
+            assert left.columns == df.columns and left.count() == n
+
+
+def test_exact_dedup_of_text_ids(spark):
+    df = spark.createDataFrame([("b", "X"), ("a", "x"), ("c", "y"), (None, "x")], "doc_id string, text string")
+    for keep, first in (("largest", "b"), ("smallest", "a")):
+        got = {(r["doc_id"], r["keep_id"], r["group_size"], r["kept"]) for r in ed.exact_dedup(df, keep=keep).collect()}
+        assert got == {("a", first, 3, first == "a"), ("b", first, 3, first == "b"), (None, first, 3, False), ("c", "c", 1, True)}
+
+
+def test_write_shards_keeps_every_row(spark, tmp_path):
+    df = spark.createDataFrame([(1, "a" * 50), (1, "b" * 50), (None, "c" * 50)], SCHEMA).withColumn("shard", F.lit("own"))
+    sharding.write_shards(df, str(tmp_path / "out"), limit=60)
+    back = spark.read.parquet(str(tmp_path / "out"))
+    assert Counter((r["doc_id"], r["text"], r["shard"]) for r in back.collect()) == Counter((r["doc_id"], r["text"], "own") for r in df.collect())
+
+
+def test_training_rows_are_bounded_where_ids_repeat(spark):
+    """Rows that share a labelled id: at most max_rows distinct texts are learnt from."""
+    df = spark.range(3000).select(F.lit(1).cast("long").alias("doc_id"), F.concat(F.lit("some text number "), F.col("id") % 500).alias("text"), F.when(F.col("id") % 2 == 0, "en").otherwise("de").alias("lang"))
+    labels = spark.createDataFrame([(1, 1)], "doc_id long, quality int")
+    seen = []
+    keep, quality.GatedAttention.fit = quality.GatedAttention.fit, lambda self, x, doc, y, **k: seen.append(len(y)) or self
+    fit, langid.fit = langid.fit, lambda data, **k: seen.append(len(data))
+    try:
+        quality.train_quality_model(df, labels, max_rows=40)
+        langid.train_language_model(df, max_rows=30)
+    finally:
+        quality.GatedAttention.fit, langid.fit = keep, fit
+    assert seen == [40, 30]
+
+
+@pytest.mark.parametrize("limits", [(5000, 20_000), (50, 60), (50, 7)])
+def test_one_line_in_many_different_texts(spark, monkeypatch, limits):
+    """Texts that share a line shorter than the length remove nothing; a longer line goes from all of them."""
+    monkeypatch.setattr(suffix_dedup, "SPLIT", limits[0])
+    monkeypatch.setattr(suffix_dedup, "COLLECTION", limits[1])
+    r = np.random.default_rng(9)
+    letters = np.array(list("abcdefghijklmnopqrstuvwxyz "))
+    own = lambda n: "".join(letters[r.integers(0, 27, n)])
+    short, line = own(150), own(230)
+    rows = [(i, own(300) + short + own(300)) for i in range(200)] + [(1000 + i, own(200) + line + own(250)) for i in range(100)]
+    docs = spark.createDataFrame(rows, SCHEMA).repartition(4)
+    got = {x["doc_id"]: (x["n_removed"], x["n_spans"]) for x in suffix_dedup.remove_repeats(docs).collect()}
+    for i, t in rows:
+        if i < 1000:
+            assert got[i] == (0, 0)
+        else:
+            at = t.index(line)
+            a, b = got[i]
+            assert b == 1 and 230 <= a <= 236, (at, a)
+
+
+PLAIN = "<p>" + "This paragraph is long, has commas, and is the text of the page. " * 4 + "</p>"
+
+
+@pytest.mark.parametrize("wrap", [
+    '<div class="content no-sidebar">%s</div>', '<div class="with-comments hasSidebar">%s</div>', '<div data-hidden="false" data-id="related-12">%s</div>', "<div data-class='ad'>%s</div>", '<article><div class="menu-item-description">%s</div></article>',
+    '<div class="page sidebar-right"><div id="main">%s</div></div>', '<div class="cookie-recipe">%s</div>', '<article class="post related">%s</article>', "<div class=content><div class='without-ads'>%s</div></div>",
+])
+def test_layout_names_do_not_hide_the_article(wrap):
+    for around in ("%s", '<div class="main-nav"><a href="/">Home</a></div>%s<div id="site-footer"><p>Imprint, all rights reserved.</p></div><div class="related-posts"><p>Other page, read it.</p></div>'):
+        assert he.main_text("<html><body>" + around % (wrap % (PLAIN + PLAIN)) + "</body></html>") == "\n".join([he.main_text(PLAIN)] * 2)
+
+
+def test_inline_furniture_and_comments_go():
+    text = he.main_text(PLAIN)
+    page = f'<article>{PLAIN}<p>Go on, <a class="share" href="x">Share <b>this</b></a>and <span class="ad">an <span>inner</span> advert</span>end, at last.</p></article>'
+    assert he.main_text(page) == text + "\nGo on, and end, at last."
+    many = "".join(f"<p>Reader {i} says, in many words, that all of it is very good.</p>" for i in range(40))
+    assert he.main_text(f'<div id="main">{PLAIN}{PLAIN}</div><div class="comment-list">{many}</div>') == text + "\n" + text
+
+
+def test_trees_give_the_pairs_of_the_join(monkeypatch):
+    """At small sizes too, pairs come out of searches of an R-tree, and every link is among them."""
+    search, got = ngram_join.CountRTree.search_all, []
+    rows = near_copies(11, 6, 8)
+    t = Fraction(3, 4)
+
+    def counted(self, *args):
+        out = search(self, *args)
+        got.append(len(out[0]))
+        return out
+
+    monkeypatch.setattr(ngram_join.CountRTree, "search_all", counted)
+    from codetrees.llm.textbytes import shingles
+
+    sets = [shingles(np.frombuffer(x.encode(), np.uint8)) for _, x in rows]
+    v = [ngram_join.count_vector(s) for s in sets]
+    n = len(rows)
+    yes = np.ones(n, bool)
+    b = ngram_join.Blocks([np.arange(n), np.arange(n), np.array([len(s) for s in sets]), np.stack([x[0] for x in v]), np.array([x[1] for x in v]), yes, yes, ~yes], np.zeros(n, np.int64), t)
+    covers, still = b.covers()
+    assert got and len(covers[0]) < n  # at most one pair a node
+    pairs = {(int(i), int(j)) for i, j, _ in b.crossing(False).T}
+    want = {(i, j) for i in range(n) for j in range(i + 1, n) if (o := ngram_join.overlap(sets[i], sets[j])) >= ngram_join.needed_overlap(len(sets[i]), len(sets[j]), t) and o}
+    assert want <= pairs
+    told = {(int(i), int(j)) for i, j, _ in covers.T}
+    told |= {(j, i) for i, j in told}
+    assert all(still[i] and still[j] for i, j in pairs - told)  # what covers leave open is open
+
+
+@pytest.mark.parametrize("n", [1, 2047, 2048, 2730, 2731, 8191, 8192, 20_000, 100_000])
+def test_linked_sizes_share_a_class(n):
+    t = Fraction(3, 4)
+    s = np.sort(rng.integers(0, 1 << 63, n).astype(np.uint64))
+    own = {p["cls"] for p in ngram_join.points_of(s, t)}
+    for m in {-(-3 * n // 4), n, min(n + n // 3, 4 * n // 3)}:
+        other = {ngram_join.size_class(max(m, 1)), ngram_join.size_class(-(-3 * max(m, 1) // 4))}
+        assert own & other
