@@ -8,9 +8,10 @@ null or repeated, so nulls, repeated rows and extra columns pass through every s
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from codetrees.llm import decontaminate, exact_dedup, ngram_join, packing, quality
-from codetrees.llm.common import RID, keyed, written
+from codetrees.llm.common import RID, dropped, fresh, keyed, written
 
 ORACLE_SQL = None  # neither a trained classifier nor packing can be expressed in SQL; see tests/llm/test_pipeline.py
 
@@ -22,22 +23,26 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
     return quality.keep_quality(docs, model)
 
 
-def _numbered(docs: DataFrame) -> DataFrame:
-    return keyed(docs, "doc_id", docs.columns)
+def _numbered(docs: DataFrame) -> tuple[DataFrame, str]:
+    """docs with a row number, under a name that it lacks."""
+    row = fresh("row", docs)
+    hidden = docs.toDF(*(f"c{i}" for i in range(len(docs.columns))))
+    out = keyed(hidden, f"c{docs.columns.index('doc_id')}", hidden.columns)
+    return out.toDF(*(row if c == RID else docs.columns[int(c[1:])] for c in out.columns)), row
 
 
 def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of documents with equal text (A-Z lower-cased) the one with the largest doc_id."""
-    rows = _numbered(docs)
-    kept = exact_dedup.exact_dedup(rows, keep="largest").where("kept").select(RID)
-    return rows.join(kept, RID, "left_semi").select(*docs.columns)
+    rows, row = _numbered(docs)
+    kept = exact_dedup.exact_dedup(rows, keep="largest", row_col=row).where("kept").select(F.col(RID).alias(row))
+    return rows.join(kept, row, "left_semi").select(*docs.columns)
 
 
 def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of documents connected by links of Jaccard at least 0.75 the one with the least doc_id."""
-    rows = _numbered(docs)
-    kept = ngram_join.jaccard_components(rows).where("representative").select(RID)
-    return rows.join(kept, RID, "left_semi").select(*docs.columns)
+    rows, row = _numbered(docs)
+    kept = ngram_join.jaccard_components(rows, row_col=row).where("representative").select(F.col(RID).alias(row))
+    return rows.join(kept, row, "left_semi").select(*docs.columns)
 
 
 def benchmark_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -63,5 +68,6 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over documents, each written and read again."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for name, stage in STAGES[:-1]:
-        docs = written(stage(spark, docs, sf_dir), name.replace(" ", "-"))
+        before, docs = docs, written(stage(spark, docs, sf_dir), name.replace(" ", "-"))
+        dropped(before)
     return STAGES[-1][1](spark, docs, sf_dir)
