@@ -8,6 +8,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from codetrees.operators.relational import contains_join, join_small
 from codetrees.plans.counts import LocalCounts, _columns
 from codetrees.plans.model import items_of
 
@@ -133,8 +134,8 @@ def family_table(spark: SparkSession, family: dict[int, int]) -> DataFrame:
 
 
 def itemset_supports(ct: DataFrame, sets: DataFrame) -> DataFrame:
-    """Support of each mask of `sets` over compact rows: a containment join with the (small) sets broadcast."""
-    hit = ct.join(F.broadcast(sets.select("mask").distinct()), F.expr("m & mask = mask"))
+    """Support of each mask of `sets` over compact rows: a containment join."""
+    hit = contains_join(ct, sets.select("mask").distinct())
     found = hit.groupBy("mask").agg(F.sum("n").alias("supp"))
     return sets.select("mask").distinct().join(found, "mask", "left").select("mask", F.coalesce("supp", F.lit(0).cast("long")).alias("supp"))
 
@@ -166,6 +167,13 @@ def is_downward_closed(family: DataFrame) -> bool:
     return closure_violations(family).isEmpty()
 
 
+def maximal_sets(family: DataFrame) -> DataFrame:
+    """The sets of a family that lie in no larger set of it (each of at most 20 items)."""
+    f = family.select("mask")
+    below = f.select("mask", F.explode(subset_masks(F.col("mask"))).alias("part")).where("part <> mask").select(F.col("part").alias("mask")).distinct()
+    return f.join(below, "mask", "left_anti")
+
+
 def close_downward(family: DataFrame) -> DataFrame:
     """All non-empty parts of a family's itemsets (each of at most 20 items)."""
     return family.select(F.explode(subset_masks(F.col("mask"))).alias("mask")).where("mask <> 0").distinct()
@@ -190,7 +198,8 @@ def leaf_counts_from_supports(leaves: DataFrame, supports: DataFrame) -> DataFra
     sign = F.expr("if(bit_count(v) % 2 = 0, 1, -1)")
     plain = F.expr("pos | v")
     probe = v.select("target", "pos", "neg", sign.alias("sign"), F.explode(F.array(F.struct(plain.alias("mask"), F.lit(0).alias("with_t")), F.struct(plain.bitwiseOR(F.expr("shiftleft(1L, target)")).alias("mask"), F.lit(1).alias("with_t")))).alias("q"))
-    hit = probe.select("target", "pos", "neg", "sign", "q.mask", "q.with_t").join(F.broadcast(supports), "mask")
+    hit = probe.select("target", "pos", "neg", "sign", "q.mask", "q.with_t")
+    hit = join_small(hit, supports, "mask")
     part = lambda w: F.sum(F.when(F.col("with_t") == w, F.col("sign") * F.col("supp")).otherwise(0)).cast("long")
     return hit.groupBy("target", "pos", "neg").agg(part(0).alias("n"), part(1).alias("n1"))
 

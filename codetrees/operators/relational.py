@@ -72,13 +72,22 @@ def join_large(a: DataFrame, b: DataFrame, on, hint: str = "merge") -> DataFrame
     return a.join(b.hint(hint), on)
 
 
-def contains_join(rows: DataFrame, sets: DataFrame) -> DataFrame:
-    """Rows (m) with every set (mask) inside them; sets are few and broadcast."""
-    return rows.join(F.broadcast(sets), F.expr("m & mask = mask"))
+def contains_join(rows: DataFrame, sets: DataFrame, limit: int = 10_000) -> DataFrame:
+    """Rows (m) with every set (mask) inside them. At most `limit` sets (counted) are broadcast; more are joined by their
+    lowest item with the rows' items, the empty set by an item that all rows have."""
+    inside = F.expr("m & mask = mask")
+    if sets.limit(limit + 1).count() <= limit:
+        return rows.join(F.broadcast(sets), inside)
+    item = next(n for n in ("item", "item_", "item__") if n not in rows.columns + sets.columns)
+    items = F.concat(F.array(F.lit(-1)), F.expr("filter(sequence(0, 62), i -> (shiftright(m, i) & 1) = 1)"))
+    lowest = F.when(F.col("mask") == 0, F.lit(-1)).otherwise(F.expr("bit_count((mask & -mask) - 1)"))
+    return rows.withColumn(item, F.explode(items)).join(sets.withColumn(item, lowest), item).where(inside).drop(item)
 
 
 def bin_join(df: DataFrame, bins: DataFrame, value: str) -> DataFrame:
-    """Range join with a few bins (lo <= value < hi)."""
+    """Range join with a few bins (lo <= value < hi), which are counted before they are broadcast."""
+    if bins.limit(BROADCAST_ROWS + 1).count() > BROADCAST_ROWS:
+        raise ValueError(f"more than {BROADCAST_ROWS} bins")
     return df.join(F.broadcast(bins), (F.col(value) >= F.col("lo")) & (F.col(value) < F.col("hi")))
 
 

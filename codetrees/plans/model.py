@@ -160,6 +160,11 @@ class Model:
             out |= itemsets_of_tree(t, tree, max_neg)
         return out if include_empty else out - {0}
 
+    def count_itemsets(self, include_empty: bool = False) -> int:
+        """Number of induced itemsets, without listing them: leaves of any number of tests."""
+        spans = {(p, p | n | 1 << t) for t, tree in enumerate(self.trees) for p, n in ((mask_of(a), mask_of(b)) for a, b in leaves(tree))}
+        return count_between(spans) - (not include_empty and any(low == 0 for low, _ in spans))
+
     def to_json(self) -> str:
         return json.dumps({"names": self.names, "total": self.total, "trees": self.trees, "criterion": self.criterion, "counts": [[*k, *v] for k, v in self.counts.items()], "trace": self.trace})
 
@@ -244,6 +249,39 @@ def itemsets_of_leaf(target: int, pos: int, neg: int, max_neg: int = 22) -> set[
         sub = (sub - 1) & neg
 
 
+def count_between(spans: set[tuple[int, int]]) -> int:
+    """Number of sets that lie between low and high (as masks, both included) of any span. Items that split the spans are
+    decided one by one; items that no span asks for double the count."""
+    known: dict[frozenset, int] = {}
+
+    def count(some: frozenset) -> int:
+        if not some:
+            return 0
+        if len(some) == 1:
+            ((low, high),) = some
+            return 1 << (high & ~low).bit_count()
+        if some in known:
+            return known[some]
+        lows = highs = 0
+        fixed, free = -1, -1
+        for low, high in some:
+            lows, highs, fixed, free = lows | low, highs | high, fixed & low, free & high
+        free &= ~lows
+        if (0, highs) in some:
+            out = 1 << highs.bit_count()
+        elif free or fixed:
+            drop = ~(free | fixed)
+            out = count(frozenset((low & drop, high & drop) for low, high in some)) << free.bit_count()
+        else:
+            item = 1 << highs.bit_length() - 1
+            out = count(frozenset((low & ~item, high & ~item) for low, high in some if high & item))
+            out += count(frozenset((low, high & ~item) for low, high in some if not low & item))
+        known[some] = out
+        return out
+
+    return count(frozenset(spans))
+
+
 def itemsets_of_tree(target: int, tree, max_neg: int = 22) -> set[int]:
     out: set[int] = set()
     for pos, neg in leaves(tree):

@@ -8,7 +8,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 
 from codetrees.functions import codelen
-from codetrees.plans.model import LEAF, Closure, Model, itemsets_of_leaf, itemsets_of_tree, join_trees, leaves, mask_of, split_leaf, sources_of, topological_order
+from codetrees.plans.model import LEAF, Closure, Model, count_between, itemsets_of_leaf, itemsets_of_tree, join_trees, leaves, mask_of, split_leaf, sources_of, topological_order
 
 
 def by_definition(m):
@@ -114,3 +114,24 @@ def test_json_round_trip():
     back = Model.from_json(m.to_json())
     assert back.trees == m.trees and back.counts == m.counts and back.cost() == m.cost()
     assert np.isfinite(m.cost()) and m.signatures() == [["c", "a", "b"]] and m.packed_by("a") == ["c"] and "a?" in m.explain(2)
+
+
+@pytest.mark.parametrize("seed", range(30))
+def test_itemsets_are_counted_without_listing(seed):
+    r = np.random.default_rng(seed)
+    k = int(r.integers(1, 9))
+    spans = set()
+    for _ in range(int(r.integers(0, 12))):
+        a, b = (int(x) for x in r.integers(0, 1 << k, 2))
+        spans.add((a & b, a | b))
+    assert count_between(spans) == sum(any(low & ~m == 0 and m & ~high == 0 for low, high in spans) for m in range(1 << k))
+
+
+def test_leaves_of_many_negative_tests_are_counted():
+    tree = LEAF
+    for i in range(1, 60):
+        tree = ("test", i, LEAF, tree)
+    m = Model([f"i{i}" for i in range(60)], 10, [tree] + [LEAF] * 59, {})
+    assert m.count_itemsets(True) == 1 << 60 and m.count_itemsets() == (1 << 60) - 1
+    small = Model([f"i{i}" for i in range(12)], 10, [ON_A_THEN_B] + [LEAF] * 11, {})
+    assert small.count_itemsets() == len(small.itemsets()) and small.count_itemsets(True) == len(small.itemsets(True))

@@ -71,3 +71,22 @@ def test_low_entropy_sets_by_spark_are_the_local_ones(spark, sf_dir):
     ct = w.compact(spark, sf_dir)
     a, b = (it.mine_low_entropy(counts_of(ct, w.k, local_cells=n), w.k, 2.0, 3) for n in (10**6, 0))
     assert len(a) > w.k and a == pytest.approx(b)
+
+
+def test_containment_join_without_broadcast(spark):
+    """Many sets are joined by their lowest items, with the results of the broadcast join."""
+    from codetrees.operators.relational import contains_join
+
+    rows = spark.createDataFrame([(i, (i * 37) % 128) for i in range(60)] + [(99, (1 << 62) | 5)], "key long, m long")
+    sets = spark.createDataFrame([(m,) for m in (0, 1, 2, 3, 5, 64, 65, 96, 1 << 62, (1 << 62) | 4)], "mask long")
+    few, many = (sorted(map(tuple, contains_join(rows, sets, limit).select("key", "m", "mask").collect())) for limit in (100, 0))
+    assert few == many and any(mask == 0 for _, _, mask in many)
+
+
+def test_maximal_sets_close_to_the_family(spark):
+    from codetrees.operators import itemsets as it
+
+    family = spark.createDataFrame([(m,) for m in (1, 2, 4, 8, 3, 5, 6, 7)], "mask long")
+    top = it.maximal_sets(family)
+    assert {r["mask"] for r in top.collect()} == {7, 8}
+    assert {r["mask"] for r in it.close_downward(top).collect()} == {r["mask"] for r in family.collect()}
