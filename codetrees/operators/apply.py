@@ -1,4 +1,7 @@
-"""Applying models to rows: routing to leaves, code lengths, lossless residuals, classification by code length."""
+"""Applying models to rows: routing to leaves, code lengths, lossless residuals, classification by code length.
+
+Rows carry their items in `m`, a mask of at most 63 items, or in `w`, an array of such masks for any number of items.
+"""
 
 from __future__ import annotations
 
@@ -8,7 +11,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from codetrees.plans.counts import bit_matrix, counts_of
+from codetrees.plans.counts import bit_matrix, counts_of, words_of
 from codetrees.plans.greedy import grow_model
 from codetrees.plans.model import LEAF, Model, mask_of
 
@@ -22,38 +25,48 @@ def symbol_bits(n: int, nv: int, smoothing: str = "kt") -> float:
     return -math.log2(p) if p > 0 else math.inf
 
 
-def _case(tree, leaf, pos=frozenset(), neg=frozenset()) -> str:
-    """Nested CASE over the bits of m; leaf(pos, neg) gives the SQL of a leaf."""
+def items_column(df: DataFrame) -> str:
+    """The column that holds the items: m, or w where there is no m."""
+    return "m" if "m" in df.columns else "w"
+
+
+def has_item(i: int, column: str = "m") -> str:
+    """SQL test for an item."""
+    return f"m & {1 << i} <> 0" if column == "m" else f"w[{i // 63}] & {1 << i % 63} <> 0"
+
+
+def _case(tree, leaf, column: str = "m", pos=frozenset(), neg=frozenset()) -> str:
+    """Nested CASE over the items; leaf(pos, neg) gives the SQL of a leaf."""
     if tree == LEAF:
         return leaf(mask_of(pos), mask_of(neg))
     _, a, p, q = tree
-    return f"CASE WHEN m & {1 << a} <> 0 THEN {_case(p, leaf, pos | {a}, neg)} ELSE {_case(q, leaf, pos, neg | {a})} END"
+    return f"CASE WHEN {has_item(a, column)} THEN {_case(p, leaf, column, pos | {a}, neg)} ELSE {_case(q, leaf, column, pos, neg | {a})} END"
 
 
 def _number(x: float) -> str:
     return "cast('Infinity' AS double)" if math.isinf(x) else f"{x!r}D"
 
 
-def leaf_of_expr(model: Model, target: int) -> Column:
+def leaf_of_expr(model: Model, target: int, column: str = "m") -> Column:
     """Number of the leaf (in path order, positive first) that a row reaches in the target's tree."""
     place = {}
 
     def leaf(pos, neg):
         return str(place.setdefault((pos, neg), len(place)))
 
-    return F.expr(_case(model.trees[target], leaf)).cast("int")
+    return F.expr(_case(model.trees[target], leaf, column)).cast("int")
 
 
-def code_length_expr(model: Model, smoothing: str = "kt") -> Column:
+def code_length_expr(model: Model, smoothing: str = "kt", column: str = "m") -> Column:
     """Bits of a row under the model: one projection of nested CASEs, no shuffle."""
     parts = []
     for t, tree in enumerate(model.trees):
 
         def leaf(pos, neg, t=t):
             n, n1 = model.counts[t, pos, neg]
-            return f"CASE WHEN m & {1 << t} <> 0 THEN {_number(symbol_bits(n, n1, smoothing))} ELSE {_number(symbol_bits(n, n - n1, smoothing))} END"
+            return f"CASE WHEN {has_item(t, column)} THEN {_number(symbol_bits(n, n1, smoothing))} ELSE {_number(symbol_bits(n, n - n1, smoothing))} END"
 
-        parts.append(_case(tree, leaf))
+        parts.append(_case(tree, leaf, column))
     return F.expr(" + ".join(f"({p})" for p in parts))
 
 
@@ -79,6 +92,16 @@ class RowScorer:
                 out[at] += np.where(x[at, t], one, zero)
         return out
 
+    def tally(self, x: np.ndarray, n: np.ndarray) -> np.ndarray:
+        """(target, leaf, n, n1) of the leaves that weighted rows reach, leaves numbered in path order."""
+        out = []
+        for t, rows in enumerate(self.leaves):
+            for leaf, (pos, neg, *_) in enumerate(rows):
+                at = x[:, pos].all(1) & ~x[:, neg].any(1)
+                if at.any():
+                    out.append((t, leaf, n[at].sum(), n[at & x[:, t]].sum()))
+        return np.array(out, np.int64).reshape(-1, 4)
+
     def guess(self, x: np.ndarray, t: int) -> np.ndarray:
         """Majority value of the target at each row's leaf."""
         out = np.zeros(len(x), bool)
@@ -98,15 +121,16 @@ class RowScorer:
 
 def code_length(packed: DataFrame, model: Model, smoothing: str = "kt", most_leaves: int = 200) -> DataFrame:
     """packed plus `bits`. Small models compile to CASEs; larger ones run in numpy on Arrow batches."""
+    at = items_column(packed)
     if sum(1 for _ in model.leaf_rows()) <= most_leaves:
-        return packed.withColumn("bits", code_length_expr(model, smoothing))
+        return packed.withColumn("bits", code_length_expr(model, smoothing, at))
     scorer = RowScorer(model, smoothing)
 
     def run(batches):
         import pyarrow as pa
 
         for b in batches:
-            x = bit_matrix(b.column("m").to_numpy().view(np.uint64).reshape(-1, 1), scorer.k).astype(bool)
+            x = bit_matrix(words_of(b.column(at)), scorer.k).astype(bool)
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(scorer.bits(x))], names=[*b.schema.names, "bits"])
 
     return packed.mapInArrow(run, ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in packed.schema) + ", bits double")
@@ -114,13 +138,27 @@ def code_length(packed: DataFrame, model: Model, smoothing: str = "kt", most_lea
 
 def route(packed: DataFrame, model: Model) -> DataFrame:
     """(key, target, leaf): the leaf each row reaches in every tree."""
-    each = F.array(*[F.struct(F.lit(t).alias("target"), leaf_of_expr(model, t).alias("leaf")) for t in range(model.k)])
+    each = F.array(*[F.struct(F.lit(t).alias("target"), leaf_of_expr(model, t, items_column(packed)).alias("leaf")) for t in range(model.k)])
     return packed.select("key", F.explode(each).alias("x")).select("key", "x.target", "x.leaf")
 
 
-def leaf_counts(ct: DataFrame, model: Model) -> DataFrame:
-    """(target, leaf, n, n1) of all leaves by one pass over compact rows."""
-    each = F.array(*[F.struct(F.lit(t).alias("target"), leaf_of_expr(model, t).alias("leaf"), F.expr(f"shiftright(m, {t}) & 1").alias("one")) for t in range(model.k)])
+def leaf_counts(ct: DataFrame, model: Model, most_leaves: int = 100) -> DataFrame:
+    """(target, leaf, n, n1) of all leaves by one pass over distinct rows. Beyond most_leaves, partitions are tallied in
+    numpy, so that no row is multiplied by the number of trees and only a line a leaf and batch is shuffled."""
+    at = items_column(ct)
+    if sum(1 for _ in model.leaf_rows()) > most_leaves:
+        scorer = RowScorer(model)
+
+        def run(batches):
+            import pyarrow as pa
+
+            for b in batches:
+                got = scorer.tally(bit_matrix(words_of(b.column(at)), scorer.k).astype(bool), b.column("n").to_numpy())
+                yield pa.RecordBatch.from_arrays([pa.array(got[:, 0].astype(np.int32)), pa.array(got[:, 1].astype(np.int32)), pa.array(got[:, 2]), pa.array(got[:, 3])], names=["target", "leaf", "n", "n1"])
+
+        got = ct.select(at, "n").mapInArrow(run, "target int, leaf int, n long, n1 long")
+        return got.groupBy("target", "leaf").agg(F.sum("n").alias("n"), F.sum("n1").alias("n1"))
+    each = F.array(*[F.struct(F.lit(t).alias("target"), leaf_of_expr(model, t, at).alias("leaf"), F.expr(f"cast({has_item(t, at)} AS long)").alias("one")) for t in range(model.k)])
     x = ct.select("n", F.explode(each).alias("x"))
     return x.groupBy("x.target", "x.leaf").agg(F.sum("n").alias("n"), F.sum(F.col("n") * F.col("x.one")).alias("n1"))
 
@@ -129,28 +167,33 @@ def _masks(x: np.ndarray) -> np.ndarray:
     return (x.astype(np.int64) << np.arange(x.shape[1])).sum(1)
 
 
-def _mapped(packed: DataFrame, model: Model, name: str, what: str) -> DataFrame:
-    scorer = RowScorer(model)
+def _mapped(packed: DataFrame, model: Model, what: str) -> DataFrame:
+    scorer, at = RowScorer(model), items_column(packed)
 
     def run(batches):
         import pyarrow as pa
 
         for b in batches:
-            x = bit_matrix(b.column("m").to_numpy().view(np.uint64).reshape(-1, 1), scorer.k).astype(bool)
+            x = bit_matrix(words_of(b.column(at)), scorer.k).astype(bool)
             out = getattr(scorer, what)(x)
-            yield pa.RecordBatch.from_arrays([b.column("key"), pa.array(_masks(out))], names=["key", "m"])
+            if at == "m":
+                got = pa.array(_masks(out))
+            else:
+                words = np.stack([_masks(out[:, i : i + 63]) for i in range(0, scorer.k, 63)], 1)
+                got = pa.ListArray.from_arrays(pa.array(np.arange(len(out) + 1, dtype=np.int32) * words.shape[1]), pa.array(words.ravel()))
+            yield pa.RecordBatch.from_arrays([b.column("key"), got], names=["key", at])
 
-    return packed.select("key", "m").mapInArrow(run, f"key {packed.schema['key'].dataType.simpleString()}, m long")
+    return packed.select("key", at).mapInArrow(run, f"key {packed.schema['key'].dataType.simpleString()}, {at} {'long' if at == 'm' else 'array<long>'}")
 
 
 def to_residuals(packed: DataFrame, model: Model) -> DataFrame:
     """Rows as differences from each leaf's majority."""
-    return _mapped(packed, model, "m", "residuals")
+    return _mapped(packed, model, "residuals")
 
 
 def from_residuals(residuals: DataFrame, model: Model) -> DataFrame:
     """Rows restored in sending order: each tree tests only what is restored already."""
-    return _mapped(residuals, model, "m", "restore")
+    return _mapped(residuals, model, "restore")
 
 
 # ---- classification
@@ -162,23 +205,24 @@ def split_bucket(key: Column) -> Column:
 
 
 def fit_class_models(train: DataFrame, names: list[str], criterion: str = "refined", fit=None) -> dict:
-    """train: (label, m) -> {label: model}. One aggregation serves all classes."""
-    ct = train.groupBy("label", "m").agg(F.count("*").alias("n"))
+    """train: (label, m) or (label, w) -> {label: model}. One aggregation serves all classes."""
+    at = items_column(train)
+    ct = train.groupBy("label", at).agg(F.count("*").alias("n"))
     ct = ct.cache()
     try:
         labels = sorted(r[0] for r in ct.select("label").distinct().collect())
         fit = fit or (lambda counts: grow_model(counts, names, criterion))
-        return {c: fit(counts_of(ct.where(F.col("label") == c).select("m", "n"), len(names))) for c in labels}
+        return {c: fit(counts_of(ct.where(F.col("label") == c).select(at, "n"), len(names))) for c in labels}
     finally:
         ct.unpersist()
 
 
 def classify_by_code_length(rows: DataFrame, models: dict, smoothing: str = "kt", prior: bool = False) -> DataFrame:
-    """rows (with m) plus `pred`: the label whose model needs fewest bits; ties go to the least label."""
+    """rows (with m or w) plus `pred`: the label whose model needs fewest bits; ties go to the least label."""
     total = sum(m.total for m in models.values())
     out, cols = rows, []
     for i, (label, model) in enumerate(sorted(models.items())):
-        out = code_length(out, model, smoothing).withColumnRenamed("bits", f"__b{i}")
+        out = code_length(out, model, smoothing, 200 // len(models)).withColumnRenamed("bits", f"__b{i}")  # one stage scores all
         extra = -math.log2(model.total / total) if prior else 0.0
         cols.append(F.struct((F.col(f"__b{i}") + F.lit(extra)).alias("bits"), F.lit(i).alias("i"), F.lit(label).alias("label")))
     out = out.withColumn("pred", F.array_min(F.array(*cols))["label"])

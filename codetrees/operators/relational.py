@@ -73,14 +73,19 @@ def join_large(a: DataFrame, b: DataFrame, on, hint: str = "merge") -> DataFrame
 
 
 def contains_join(rows: DataFrame, sets: DataFrame, limit: int = 10_000) -> DataFrame:
-    """Rows (m) with every set (mask) inside them. At most `limit` sets (counted) are broadcast; more are joined by their
+    """Rows (m, or w for word arrays) with every set (mask, of the same kind) inside them. At most `limit` sets (counted) are broadcast; more are joined by their
     lowest item with the rows' items, the empty set by an item that all rows have."""
-    inside = F.expr("m & mask = mask")
+    wide = "m" not in rows.columns
+    inside = F.expr("forall(zip_with(w, mask, (a, b) -> a & b = b), x -> x)" if wide else "m & mask = mask")
     if sets.limit(limit + 1).count() <= limit:
         return rows.join(F.broadcast(sets), inside)
     item = next(n for n in ("item", "item_", "item__") if n not in rows.columns + sets.columns)
-    items = F.concat(F.array(F.lit(-1)), F.expr("filter(sequence(0, 62), i -> (shiftright(m, i) & 1) = 1)"))
-    lowest = F.when(F.col("mask") == 0, F.lit(-1)).otherwise(F.expr("bit_count((mask & -mask) - 1)"))
+    if wide:
+        bits = "flatten(transform({0}, (x, j) -> transform(filter(sequence(0, 62), i -> (shiftright(x, i) & 1) = 1), i -> 63 * j + i)))"
+        items, lowest = F.concat(F.array(F.lit(-1)), F.expr(bits.format("w"))), F.expr(f"coalesce(get({bits.format('mask')}, 0), -1)")
+    else:
+        items = F.concat(F.array(F.lit(-1)), F.expr("filter(sequence(0, 62), i -> (shiftright(m, i) & 1) = 1)"))
+        lowest = F.when(F.col("mask") == 0, F.lit(-1)).otherwise(F.expr("bit_count((mask & -mask) - 1)"))
     return rows.withColumn(item, F.explode(items)).join(sets.withColumn(item, lowest), item).where(inside).drop(item)
 
 

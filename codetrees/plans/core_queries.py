@@ -488,7 +488,7 @@ def pick_minsup_w8(spark, sf_dir):
 
 
 # Least support in % of the rows, which alone bounds a family; w2 takes all pairs.
-FAMILIES = {"w2": "pairs", "w4": 1.0, "w5": 2.0, "w6": 1.0, "w7": 1.0, "w8": 40.0, "w9": 1.0}
+FAMILIES = {"w2": "pairs", "w3": 1.0, "w4": 1.0, "w5": 2.0, "w6": 1.0, "w7": 1.0, "w8": 40.0, "w9": 1.0, "w10": 5.0}
 
 
 def family_of(c, w, name: str) -> dict[int, int]:
@@ -507,9 +507,9 @@ def select_row(spark, sf_dir, name: str, search: str, **options) -> dict:
     return {"workload": name, "search": search, "candidates": len(family) - 1, "bits": m.cost(), "ratio_pct": 100 * m.cost() / base, "itemsets": kept, "kept_pct": 100.0 * kept / max(1, len(family) - 1), "inside": sel.all_in_family(m, family), "seconds": time.perf_counter() - t}
 
 
-for _name in ("w2", "w7", "w9"):
+for _name in ("w2", "w3", "w4", "w5", "w6", "w7", "w8", "w9", "w10"):
     query(f"select_summary_{_name}")(lambda s, d, n=_name: one_row(s, **select_row(s, d, n, "exhaustive")).drop("seconds"))
-for _name in ("w2", "w4", "w5", "w6", "w7", "w8", "w9"):
+for _name in ("w2", "w3", "w4", "w5", "w6", "w7", "w8", "w9", "w10"):
     query(f"select_greedy_summary_{_name}")(lambda s, d, n=_name: one_row(s, **select_row(s, d, n, "greedy")).drop("seconds"))
 for _c in ("bic", "aic", "crude"):
     query(f"select_criterion_{_c}_w9")(lambda s, d, c=_c: one_row(s, **select_row(s, d, "w9", "greedy", criterion=c)).drop("seconds"))
@@ -641,22 +641,29 @@ def _report(spark, rows: list[dict]) -> DataFrame:
     return spark.createDataFrame([tuple(r.values()) for r in rows], ", ".join(f"{k} {kinds[type(v)]}" for k, v in rows[0].items()))
 
 
-@query("report_greedy")
-def report_greedy(spark, sf_dir):
+def greedy_report(spark, sf_dir, names) -> DataFrame:
     """Growth and cover baseline side by side, one row per workload. The cover's bits count only ones; its candidates are
     all itemsets at the lowest support with at most COVER_SETS of them, cover_minsup."""
     rows = []
-    for n in ("w4", "w5", "w6", "w7", "w8", "w9"):
+    for n in names:
         g, c = grow_row(spark, sf_dir, n), cover_row(spark, sf_dir, n, lambda c, k: it.mine_lowest(c, k, COVER_SETS))
         rows.append({k: v for k, v in g.items() if k not in ("seconds", "scans")} | {"cover_sets": c["itemsets"], "cover_bits": c["bits"], "cover_ratio_pct": c["ratio_pct"], "cover_truncated": c["truncated"], "cover_candidates": c["candidates"], "cover_minsup": c["minsup"]})
     return _report(spark, rows)
 
 
+@query("report_greedy")
+def report_greedy(spark, sf_dir):
+    return greedy_report(spark, sf_dir, ("w4", "w5", "w6", "w7", "w8", "w9"))
+
+
+query("report_greedy_unstructured")(lambda s, d: greedy_report(s, d, ("w3", "w10")))  # items that hardly depend on each other
+
+
 @query("report_selection")
 def report_selection(spark, sf_dir):
     """Both selection searches and the cover baseline over the same candidates."""
     rows = []
-    for n in ("w7", "w9"):
+    for n in ("w3", "w4", "w5", "w6", "w7", "w8", "w9", "w10"):
         e, g, c = select_row(spark, sf_dir, n, "exhaustive"), select_row(spark, sf_dir, n, "greedy"), cover_row(spark, sf_dir, n)
         rows.append({"workload": n, "candidates": e["candidates"], "exhaustive_bits": e["bits"], "exhaustive_pct": e["ratio_pct"], "exhaustive_sets": e["itemsets"], "greedy_bits": g["bits"], "greedy_pct": g["ratio_pct"], "greedy_sets": g["itemsets"], "cover_bits": c["bits"], "cover_sets": c["itemsets"]})
     return _report(spark, rows)

@@ -33,14 +33,19 @@ def masks_to_words(masks: list[int], k: int, word_bits: int = 63) -> np.ndarray:
     return np.array([[m >> (word_bits * w) & full for w in range(width)] for m in masks], np.uint64).reshape(len(masks), width)
 
 
+def words_of(column) -> np.ndarray:
+    """An Arrow column of masks, or of lists of masks, as (rows, words)."""
+    import pyarrow as pa
+
+    if not pa.types.is_list(column.type):
+        return column.to_numpy(zero_copy_only=False).view(np.uint64).reshape(-1, 1)
+    flat = column.flatten().to_numpy(zero_copy_only=False).astype(np.int64).view(np.uint64)
+    return flat.reshape(len(column), -1) if len(column) else flat.reshape(0, 1)
+
+
 def _columns(batch) -> tuple[np.ndarray, np.ndarray]:
     """Masks as (rows, words) and multiplicities of an Arrow batch of (m, n) or (w, n)."""
-    n = batch.column("n").to_numpy()
-    first = batch.column(0)
-    if batch.schema.names[0] == "m":
-        return first.to_numpy().view(np.uint64).reshape(-1, 1), n
-    flat = first.flatten().to_numpy(zero_copy_only=False).astype(np.int64).view(np.uint64)
-    return flat.reshape(len(n), -1) if len(n) else flat.reshape(0, 1), n
+    return words_of(batch.column(0)), batch.column("n").to_numpy()
 
 
 def path_rows(words: np.ndarray, pos: np.ndarray, neg: np.ndarray) -> np.ndarray:

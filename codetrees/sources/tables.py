@@ -14,10 +14,13 @@ _OWN: dict[str, str] = {}
 
 
 def scratch(spark: SparkSession, name: str) -> str:
-    """A new path in the folder that the cluster shares; a temporary folder only where none is set."""
-    base = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None) or _OWN.setdefault("dir", "") or tempfile.mkdtemp(prefix="codetrees-")
-    if not _OWN.get("dir"):
-        _OWN["dir"] = base
+    """A new path in the folder that the cluster shares: spark.checkpoint.dir; where it is unset, a temporary folder if
+    driver and executors are one process, else the warehouse."""
+    base = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
+    if not base and spark.sparkContext.master.split("[")[0] != "local":
+        base = spark.conf.get("spark.sql.warehouse.dir")
+    if not base:
+        base = _OWN["dir"] = _OWN.get("dir") or tempfile.mkdtemp(prefix="codetrees-")
     return f"{base.rstrip('/')}/codetrees-io/{uuid.uuid4().hex}-{name}"
 
 
@@ -131,18 +134,22 @@ def _word(names: list[str]) -> Column:
     return F.aggregate(place, F.lit(0).cast("long"), lambda a, x: a.bitwiseOR(x))
 
 
-def wide_items(spark: SparkSession, sf_dir: str, k: int = 120, word_bits: int = 63) -> tuple[DataFrame, list[str]]:
-    """More items than a mask holds: presence of the k commonest tokens of documents, as word arrays (w, n)."""
+def wide_rows(spark: SparkSession, sf_dir: str, k: int = 120, word_bits: int = 63) -> tuple[DataFrame, list[str]]:
+    """More items than a mask holds: (key, lang, w) with the presence of the k commonest tokens of documents, in
+    alphabetical order, as word arrays. A null text has no token."""
     from codetrees.operators.relational import vocabulary
 
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("text")
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "lang", "text")
     names = sorted(r["token"] for r in vocabulary(docs, "text", k).collect())  # k names
-    words = []
-    found = F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), 0))
-    for at in range(0, len(names), word_bits):
-        words.append(_word(names[at : at + word_bits]))
-    w = docs.select(found.alias("t")).select(F.array(*words).alias("w"))
-    return w.groupBy("w").agg(F.count("*").alias("n")), names
+    found = F.array_distinct(F.regexp_extract_all(F.lower(F.coalesce("text", F.lit(""))), F.lit("[a-z]+"), 0))
+    words = [_word(names[at : at + word_bits]) for at in range(0, len(names), word_bits)]
+    return docs.select(F.col("doc_id").alias("key"), "lang", found.alias("t")).select("key", "lang", F.array(*words).alias("w")), names
+
+
+def wide_items(spark: SparkSession, sf_dir: str, k: int = 120, word_bits: int = 63) -> tuple[DataFrame, list[str]]:
+    """Distinct wide rows with their multiplicities: (w, n)."""
+    rows, names = wide_rows(spark, sf_dir, k, word_bits)
+    return rows.groupBy("w").agg(F.count("*").alias("n")), names
 
 
 def wide_growth(spark: SparkSession, sf_dir: str, max_splits: int | None = None) -> DataFrame:
