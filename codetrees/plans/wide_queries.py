@@ -59,8 +59,8 @@ def w12_cooccurrence(spark, sf_dir):
 
 @query(
     "w12_triple_supports",
-    ", z AS (SELECT a.i AS a, a.i + 1 AS b, (SELECT count(*) FROM v) - 1 AS c FROM v a WHERE a.i + 2 < (SELECT count(*) FROM v)), "
-    "h AS (SELECT z.a, count(*) AS supp FROM z JOIN p x ON x.i = z.a JOIN p y ON y.key = x.key AND y.i = z.b JOIN p w ON w.key = x.key AND w.i = z.c GROUP BY z.a) "
+    ", z AS (SELECT i AS a, i + 1 AS b, (SELECT count(*) FROM v) - 1 AS c FROM v WHERE i + 2 < (SELECT count(*) FROM v)), e AS MATERIALIZED (SELECT key FROM p WHERE i = (SELECT count(*) FROM v) - 1), "
+    "x AS MATERIALIZED (SELECT key, i FROM p SEMI JOIN e USING (key)), h AS (SELECT x.i AS a, count(*) AS supp FROM x JOIN (SELECT key, i - 1 AS i FROM x) y USING (key, i) GROUP BY x.i) "
     "SELECT z.a::INTEGER AS a, z.b::INTEGER AS b, z.c::INTEGER AS c, coalesce(supp, 0) AS supp FROM z LEFT JOIN h USING (a)",
 )
 def w12_triple_supports(spark, sf_dir):
