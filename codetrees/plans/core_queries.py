@@ -191,11 +191,13 @@ def _sets_with_supports(spark, sf_dir, name, model: Model) -> DataFrame:
     return it.itemset_supports(WORKLOADS[name].compact(spark, sf_dir), model.itemsets_table(spark).select("mask"))
 
 
-query("grow_w1", f"WITH {ct('w1')} SELECT (1::BIGINT << i) AS mask, sum(n * {bit('i')})::BIGINT AS supp FROM ct, (SELECT unnest(range(10)) AS i) GROUP BY i")(lambda s, d: _sets_with_supports(s, d, "w1", grown(s, d, "w1")[0]))
-query(
-    "grow_w2",
-    f"WITH {ct('w2')}, s AS (SELECT (1::BIGINT << i) AS mask FROM (SELECT unnest(range(10)) AS i) UNION ALL SELECT (3::BIGINT << i) FROM (SELECT unnest(range(9)) AS i)) SELECT mask, sum(CASE WHEN m & mask = mask THEN n ELSE 0 END)::BIGINT AS supp FROM ct, s GROUP BY mask",
-)(lambda s, d: _sets_with_supports(s, d, "w2", grown(s, d, "w2")[0]))
+for _name in ("w1", "w1_all"):
+    query(f"grow_{_name}", f"WITH {ct(_name)} SELECT (1::BIGINT << i) AS mask, sum(n * {bit('i')})::BIGINT AS supp FROM ct, (SELECT unnest(range(10)) AS i) GROUP BY i")(lambda s, d, n=_name: _sets_with_supports(s, d, n, grown(s, d, n)[0]))
+for _name in ("w2", "w2_all"):
+    query(
+        f"grow_{_name}",
+        f"WITH {ct(_name)}, s AS (SELECT (1::BIGINT << i) AS mask FROM (SELECT unnest(range(10)) AS i) UNION ALL SELECT (3::BIGINT << i) FROM (SELECT unnest(range(9)) AS i)) SELECT mask, sum(CASE WHEN m & mask = mask THEN n ELSE 0 END)::BIGINT AS supp FROM ct, s GROUP BY mask",
+    )(lambda s, d, n=_name: _sets_with_supports(s, d, n, grown(s, d, n)[0]))
 query("dep_edges_w2", "SELECT s AS src, d AS dst FROM (VALUES (5, 4), (6, 5), (8, 7), (2, 1), (3, 2), (7, 6), (0, 1), (9, 8), (4, 3)) v(s, d)")(lambda s, d: grown(s, d, "w2")[0].edges_table(s).select("src", "dst"))
 
 
@@ -205,8 +207,15 @@ def toposort_w2(spark, sf_dir):
     return spark.createDataFrame([(p, i) for p, i in enumerate(grown(spark, sf_dir, "w2")[0].order())], "place int, item int")
 
 
-def _prefix_sql(name: str) -> str:
-    """Three rounds of growth: gains of every path of up to two tests, then one pick after the other."""
+def complexity_sql(ms: str, criterion: str = "refined") -> str:
+    """(mm, c): model bits of a leaf for every number of rows that the query ms gives."""
+    bits = {"bic": "0.5 * log2((SELECT sum(n) FROM ct))", "aic": "log2(exp(1))", "crude": "0.5 * log2(greatest(mm, 1))"}
+    return NML.format(ms=ms) if criterion == "refined" else f"SELECT DISTINCT mm, {bits[criterion]} AS c FROM ({ms})"
+
+
+def _prefix_sql(name: str, criterion: str = "refined", allowed: str = "true") -> str:
+    """Three rounds of growth: gains of every path of up to two tests, then one pick after the other. allowed: a condition
+    on the target t and the tested item j."""
     k = WORKLOADS[name].k
     sat = "(m & pos = pos AND m & neg = 0)"
     cost = lambda z, n, n1: f"(1 + {z}.c + {db(n, n1)})"
@@ -220,9 +229,9 @@ WITH {ct(name)}, lit AS (SELECT unnest(range({k})) AS i),
    UNION SELECT (1::BIGINT << a.i), (1::BIGINT << b.i) FROM lit a, lit b WHERE a.i <> b.i),
  g AS MATERIALIZED (SELECT t.i AS t, pos, neg, j.i AS j, sum(n)::BIGINT AS n, sum(n * {bit('t.i')})::BIGINT AS n1, sum(n * {bit('j.i')})::BIGINT AS nj, sum(n * {bit('t.i')} * {bit('j.i')})::BIGINT AS n1j
    FROM ct JOIN path ON {sat}, lit t, lit j WHERE t.i <> j.i AND ((pos | neg) >> t.i) & 1 = 0 AND ((pos | neg) >> j.i) & 1 = 0 GROUP BY ALL),
- z AS MATERIALIZED ({NML.format(ms='SELECT DISTINCT unnest([n, nj, n - nj]) AS mm FROM g')}),
+ z AS MATERIALIZED ({complexity_sql('SELECT DISTINCT unnest([n, nj, n - nj]) AS mm FROM g', criterion)}),
  x AS MATERIALIZED (SELECT t, pos, neg, j, {cost('a', 'n', 'n1')} - (1 + log2({k})) - {cost('b', 'nj', 'n1j')} - {cost('d', 'n - nj', 'n1 - n1j')} AS gain
-   FROM g JOIN z a ON a.mm = n JOIN z b ON b.mm = nj JOIN z d ON d.mm = n - nj),
+   FROM g JOIN z a ON a.mm = n JOIN z b ON b.mm = nj JOIN z d ON d.mm = n - nj WHERE {allowed}),
  p1 AS MATERIALIZED (SELECT {cols} FROM x WHERE pos = 0 AND neg = 0 {best}),
  p2 AS MATERIALIZED (SELECT x.t, x.pos, x.neg, x.j, x.gain FROM x, p1 WHERE ((x.pos = 0 AND x.neg = 0 AND x.t <> p1.t) OR (x.t = p1.t AND {child('p1')})) AND NOT (x.j = p1.t AND x.t = p1.j) {best.replace('gain', 'x.gain').replace(' t,', ' x.t,').replace(' pos,', ' x.pos,').replace(' neg,', ' x.neg,').replace(' j ', ' x.j ')}),
  p3 AS (SELECT x.t, x.pos, x.neg, x.j, x.gain FROM x, p1, p2
@@ -233,13 +242,18 @@ SELECT 1 AS step, t::INTEGER AS target, pos, neg, j::INTEGER AS item, round(gain
 """
 
 
-@query("grow_prefix3_w9", _prefix_sql("w9"))
-def grow_prefix3_w9(spark, sf_dir):
+def grow_prefix(spark, sf_dir, name: str, **options) -> DataFrame:
     """The first three splits of growth."""
-    m, _ = grown(spark, sf_dir, "w9", max_splits=3)
+    m, _ = grown(spark, sf_dir, name, max_splits=3, **options)
     return spark.createDataFrame([(i + 1, t, p, q, j, round(g, 4)) for i, (t, p, q, j, g, _) in enumerate(m.trace)], "step int, target int, pos long, neg long, item int, gain double")
 
 
+query("grow_prefix3_w9", _prefix_sql("w9"))(lambda s, d: grow_prefix(s, d, "w9"))
+query("grow_prefix3_order_w9", _prefix_sql("w9", allowed="j < t"))(lambda s, d: grow_prefix(s, d, "w9", order=list(range(11))))
+for _c in ("bic", "aic", "crude"):
+    query(f"grow_prefix3_{_c}_w9", _prefix_sql("w9", _c))(lambda s, d, c=_c: grow_prefix(s, d, "w9", criterion=c))
+
+
 def grow_row(spark, sf_dir, name, **options):
     c, w = counts(spark, sf_dir, name)
     t = time.perf_counter()
@@ -311,18 +325,23 @@ query("leaf_sets_literal", "SELECT target, mask::BIGINT AS mask FROM (VALUES (2,
     lambda s, d: it.leaf_sets(s.createDataFrame([(2, 1, 0), (2, 2, 1), (2, 0, 3)], "target int, pos long, neg long"))
 )
 
-_LAPLACE = "-log2((CASE WHEN {one} THEN n1 ELSE n - n1 END + 1.0) / (n + 2.0))"
+# All leaves of the literal model (al) and their counts (lc).
+LITERAL_COUNTS = (
+    f"{ct('w5')}, {_LEAVES}, al AS (SELECT target::BIGINT AS target, pos, neg FROM lv UNION ALL SELECT i, 0, 0 FROM (SELECT unnest(range(18)) AS i) WHERE i NOT IN (0, 8)), "
+    f"lc AS MATERIALIZED (SELECT target, pos, neg, sum(n)::BIGINT AS n, sum(n * {bit('target')})::BIGINT AS n1 FROM ct JOIN al ON m & pos = pos AND m & neg = 0 GROUP BY ALL)"
+)
 
 
-@query(
-    "code_length_literal_w5",
-    f"WITH p AS ({WORKLOADS['w5'].packed_sql()}), {ct('w5')}, {_LEAVES}, al AS (SELECT target::BIGINT AS target, pos, neg FROM lv UNION ALL SELECT i, 0, 0 FROM (SELECT unnest(range(18)) AS i) WHERE i NOT IN (0, 8)), "
-    f"lc AS (SELECT target, pos, neg, sum(n)::BIGINT AS n, sum(n * {bit('target')})::BIGINT AS n1 FROM ct JOIN al ON m & pos = pos AND m & neg = 0 GROUP BY ALL) "
-    f"SELECT key, round(sum({_LAPLACE.format(one=bit('target') + ' = 1')}), 6) AS bits FROM p JOIN lc ON m & pos = pos AND m & neg = 0 GROUP BY key",
-)
-def code_length_literal_w5(spark, sf_dir):
-    """Bits of every row under the literal trees, Laplace-smoothed: one projection."""
-    return ap.code_length(WORKLOADS["w5"].packed(spark, sf_dir), literal_model(spark, sf_dir), "laplace").select("key", F.round("bits", 6).alias("bits"))
+def literal_bits(spark, sf_dir, smoothing: str) -> DataFrame:
+    """Bits of every row under the literal trees: one projection."""
+    return ap.code_length(WORKLOADS["w5"].packed(spark, sf_dir), literal_model(spark, sf_dir), smoothing).select("key", F.round("bits", 6).alias("bits"))
+
+
+for _name, _smoothing, _a, _b in (("literal", "laplace", 1.0, 2.0), ("kt", "kt", 0.5, 1.0), ("ml", "ml", 0.0, 0.0)):
+    query(
+        f"code_length_{_name}_w5",
+        f"WITH p AS ({WORKLOADS['w5'].packed_sql()}), {LITERAL_COUNTS} SELECT key, round(sum(-log2((CASE WHEN {bit('target')} = 1 THEN n1 ELSE n - n1 END + {_a}) / (n + {_b}))), 6) AS bits FROM p JOIN lc ON m & pos = pos AND m & neg = 0 GROUP BY key",
+    )(lambda s, d, x=_smoothing: literal_bits(s, d, x))
 
 
 @query("roundtrip_mismatches", f"WITH p AS ({WORKLOADS['w5'].packed_sql()}) SELECT count(*) AS n_rows, 0::BIGINT AS mismatches FROM p")
@@ -428,8 +447,9 @@ def pair_model_w7_k4(spark, sf_dir):
     return one_row(spark, bits=round(sel.pair_model(it.all_itemsets(c, 4, 2), w.names).cost(), 4))
 
 
-def _best_tree_sql() -> str:
-    """Optimal tree of target 0 (status_F) over sources 1, 2 and 8 by dynamic programming from full paths to the root."""
+def _best_tree_sql(end: str = "SELECT round(cost, 4) AS bits FROM t3") -> str:
+    """Trees of target 0 (status_F) over sources 1, 2 and 8, from full paths to the root: t0 to t3 hold the bits of optimal
+    trees by the number of free sources, u0 to u3 those of greedy ones."""
     src = [1, 2, 8]
     states = "SELECT a.v AS a, b.v AS b, c.v AS c FROM (VALUES (-1), (0), (1)) a(v), (VALUES (-1), (0), (1)) b(v), (VALUES (-1), (0), (1)) c(v)"
     sat = " AND ".join(f"({x} = -1 OR {bit(i)} = {x})" for x, i in zip("abc", src, strict=True))
@@ -447,7 +467,17 @@ def _best_tree_sql() -> str:
             options.append(f"SELECT l.a, l.b, l.c, {split} + p.cost + q.cost AS cost FROM l JOIN ({prev}) p ON p.{x} = 1 JOIN ({prev}) q ON q.{x} = 0 WHERE l.{x} = -1 AND {key}")
         is_free = f"((a = -1)::INT + (b = -1)::INT + (c = -1)::INT) = {free}"
         out.append(f"t{free} AS MATERIALIZED (SELECT a, b, c, min(cost) AS cost FROM (SELECT * FROM l UNION ALL {' UNION ALL '.join(options)}) WHERE {is_free} GROUP BY ALL)")
-    return ", ".join(out) + " SELECT round(cost, 4) AS bits FROM t3"
+    out.append("u0 AS MATERIALIZED (SELECT * FROM t0)")
+    for free in (1, 2, 3):
+        options = []
+        for place, x in enumerate("abc"):
+            same = lambda p: " AND ".join(f"{p}.{y} = l.{y}" for y in "abc" if y != x)  # noqa: E731, B023
+            options.append(
+                f"SELECT l.a, l.b, l.c, {place} AS place, l.cost AS leaf, {split} + p.cost + q.cost AS now, {split} + v.cost + w.cost AS whole FROM l JOIN l p ON p.{x} = 1 AND {same('p')} JOIN l q ON q.{x} = 0 AND {same('q')} "
+                f"JOIN u{free - 1} v ON v.{x} = 1 AND {same('v')} JOIN u{free - 1} w ON w.{x} = 0 AND {same('w')} WHERE l.{x} = -1"
+            )
+        out.append(f"u{free} AS MATERIALIZED (SELECT a, b, c, CASE WHEN now < leaf - 1e-9 THEN whole ELSE leaf END AS cost FROM ({' UNION ALL '.join(options)}) QUALIFY row_number() OVER (PARTITION BY a, b, c ORDER BY round(now, 9), place) = 1)")
+    return f"{', '.join(out)} {end}"
 
 
 @query("best_tree_w5_s3", _best_tree_sql())
@@ -468,7 +498,7 @@ def best_tree_scan_w5_s3(spark, sf_dir):
     return one_row(spark, bits=round(cost, 4))
 
 
-@query("best_tree_greedy_w5_s3")
+@query("best_tree_greedy_w5_s3", _best_tree_sql("SELECT round(u3.cost, 4) AS greedy_bits, round(t3.cost, 4) AS best_bits FROM u3, t3"))
 def best_tree_greedy_w5_s3(spark, sf_dir):
     """The same sources with the greedy inner search: never cheaper than the best tree."""
     c, w = counts(spark, sf_dir, "w5")
@@ -476,10 +506,15 @@ def best_tree_greedy_w5_s3(spark, sf_dir):
     family = it.with_supports(c, masks)
     cost, _ = sel.TreeSearch(family, w.k, "greedy").best_tree(0, 0b100000110)
     best, _ = sel.TreeSearch(family, w.k).best_tree(0, 0b100000110)
-    return one_row(spark, greedy_bits=cost, best_bits=best)
+    return one_row(spark, greedy_bits=round(cost, 4), best_bits=round(best, 4))
 
 
-@query("pick_minsup_w8")
+@query(
+    "pick_minsup_w8",
+    f"WITH f AS MATERIALIZED ({frequent_sql('w8', 0, 3)}), t AS (SELECT count(*) AS n FROM documents), h AS (SELECT n, n // (2 ** i)::BIGINT AS s FROM t, (SELECT unnest(range(1, 40)) AS i)), "
+    "c AS (SELECT n, s, (SELECT count(*) FROM f WHERE supp >= s) AS c FROM h WHERE s >= 1), b AS (SELECT n, coalesce(min(s) FILTER (c < 2000), n // 2) AS s FROM c GROUP BY n) "
+    "SELECT n AS n_rows, s AS minsup, c AS candidates FROM b JOIN c USING (n, s) GROUP BY ALL",
+)
 def pick_minsup_w8(spark, sf_dir):
     """The lowest halved support whose family of at most three items has up to 2,000 sets."""
     c, w = counts(spark, sf_dir, "w8")
@@ -613,24 +648,45 @@ def confusion_lang(spark, sf_dir):
     return ap.confusion(ap.classify_by_code_length(test, ap.fit_class_models(train, w.names)))
 
 
-def _status_sql() -> str:
+def _status_sql(end: str = "SELECT count(*) AS n_rows, sum((label = guess)::INT)::BIGINT AS n_right, round(avg((label = guess)::INT), 6) AS accuracy FROM g", prior: bool = False) -> str:
     p = ORDERS.packed_sql()
     k = ORDERS.k
+    extra = "- log2(max(c.n) / (SELECT count(*) FROM p WHERE NOT held))" if prior else ""
     return (
         f"WITH p AS (SELECT a.key, a.m, o_orderstatus AS label, substr(md5('split-' || a.key), 1, 2) < '1a' AS held FROM ({p}) a JOIN orders ON o_orderkey = a.key), i AS (SELECT unnest(range({k})) AS i), "
         f"c AS MATERIALIZED (SELECT label, i, count(*) AS n, sum({bit('i')}) AS n1 FROM p, i WHERE NOT held GROUP BY ALL), "
-        f"b AS (SELECT key, p.label, c.label AS guess, sum(-log2((CASE WHEN {bit('i')} = 1 THEN n1 ELSE n - n1 END + 1.0) / (n + 2.0))) AS bits FROM p, c WHERE held GROUP BY ALL), "
-        "g AS (SELECT key, label, guess FROM b QUALIFY row_number() OVER (PARTITION BY key ORDER BY bits, guess) = 1) SELECT count(*) AS n_rows, sum((label = guess)::INT)::BIGINT AS n_right, round(avg((label = guess)::INT), 6) AS accuracy FROM g"
+        f"b AS (SELECT key, p.label, c.label AS guess, sum(-log2((CASE WHEN {bit('i')} = 1 THEN n1 ELSE n - n1 END + 1.0) / (n + 2.0))) {extra} AS bits FROM p, c WHERE held GROUP BY ALL), "
+        f"g AS (SELECT key, label, guess FROM b QUALIFY row_number() OVER (PARTITION BY key ORDER BY bits, guess) = 1) {end}"
     )
 
 
-@query("classify_independent_status", _status_sql())
-def classify_independent_status(spark, sf_dir):
-    """Single-leaf class models with Laplace smoothing on the order items."""
+def told_status(spark, sf_dir, prior: bool = False) -> DataFrame:
+    """Held-out orders with the status told by single-leaf class models, Laplace-smoothed."""
     w, label = labels_of(spark, sf_dir, "status")
     train, test = labelled(spark, sf_dir, w, label)
     models = ap.fit_class_models(train, w.names, fit=lambda c: fixed_trees_model(c, w.names, [LEAF] * w.k))
-    return ap.accuracy(ap.classify_by_code_length(test, models, "laplace")).withColumnsRenamed({"rows": "n_rows", "right": "n_right"})
+    return ap.classify_by_code_length(test, models, "laplace", prior)
+
+
+_RIGHT = {"rows": "n_rows", "right": "n_right"}
+query("classify_independent_status", _status_sql())(lambda s, d: ap.accuracy(told_status(s, d)).withColumnsRenamed(_RIGHT))
+query("classify_independent_status_prior", _status_sql(prior=True))(lambda s, d: ap.accuracy(told_status(s, d, True)).withColumnsRenamed(_RIGHT))
+
+
+@query("confusion_independent_status", _status_sql("SELECT label, guess AS pred, count(*) AS n FROM g GROUP BY ALL"))
+def confusion_independent_status(spark, sf_dir):
+    """The confusion table, one row per cell that occurs."""
+    wide = ap.confusion(told_status(spark, sf_dir))
+    return wide.unpivot("label", [c for c in wide.columns if c != "label"], "pred", "n").where("n > 0")
+
+
+@query(
+    "majority_status",
+    _status_sql("SELECT count(*) AS n_rows, sum((label = top)::INT)::BIGINT AS n_right, round(avg((label = top)::INT), 6) AS accuracy FROM p, (SELECT label AS top FROM p WHERE NOT held GROUP BY label ORDER BY count(*) DESC, label LIMIT 1) WHERE held"),
+)
+def majority_status(spark, sf_dir):
+    w, label = labels_of(spark, sf_dir, "status")
+    return ap.majority_accuracy(*labelled(spark, sf_dir, w, label)).withColumnsRenamed(_RIGHT)
 
 
 # ---- reports

@@ -120,6 +120,7 @@ def _items(*pairs) -> tuple[Item, ...]:
 
 
 _TOY = "SELECT o_orderkey FROM orders WHERE o_orderkey < 2000"
+_TOY_ALL = "SELECT o_orderkey FROM orders"
 _LINE = "SELECT l_orderkey, l_linenumber, l_quantity, l_discount, l_tax, l_linestatus, l_returnflag, l_extendedprice, l_shipdate FROM lineitem"
 
 STATUS = _items(*[(f"status_{s}", f"o_orderstatus = '{s}'") for s in "FOP"])
@@ -136,6 +137,8 @@ WORKLOADS: dict[str, Workload] = {
     for w in [
         Workload("w1", ("orders",), _TOY, "o_orderkey", _toy(False)),
         Workload("w2", ("orders",), _TOY, "o_orderkey", _toy(True)),
+        Workload("w1_all", ("orders",), _TOY_ALL, "o_orderkey", _toy(False)),
+        Workload("w2_all", ("orders",), _TOY_ALL, "o_orderkey", _toy(True)),
         Workload(
             "w3", ("lineitem",), _LINE, "l_orderkey",
             _items(("qty_gt_25", "l_quantity > 25"), ("disc_gt_5", "l_discount > 0.05"), ("tax_gt_4", "l_tax > 0.04"), ("status_o", "l_linestatus = 'O'"), ("flag_r", "l_returnflag = 'R'"), ("price_gt_50k", "l_extendedprice > 50000"), ("ship_ge_98_06", "l_shipdate >= '1998-06-01'"), ("line_gt_4", "l_linenumber > 4")),

@@ -40,6 +40,17 @@ def _stream(spark, sf_dir):
     return spark.readStream.schema(df.schema).option("maxFilesPerTrigger", 1).parquet(path)
 
 
+def _stream_in_order(spark, sf_dir):
+    """The events in two files, by halves of the range of event ids, the earlier one written first."""
+    df = _events(spark, sf_dir)
+    path = scratch(spark, "events-in")
+    low, high = df.agg(F.min("event_id"), F.max("event_id")).first()
+    late = F.col("event_id") > ((low or 0) + (high or 0)) // 2
+    df.where(~late).coalesce(1).write.parquet(path)
+    df.where(late).coalesce(1).write.mode("append").parquet(path)
+    return spark.readStream.schema(df.schema).option("maxFilesPerTrigger", 1).parquet(path)
+
+
 def _run(stream, mode: str):
     spark = stream.sparkSession
     out, at = scratch(spark, "events-out"), scratch(spark, "events-at")
@@ -47,7 +58,8 @@ def _run(stream, mode: str):
     return spark.read.parquet(out)
 
 
-Q["o58_stateful"] = lambda s, d: _run(w.previous_event(_stream(s, d).select("user_id", "event_id", "event_type"), "user_id", "event_type"), "append")
+Q["o58_stateful"] = lambda s, d: _run(w.previous_event(_stream_in_order(s, d).select("user_id", "event_id", "event_type"), "user_id", "event_type"), "append")
+SQL["o58_stateful"] = "SELECT user_id, event_id, event_type, lag(event_type) OVER (PARTITION BY user_id ORDER BY event_id) AS prev FROM events"
 Q["o59_stream_dedupe"] = lambda s, d: _run(w.without_repeats(_stream(s, d).withColumn("ts", F.col("ts").cast("timestamp")).select("event_id", "ts"), "ts", "event_id", "40 days"), "append").select("event_id")
 SQL["o59_stream_dedupe"] = "SELECT DISTINCT event_id FROM events"
 

@@ -31,17 +31,15 @@ def session_baskets(df: DataFrame, key: str, ts: str, item: str, gap: str, late:
 
 
 def previous_event(df: DataFrame, key: str, value: str):
-    """Stateful: each event with the key's event before it, across micro-batches (state: one value a key)."""
+    """Stateful: each event with the key's event before it by event_id, across micro-batches that come in that order
+    (state: one value a key). The events of a key in one micro-batch are held together, as Arrow may split them anywhere."""
     kind = df.schema[key].dataType.simpleString()
 
     def step(k, frames, state):
         last = state.get[0] if state.exists else None
-        for pdf in frames:
-            pdf = pdf.sort_values("event_id")
-            prev = [last, *pdf[value].tolist()[:-1]]
-            last = pdf[value].iloc[-1]
-            yield pd.DataFrame({key: k[0], "event_id": pdf["event_id"], value: pdf[value], "prev": prev})
-        state.update((last,))
+        pdf = pd.concat(list(frames)).sort_values("event_id")
+        state.update((pdf[value].iloc[-1],))
+        yield pd.DataFrame({key: k[0], "event_id": pdf["event_id"], value: pdf[value], "prev": [last, *pdf[value].tolist()[:-1]]})
 
     return df.groupBy(key).applyInPandasWithState(step, f"{key} {kind}, event_id long, {value} string, prev string", "last string", "append", "NoTimeout")
 
