@@ -141,10 +141,11 @@ def itemset_supports(ct: DataFrame, sets: DataFrame) -> DataFrame:
 
 
 def cooccurrence(ct: DataFrame, k: int) -> DataFrame:
-    """(i, j, n): rows with both items, i <= j; item lists are exploded pairwise inside each compact row."""
+    """(i, j, n): rows with both items, i <= j; item lists are exploded pairwise inside each compact row. The outer form
+    keeps Catalyst from testing the lists for emptiness below the aggregation, on every row of the table."""
     present = F.expr(f"filter(sequence(0, {k - 1}), i -> (shiftright(m, i) & 1) = 1)")
-    x = ct.select("n", present.alias("x")).select("n", "x", F.explode("x").alias("i"))
-    pairs = x.select("n", "i", F.explode("x").alias("j")).where("i <= j")
+    x = ct.select("n", present.alias("x")).select("n", "x", F.explode_outer("x").alias("i"))
+    pairs = x.select("n", "i", F.explode_outer("x").alias("j")).where("i <= j")
     return pairs.groupBy("i", "j").agg(F.sum("n").alias("c"))
 
 

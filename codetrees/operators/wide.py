@@ -46,8 +46,8 @@ def itemset_supports(ct: DataFrame, sets: DataFrame) -> DataFrame:
 
 def cooccurrence(ct: DataFrame) -> DataFrame:
     """(i, j, c): rows with both items, i <= j; the items of a distinct row are paired inside the row."""
-    x = ct.select("n", items_in().alias("x")).select("n", "x", F.explode("x").alias("i"))
-    return x.select("n", "i", F.explode(F.filter("x", lambda j: j >= F.col("i"))).alias("j")).groupBy("i", "j").agg(F.sum("n").alias("c"))
+    x = ct.select("n", items_in().alias("x")).select("n", "x", F.explode_outer("x").alias("i"))  # outer: see itemsets.cooccurrence
+    return x.select("n", "i", F.explode_outer(F.filter("x", lambda j: j >= F.col("i"))).alias("j")).where("j IS NOT NULL").groupBy("i", "j").agg(F.sum("n").alias("c"))
 
 
 def independent(ct: DataFrame, k: int) -> DataFrame:

@@ -40,3 +40,14 @@ def test_previous_event_of_a_key_in_many_arrow_batches(spark, tmp_path):
     finally:
         spark.conf.set(key, before)
     assert got == {0: None} | {i: f"e{i - 1}" for i in range(1, 3000)}
+
+
+def test_item_lists_are_made_of_compact_rows_only(spark, sf_dir):
+    from codetrees.operators import itemsets, wide
+    from codetrees.sources.tables import wide_items
+
+    for df in (itemsets.cooccurrence(WORKLOADS["w5"].compact(spark, sf_dir), 18), wide.cooccurrence(wide_items(spark, sf_dir, 120)[0])):
+        assert "size(" not in df._jdf.queryExecution().optimizedPlan().toString()
+    empty = spark.createDataFrame([(0, 3)], "m long, n long")
+    assert itemsets.cooccurrence(empty, 5).count() == 0
+    assert wide.cooccurrence(spark.createDataFrame([([0, 0], 3)], "w array<long>, n long")).count() == 0
