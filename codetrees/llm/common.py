@@ -34,6 +34,7 @@ def written(df: DataFrame, name: str) -> DataFrame:
     small_batches(spark)
     path = f"{shared_dir(spark)}/codetrees/{uuid.uuid4().hex}-{name}"
     df.write.parquet(path)
+    trimmed(spark)
     out = spark.read.schema(df.schema).parquet(path)
     out._codetrees_path = path
     return out
@@ -82,9 +83,27 @@ def tidy(run):
 
 def release(spark: SparkSession) -> None:
     """Let Spark's cleaner delete the shuffle files of plans that are no longer referenced, as the driver seldom
-    collects its garbage by itself."""
+    collects its garbage by itself; and give what the driver's JVM has freed outside its heap back to the system."""
     gc.collect()
     spark._jvm.System.gc()
+    trimmed(spark)
+
+
+def trimmed(spark: SparkSession) -> bool:
+    """Have the driver's JVM return its freed native memory to the system; False where it cannot."""
+    from py4j.protocol import Py4JError
+
+    jvm = spark._jvm
+    try:
+        beans = jvm.java.lang.management.ManagementFactory.getPlatformMBeanServer()
+        # By reflection, as Py4J finds no method for the two nulls that are meant as no arguments.
+        invoke = next(m for m in jvm.java.lang.Class.forName("javax.management.MBeanServer").getMethods() if m.getName() == "invoke")
+        args = spark.sparkContext._gateway.new_array(jvm.java.lang.Object, 4)
+        args[0], args[1] = jvm.javax.management.ObjectName("com.sun.management:type=DiagnosticCommand"), "systemTrimNativeHeap"
+        invoke.invoke(beans, args)
+    except Py4JError:  # another JVM or C library
+        return False
+    return True
 
 
 def ascii_lower(c: Column) -> Column:
