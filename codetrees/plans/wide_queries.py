@@ -9,7 +9,7 @@ from codetrees.operators import itemsets as it
 from codetrees.operators import wide
 from codetrees.plans import select as sel
 from codetrees.plans.core_queries import NML, db, one_row
-from codetrees.plans.counts import counts_of
+from codetrees.plans.counts import counts_of, stored
 from codetrees.plans.greedy import fixed_trees_model
 from codetrees.plans.model import LEAF, Model, independent_cost
 from codetrees.sources.tables import wide_items, wide_rows
@@ -120,7 +120,7 @@ def w12_roundtrip_mismatches(spark, sf_dir):
 
 def _labelled(spark, sf_dir):
     rows, names = wide_rows(spark, sf_dir, K)
-    rows = rows.where("lang IS NOT NULL").withColumnRenamed("lang", "label")
+    rows = stored(rows.where("lang IS NOT NULL").withColumnRenamed("lang", "label"), "labelled")  # texts are taken apart once
     held = ap.split_bucket(F.col("key"))
     return rows.where(~held), rows.where(held), names
 
